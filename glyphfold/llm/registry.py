@@ -6,6 +6,8 @@ from importlib import import_module
 
 #: Query name and the module that holds it.
 MODULES = {
+    "op2_quality_rules": "quality_rules",
+    "op8_bin_slack_packing": "bin_packing",
     "op9_simhash_near_dedup": "simhash_dedup",
     "op10_hilbert_sharding": "hilbert_shards",
 }

@@ -6,6 +6,7 @@ from importlib import import_module
 
 #: Query name and the module that holds it.
 MODULES = {
+    "op1_suffix_array_dedup": "suffix_dedup",
     "op2_quality_rules": "quality_rules",
     "op8_bin_slack_packing": "bin_packing",
     "op9_simhash_near_dedup": "simhash_dedup",

@@ -1,8 +1,8 @@
 """Exact removal of repeated byte strings by a sparse, range-partitioned suffix sort.
 
-A suffix is sorted for a content-defined choice of starts: of the 16-byte grams in
+A suffix is sorted for a content-defined choice of starts: of the 20-byte grams in
 every 50-byte string the one with the smallest hash is its anchor, so equal strings
-have equal anchors and about one start in eighteen is kept. An anchor stands for
+have equal anchors and about one start in fifteen is kept. An anchor stands for
 the consecutive strings it is chosen by; its context is the bytes they span.
 
 1. Documents are written as chunks. Each chunk sorts its anchors by leading bytes
@@ -11,7 +11,9 @@ the consecutive strings it is chosen by; its context is the bytes they span.
    A context also seen in a smaller document is repeated as a whole. A suffix whose
    leading bytes are shared by other contexts is open, as is one whose leading bytes
    touch a splitter, since its neighbours may lie beyond the boundary.
-2. For open anchors the single 50-byte strings are compared in the same way.
+2. Open anchors meet others of the same leading bytes with their context itself, and
+   its 50-byte strings are compared one by one. Anchors that very many contexts share
+   (the ends of a common line) are dealt out by string instead of by anchor.
 3. Chunks gather their answers and cut the repeated bytes.
 
 Folding in the chunk keeps a string of very many documents to one entry a chunk, so
@@ -39,11 +41,14 @@ from pyspark.sql import functions as F
 
 from glyphfold.session import release, settle
 
-GRAM = 16
+#: Bytes of an anchor, from 16 to 24: longer ones are shared by chance less often, shorter ones are fewer.
+GRAM = 20
 SLICE = 1 << 20
 CHUNK_BYTES = 8 << 20
 BUCKET_BYTES = 4 << 20
 MAX_BUCKETS = 100_000
+#: Contexts of the same leading bytes above which they are compared string by string.
+HOT_GRAM = 4000
 #: At most so many chunks give starts to the sample that places the splitters.
 SAMPLED_CHUNKS = 800
 NO_ID = np.iinfo(np.int64).max
@@ -98,7 +103,9 @@ class Slice:
             self.lead = self.next = self.context = np.zeros(0, U)
             return
         eight = words_at(part)
-        h = mixed(eight[:-8] * U(0xA24BAED4963EE407) + (eight[8:] ^ U(0x9FB21C651E98DF25))) | U(1)
+        n = len(part) - GRAM + 1
+        rest = mixed(eight[8 : 8 + n] * U(0xA24BAED4963EE407) + eight[GRAM - 8 : GRAM - 8 + n])
+        h = mixed(eight[:n] ^ rest) | U(1)
         low = sliding_min(h, grams)  # one a window
         whole = np.arange(lo, lo + len(low)) + window <= ends[lo : lo + len(low)]
         low = np.where(whole, low, U(0))
@@ -115,7 +122,7 @@ class Slice:
             last = np.where(hit & (last < 0), j, last)
         self.start, self.first, self.last = start + lo, first + lo, last + lo
         self.lead = eight[start].byteswap()
-        self.next = mixed(eight[start + 8]) >> U(32)
+        self.next = rest[start] >> U(32)
         spot = (last - first).astype(U) * U(64) + (start - first).astype(U)
         self.context = mixed(self.span(first, last + window) + mixed(spot))
 
@@ -275,8 +282,8 @@ def suffix_batches(batches: Iterator[pa.RecordBatch], splitters: np.ndarray, win
             yield pa.RecordBatch.from_arrays([pa.array(full.astype(np.int64)), pa.array([chunk] * len(full), pa.int64()), pa.array(blobs, pa.binary())], ["bucket", "chunk", "body"])
 
 
-def compare_suffixes(df: pd.DataFrame, splitters: np.ndarray) -> pd.DataFrame:
-    """Per entry 0 (only here), 1 (context of a smaller document too) or 2 (open)."""
+def compare_suffixes(df: pd.DataFrame, splitters: np.ndarray, hot_gram: int) -> pd.DataFrame:
+    """Per entry 0 (only here), 1 (context of a smaller document too), 2 (open) or 3 (open, of very many)."""
     bucket = int(df["bucket"].iloc[0])
     got = [unpacked(b, U, np.uint32, U, np.int64) for b in df["body"]]
     lead, nxt, context, doc = (np.concatenate(c) for c in zip(*got, strict=True))
@@ -286,12 +293,13 @@ def compare_suffixes(df: pd.DataFrame, splitters: np.ndarray) -> pd.DataFrame:
     gram, ctx = np.cumsum(gram_new) - 1, np.cumsum(context_new) - 1
     least = doc[context_new][ctx]
     starts = np.flatnonzero(gram_new)
-    several = np.add.reduceat(context_new.astype(np.int64), starts) > 1
-    several &= np.minimum.reduceat(least, starts) < np.maximum.reduceat(least, starts)
+    contexts = np.add.reduceat(context_new.astype(np.int64), starts)
+    several = (contexts > 1) & (np.minimum.reduceat(least, starts) < np.maximum.reduceat(least, starts))
+    kind = np.where(several, np.where(contexts > hot_gram, 3, 2), 0)
     for i in (bucket - 1, bucket):  # what touches a splitter may have neighbours beyond it
         if 0 <= i < len(splitters):
-            several |= (lead[starts] == splitters[i, 0]) & (nxt[starts] == splitters[i, 1])
-    state = np.where(doc > least, 1, np.where(several[gram], 2, 0)).astype(np.uint8)
+            kind[(lead[starts] == splitters[i, 0]) & (nxt[starts] == splitters[i, 1])] = 3
+    state = np.where(doc > least, 1, kind[gram]).astype(np.uint8)
     back = np.empty(len(order), np.uint8)
     back[order] = state
     return answers(df, got, back)
@@ -303,11 +311,15 @@ def answers(df: pd.DataFrame, got: list, state: np.ndarray) -> pd.DataFrame:
     return pd.DataFrame({"chunk": df["chunk"], "bucket": df["bucket"], "body": [zstandard.compress(s.tobytes(), 1) for s in np.split(state, cut)]})
 
 
-def gathered(df: pd.DataFrame) -> tuple[bytes, np.ndarray]:
-    """The chunk itself (bucket -1) and the states of its entries in order."""
-    df = df.sort_values("bucket")
-    parts = [np.frombuffer(zstandard.decompress(b), np.uint8) for b in df["body"][df["bucket"] >= 0]]
-    return df["body"][df["bucket"] == -1].iloc[0], np.concatenate(parts) if parts else np.zeros(0, np.uint8)
+def gathered(df: pd.DataFrame, kind, low: int, high: int) -> np.ndarray:
+    """The answers of buckets from ``low`` to ``high``, in order."""
+    own = df[(df["bucket"] >= low) & (df["bucket"] < high)].sort_values("bucket")
+    parts = [np.frombuffer(zstandard.decompress(b), kind) for b in own["body"]]
+    return np.concatenate(parts) if parts else np.zeros(0, kind)
+
+
+def body_of(df: pd.DataFrame, bucket: int) -> bytes:
+    return df["body"][df["bucket"] == bucket].iloc[0]
 
 
 def open_strings(chunk: Chunk, first: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -328,28 +340,98 @@ def open_strings(chunk: Chunk, first: np.ndarray, last: np.ndarray) -> tuple[np.
     return at, hashes
 
 
+def by_bucket(bucket: np.ndarray) -> Iterator[tuple[int, slice]]:
+    cut = np.concatenate([np.flatnonzero(changes(bucket)), [len(bucket)]])
+    for a, b in zip(cut[:-1], cut[1:], strict=True):
+        yield int(bucket[a]), slice(a, b)
+
+
 def resolve_chunk(df: pd.DataFrame, buckets: int, window: int) -> pd.DataFrame:
-    """What a chunk knows after the first comparison (bucket -2), and its open strings by bucket."""
-    body, state = gathered(df)
-    chunk = Chunk(body, window)
+    """What a chunk keeps of the first comparison (buckets below -1), and what is open.
+
+    Contexts go to buckets from 0, strings of very common anchors to those from ``buckets``.
+    """
+    chunk = Chunk(body_of(df, -1), window)
+    state = gathered(df, np.uint8, 0, 2 * buckets)
     lead, nxt, context, doc, first, last = chunk.anchors()
-    _, entry, least = folded(lead, nxt, context, doc)
+    keep, entry, least = folded(lead, nxt, context, doc)
     if len(least) != len(state):
         raise ValueError("a chunk and its answers don't match")
-    state = np.where(doc > least[entry], 1, state[entry]) if len(entry) else np.zeros(0, np.int64)
-    known, unsure = state == 1, state == 2
-    at, hashes = open_strings(chunk, first[unsure], last[unsure])
     name = int(df["chunk"].iloc[0])
-    rows = [(-2, name, packed(first[known], last[known])), (-3, name, packed(at))]
+    mine = state[entry] if len(entry) else np.zeros(0, np.uint8)
+    mine = np.where(doc > least[entry], 1, mine) if len(entry) else mine
+    hot = mine == 3
+    at, hashes = open_strings(chunk, first[hot], last[hot])
+
+    unsure = np.flatnonzero(state == 2)  # entries, to be sent in the order of their buckets
+    gram = mixed(lead[keep[unsure]] ^ mixed(nxt[keep[unsure]]))
+    bucket = ((gram >> U(32)) * U(buckets)) >> U(32)
+    order = np.argsort(bucket, kind="stable")
+    unsure, bucket = unsure[order], bucket[order]
+    place = np.full(len(state), -1)
+    place[unsure] = np.arange(len(unsure))
+    asks = np.flatnonzero(mine == 2)
+    known = mine == 1
+    rows = [
+        (-2, name, packed(first[known], last[known])),
+        (-3, name, packed(at)),
+        (-4, name, packed(first[asks], last[asks], place[entry[asks]])),
+    ]
+    begin, end = first[keep[unsure]], last[keep[unsure]] + window
+    for b, own in by_bucket(bucket):
+        texts = b"".join(chunk.data[x:y].tobytes() for x, y in zip(begin[own], end[own], strict=True))
+        size = (end[own] - begin[own]).astype(np.uint16)
+        head = packed(least[unsure[own]], size)
+        rows.append((b, name, len(head).to_bytes(4, "little") + head + zstandard.compress(texts, 3)))
     if len(at):
         keep, _, least = folded(hashes, hashes, hashes, chunk.ids[chunk.doc_of(at)])
         hashes = hashes[keep]
-        bucket = ((hashes >> U(32)) * U(buckets)) >> U(32)
-        cut = np.concatenate([np.flatnonzero(changes(bucket)), [len(bucket)]])
-        rows += [(int(bucket[a]), name, packed(hashes[a:b], least[a:b])) for a, b in zip(cut[:-1], cut[1:], strict=True)]
+        for b, own in by_bucket(((hashes >> U(32)) * U(buckets)) >> U(32)):
+            rows.append((buckets + b, name, packed(hashes[own], least[own])))
     return pd.DataFrame(rows, columns=["bucket", "chunk", "body"])
 
 
+def compare_open(df: pd.DataFrame, buckets: int, window: int) -> pd.DataFrame:
+    return compare_strings(df) if df["bucket"].iloc[0] >= buckets else compare_contexts(df, window)
+
+
+def compare_contexts(df: pd.DataFrame, window: int) -> pd.DataFrame:
+    """Per context a mask of its strings that a smaller document has too."""
+    got, texts = [], []
+    for body in df["body"]:
+        n = int.from_bytes(body[:4], "little")
+        got.append(unpacked(body[4 : 4 + n], np.int64, np.uint16))
+        texts.append(zstandard.decompress(body[4 + n :]))
+    doc, size = (np.concatenate(c) for c in zip(*got, strict=True))
+    size = size.astype(np.int64)
+    data = np.frombuffer(b"".join(texts), np.uint8)
+    begin = np.concatenate([[0], np.cumsum(size)[:-1]])
+    masks = np.zeros(len(doc), np.uint64)
+    base, back, letters = powers(SLICE + 4 * window + 64)
+    hashes, owner, nth = [], [], []
+    lo = 0
+    while lo < len(doc):  # in slices of whole contexts
+        hi = max(lo + 1, int(np.searchsorted(begin, begin[lo] + SLICE)))
+        start = begin[lo]
+        part = data[start : begin[hi - 1] + size[hi - 1]]
+        prefix = np.concatenate([np.zeros(1, U), np.cumsum(letters[part] * base[: len(part)], dtype=U)])
+        count = size[lo:hi] - window + 1
+        who = np.repeat(np.arange(lo, hi), count)
+        k = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+        j = begin[who] - start + k
+        hashes.append(mixed((prefix[j + window] - prefix[j]) * back[j]))
+        owner.append(who)
+        nth.append(k)
+        lo = hi
+    h, who, k = (np.concatenate(x) for x in (hashes, owner, nth))
+    order = multikey_order([h, doc[who]])
+    new = changes(h[order])
+    least = doc[who[order]][new][np.cumsum(new) - 1]
+    hit = order[doc[who[order]] > least]
+    np.bitwise_or.at(masks, who[hit], U(1) << k[hit].astype(U))
+    return answers(df, got, masks)
+
+
 def compare_strings(df: pd.DataFrame) -> pd.DataFrame:
     """Per string 1 if a smaller document has it too."""
     got = [unpacked(b, U, np.int64) for b in df["body"]]
@@ -362,16 +444,21 @@ def compare_strings(df: pd.DataFrame) -> pd.DataFrame:
     return answers(df, got, back)
 
 
-def finish_chunk(df: pd.DataFrame, window: int, with_text: bool) -> pd.DataFrame:
-    body, state = gathered(df)
-    chunk = Chunk(body, window)
-    first, last = unpacked(df["body"][df["bucket"] == -2].iloc[0], np.int64, np.int64)
-    (at,) = unpacked(df["body"][df["bucket"] == -3].iloc[0], np.int64)
+def finish_chunk(df: pd.DataFrame, buckets: int, window: int, with_text: bool) -> pd.DataFrame:
+    chunk = Chunk(body_of(df, -1), window)
+    first, last = unpacked(body_of(df, -2), np.int64, np.int64)
+    (at,) = unpacked(body_of(df, -3), np.int64)
     if len(at):
+        state = gathered(df, np.uint8, buckets, 2 * buckets)
         at, hashes = open_strings(chunk, at, at)
         doc = chunk.ids[chunk.doc_of(at)]
         _, entry, least = folded(hashes, hashes, hashes, doc)
         at = at[np.where(doc > least[entry], 1, state[entry]) == 1]
+    ask, ask_last, place = unpacked(body_of(df, -4), np.int64, np.int64, np.int64)
+    if len(ask):
+        masks = gathered(df, np.uint64, 0, buckets)[place]
+        for k in range(int((ask_last - ask).max()) + 1):
+            at = np.concatenate([at, ask[(masks >> U(k)) & U(1) == 1] + k])
     edge = np.zeros(len(chunk.data) + 1, np.int32)
     np.add.at(edge, first, 1)
     np.add.at(edge, last + window, -1)
@@ -412,7 +499,7 @@ def splitters_of(chunks: DataFrame, buckets: int, n_chunks: int, window: int) ->
     return np.unique(np.stack([k[at] for k in keys], axis=1), axis=0) if len(at) else np.zeros((0, 3), U)
 
 
-def suffix_dedup(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text_col: str = "text", with_text: bool = True) -> DataFrame:
+def suffix_dedup(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text_col: str = "text", with_text: bool = True, hot_gram: int = HOT_GRAM) -> DataFrame:
     """Per document its bytes, the bytes and runs removed, and what is kept."""
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
@@ -424,7 +511,7 @@ def suffix_dedup(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text
 
     entry = "chunk long, bucket long, body binary"
     suffixes = chunks.select("chunk", "body").mapInArrow(lambda it: suffix_batches(it, splitters, window), "bucket long, chunk long, body binary")
-    states = settle(suffixes.groupBy("bucket").applyInPandas(lambda df: compare_suffixes(df, splitters), entry), "suffix_states")
+    states = settle(suffixes.groupBy("bucket").applyInPandas(lambda df: compare_suffixes(df, splitters, hot_gram), entry), "suffix_states")
     del suffixes
     release(spark)
 
@@ -433,10 +520,10 @@ def suffix_dedup(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text
         texts.unionByName(states).groupBy("chunk").applyInPandas(lambda df: resolve_chunk(df, buckets, window), "bucket long, chunk long, body binary"), "open_strings"
     )
     release(spark)
-    strings = known.where("bucket >= 0").groupBy("bucket").applyInPandas(compare_strings, entry)
+    strings = known.where("bucket >= 0").groupBy("bucket").applyInPandas(lambda df: compare_open(df, buckets, window), entry)
     last = texts.unionByName(known.where("bucket < 0")).unionByName(strings)
     out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
-    return last.groupBy("chunk").applyInPandas(lambda df: finish_chunk(df, window, with_text), out)
+    return last.groupBy("chunk").applyInPandas(lambda df: finish_chunk(df, buckets, window, with_text), out)
 
 
 def query(spark, sf_dir: str) -> DataFrame:

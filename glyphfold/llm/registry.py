@@ -9,6 +9,7 @@ MODULES = {
     "op1_suffix_array_dedup": "suffix_dedup",
     "op2_quality_rules": "quality_rules",
     "op5_benchmark_decontamination": "decontaminate",
+    "op6_personal_data": "pii_crf",
     "op8_bin_slack_packing": "bin_packing",
     "op9_simhash_near_dedup": "simhash_dedup",
     "op10_hilbert_sharding": "hilbert_shards",

@@ -359,6 +359,14 @@ def segments_of(text: str, reach: int = 3) -> list[list[tuple[int, int]]]:
     return out
 
 
+def plausible(kind: str, text: str) -> bool:
+    """Cards keep their check digit and phones their length in any notation."""
+    digits = "".join(c for c in text if "0" <= c <= "9")
+    if kind == "card":
+        return 13 <= len(digits) <= 19 and luhn(digits)
+    return kind != "phone" or 7 <= len(digits) <= 15
+
+
 def field_spans(texts: list[str], base: list[list[tuple[str, int, int]]], field: Field) -> list[list[tuple[str, int, int]]]:
     """Spans that the random field adds to those of the patterns."""
     out: list[list[tuple[str, int, int]]] = [[] for _ in texts]
@@ -383,7 +391,7 @@ def field_spans(texts: list[str], base: list[list[tuple[str, int, int]]], field:
                     a += 1
                 while b > a and texts[i][b - 1] in EDGE:
                     b -= 1
-                if MARK.search(texts[i], a, b) and all(b <= x or a >= y for _, x, y in base[i] + out[i]):
+                if MARK.search(texts[i], a, b) and plausible(KINDS[kind], texts[i][a:b]) and all(b <= x or a >= y for _, x, y in base[i] + out[i]):
                     out[i].append((KINDS[kind], a, b))
     return out
 

@@ -10,6 +10,7 @@ MODULES = {
     "op2_quality_rules": "quality_rules",
     "op5_benchmark_decontamination": "decontaminate",
     "op6_personal_data": "pii_crf",
+    "op7_interpolated_lm": "interpolated_lm",
     "op8_bin_slack_packing": "bin_packing",
     "op9_simhash_near_dedup": "simhash_dedup",
     "op10_hilbert_sharding": "hilbert_shards",

@@ -305,10 +305,16 @@ def compare_suffixes(df: pd.DataFrame, splitters: np.ndarray, hot_gram: int) ->
     return answers(df, got, back)
 
 
-def answers(df: pd.DataFrame, got: list, state: np.ndarray) -> pd.DataFrame:
+def answers(df: pd.DataFrame, got: list, state: np.ndarray, pack=lambda x: zstandard.compress(x.tobytes(), 1)) -> pd.DataFrame:
     """Split the states again by the rows they belong to."""
     cut = np.cumsum([len(g[0]) for g in got])[:-1]
-    return pd.DataFrame({"chunk": df["chunk"], "bucket": df["bucket"], "body": [zstandard.compress(s.tobytes(), 1) for s in np.split(state, cut)]})
+    return pd.DataFrame({"chunk": df["chunk"], "bucket": df["bucket"], "body": [pack(s) for s in np.split(state, cut)]}).reset_index(drop=True)
+
+
+def gathered_blobs(df: pd.DataFrame, low: int, high: int, *types) -> list:
+    """The columns answered by each bucket from ``low`` to ``high``, in order."""
+    own = df[(df["bucket"] >= low) & (df["bucket"] < high)].sort_values("bucket")
+    return [unpacked(b, *types) for b in own["body"]]
 
 
 def gathered(df: pd.DataFrame, kind, low: int, high: int) -> np.ndarray:

@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from glyphfold.llm.simhash_dedup import LOWER
 from glyphfold.llm.suffix_dedup import NO_ID, answers, body_of, by_bucket, chunk_batches, gathered_blobs, mixed, packed, unpacked
-from glyphfold.session import release, settle
+from glyphfold.session import discard, release, settle
 
 U = np.uint64
 CHUNK_BYTES = 4 << 20
@@ -157,7 +157,8 @@ def resolve_chunk(df: pd.DataFrame, buckets: int, totals: dict) -> pd.DataFrame:
     ch, cw, chw = context[0][gone], words[0][t.word_at][gone], pairs[0][t.pair_at][gone]
     cell = (context_bucket(ch) * BINS + binned(chw / np.maximum(ch, 1))) * BINS + binned(cw / max(totals["kept_tokens"], 1))
     cells, weight = np.unique(cell, return_counts=True)
-    counts = packed(*((a + b).astype(np.int64) for a, b in ((context[0], context[1]), (words[0][t.word_at], words[1][t.word_at]), (pairs[0][t.pair_at], pairs[1][t.pair_at]))))
+    # a token's context count is the word count of the token before
+    counts = packed(*((a + b)[at].astype(np.int64) for (a, b), at in ((words, t.word_at), (pairs, t.pair_at))))
     head = packed(t.docs, t.n_tokens, t.held_out.astype(np.int64))
     return pd.DataFrame({"head": [head], "counts": [counts], "cells": [cells.tolist()], "weights": [weight.tolist()]})
 
@@ -183,16 +184,18 @@ def learn(cells: np.ndarray, weight: np.ndarray, vocabulary: int, rounds: int =
     return mix
 
 
-def score_batches(batches: Iterator[pa.RecordBatch], mix: np.ndarray, tokens: int, vocabulary: int) -> Iterator[pa.RecordBatch]:
+def score_batches(batches: Iterator[pa.RecordBatch], mix: np.ndarray, n_docs: int, tokens: int, vocabulary: int) -> Iterator[pa.RecordBatch]:
     names = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"]
     for batch in batches:
         for head, counts in zip(batch.column("head"), batch.column("counts"), strict=True):
             docs, n, held = unpacked(head.as_py(), np.int64, np.int64, np.int64)
-            ch, cw, chw = unpacked(counts.as_py(), np.int64, np.int64, np.int64)
+            cw, chw = unpacked(counts.as_py(), np.int64, np.int64)
+            at = np.cumsum(n) - n
+            ch = np.roll(cw, 1)
+            ch[at] = n_docs
             w = mix[context_bucket(ch)]
             p = w[:, 0] * chw / np.maximum(ch, 1) + w[:, 1] * cw / max(tokens, 1) + w[:, 2] / (vocabulary + 1)
             base = np.log10((cw + 1) / (tokens + 1 * (vocabulary + 1)))
-            at = np.cumsum(n) - n
             sums = [np.add.reduceat(x, at) if len(at) else x for x in ((cw > 0).astype(np.int64), base, np.log10(p))]
             ids = pa.array([None if d == NO_ID else d for d in docs.tolist()], pa.int64())
             yield pa.RecordBatch.from_arrays([ids, pa.array(held == 1), pa.array(n), pa.array(sums[0]), pa.array(np.full(len(n), tokens)), pa.array(sums[1]), pa.array(sums[2])], names)
@@ -213,6 +216,7 @@ def lm_scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     keys = chunks.select("chunk", "body").mapInArrow(lambda it: key_batches(it, buckets), entry)
     own = keys.groupBy("bucket").applyInPandas(lambda df: add_up(df, buckets), "chunk long, bucket long, body binary")
     totals = settle(own, "lm_totals")
+    del keys, own
     release(spark)
 
     sizes = chunks.select("body").mapInArrow(size_batches, "kept_tokens long, deleted_tokens long, kept_docs long, deleted_docs long")
@@ -224,11 +228,14 @@ def lm_scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     both = texts.unionByName(totals.where("chunk >= 0"))
     resolved = both.groupBy("chunk").applyInPandas(lambda df: resolve_chunk(df, buckets, known), "head binary, counts binary, cells array<long>, weights array<long>")
     resolved = settle(resolved, "lm_counts")
+    discard(chunks)
+    discard(totals)
     release(spark)
     cells = resolved.select(F.explode(F.arrays_zip("cells", "weights")).alias("c")).groupBy("c.cells").agg(F.sum("c.weights").alias("n")).collect()
     mix = learn(np.array([r[0] for r in cells], np.int64), np.array([r[1] for r in cells], float), kept_words)
     n = known["kept_tokens"] + known["deleted_tokens"]
-    return resolved.select("head", "counts").mapInArrow(lambda it: score_batches(it, mix, n, vocabulary), SCORED)
+    n_docs = known["kept_docs"] + known["deleted_docs"]
+    return resolved.select("head", "counts").mapInArrow(lambda it: score_batches(it, mix, n_docs, n, vocabulary), SCORED)
 
 
 def size_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -9,6 +9,7 @@ MODULES = {
     "op1_suffix_array_dedup": "suffix_dedup",
     "op2_quality_rules": "quality_rules",
     "op3_url_filter": "url_filter",
+    "op4_cotrained_quality": "cotraining",
     "op5_benchmark_decontamination": "decontaminate",
     "op6_personal_data": "pii_crf",
     "op7_interpolated_lm": "interpolated_lm",

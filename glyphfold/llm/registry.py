@@ -20,7 +20,8 @@ MODULES = {
 
 
 def queries() -> dict:
-    return {name: import_module(f"glyphfold.llm.{module}").query for name, module in MODULES.items()}
+    found = {name: import_module(f"glyphfold.llm.{module}").query for name, module in MODULES.items()}
+    return found | {"pipeline": import_module("corpus_pipeline").run}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -124,8 +124,9 @@ def url_verdicts(pages: DataFrame, labels: DataFrame, fixed=HOST_RULES, id_col:
     urls = split_url(pages.select(F.col(id_col).alias("page_id"), F.col(url_col).alias("url"))).withColumn("tokens", token_column())
     truth = labels.select(F.col(label_id).alias("page_id"), ((F.col("quality") == 0) | (F.col("toxic") == 1)).alias("bad")).where("bad is not null").distinct()
     rules = mined_rules(urls.join(truth, "page_id").select("tokens", "bad"), **mining)
-    best = matched(urls.select("tokens").distinct(), rules, "tokens").groupBy("tokens").agg(F.max(F.struct("confidence", F.concat_ws(" ", "rule").alias("mined"))).alias("best"))
-    out = urls.join(best, "tokens", "left").withColumn("fixed", fixed_rule(fixed))
+    best = matched(urls.select("page_id", "url", "tokens"), rules, "tokens").groupBy("page_id", "url").agg(F.max(F.struct("confidence", F.concat_ws(" ", "rule").alias("mined"))).alias("best"))
+    best = best.select(F.col("page_id").alias("_page"), F.col("url").alias("_url"), "best")
+    out = urls.join(best, F.col("page_id").eqNullSafe(F.col("_page")) & F.col("url").eqNullSafe(F.col("_url")), "left").withColumn("fixed", fixed_rule(fixed))
     verdict = F.coalesce("fixed.verdict", F.when(F.col("best").isNotNull(), "block").otherwise("allow"))
     return out.select("page_id", "host", "path", F.col("fixed.rule").alias("rule"), verdict.alias("verdict"), F.col("best.mined").alias("mined"), F.col("best.confidence").alias("confidence"))
 

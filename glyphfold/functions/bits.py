@@ -99,7 +99,7 @@ def register_sql(spark: SparkSession) -> None:
         "lsh_threshold(r DOUBLE, b DOUBLE) RETURNS DOUBLE RETURN pow(1.0D / b, 1.0D / r)",
         "band_curve(j DOUBLE, r DOUBLE, b DOUBLE) RETURNS DOUBLE RETURN 1 - pow(1 - pow(j, r), b)",
         """log2_binomial(n DOUBLE, k DOUBLE) RETURNS DOUBLE RETURN IF(least(k, n - k) <= 0, 0.0D, IF(least(k, n - k) <= 32,
-           aggregate(sequence(1, greatest(least(k, n - k), 1)), 0.0D, (a, i) -> a + log2((n - i + 1) / i)),
+           aggregate(sequence(1, cast(greatest(least(k, n - k), 1) as int)), 0.0D, (a, i) -> a + log2((n - i + 1) / i)),
            (least(k, n - k) * ln(n / least(k, n - k)) - greatest(k, n - k) * log1p(-least(k, n - k) / n)
             + 0.5D * ln(n / (2 * pi() * k * (n - k))) + (1 / n - 1 / k - 1 / (n - k)) / 12
             - (pow(n, -3) - pow(k, -3) - pow(n - k, -3)) / 360) / ln(2)))""",

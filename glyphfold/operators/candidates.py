@@ -299,23 +299,27 @@ def new_pairs(parts: list[list[int]], lists: dict, t_min: float, max_cluster: in
                 if ku != kv:
                     found.append((min(u, v), max(u, v), j))
 
+    # every new pair has an end outside the largest part
+    largest = max(range(len(parts)), key=lambda k: len(parts[k]))
+    small = [any(k != largest for _, k in kinds[key]) for _, key in reps]
     where: dict[int, list[int]] = defaultdict(list)
     for i, s in enumerate(sets):
         for t in s.tolist():
             where[t].append(i)
+    lists_at = {t: np.array(x) for t, x in where.items()}
+    sizes = np.array([len(s) for s in sets])
     for i, s in enumerate(sets):
+        if not small[i]:
+            continue
         own = kinds[reps[i][1]]
         if len(own) > 1:
             add(own, own, 1.0, True)
-        if not len(s):
-            continue
-        hit = np.bincount(np.concatenate([np.array(where[t]) for t in s.tolist()]), minlength=len(sets))
-        for o in np.flatnonzero(hit).tolist():
-            if o <= i or len(sets[i]) < math.floor(len(sets[o]) * t_min):
-                continue
-            j = hit[o] / (len(s) + len(sets[o]) - hit[o])
-            if j >= t_min - 1e-12:
-                add(own, kinds[reps[o][1]], float(j), False)
+        hit = np.bincount(np.concatenate([lists_at[t] for t in s.tolist()]), minlength=len(sets))
+        j = hit / (len(s) + sizes - hit)
+        fits = (j >= t_min - 1e-12) & (np.minimum(sizes, len(s)) >= np.floor(np.maximum(sizes, len(s)) * t_min))
+        for o in np.flatnonzero(fits).tolist():
+            if o != i and not (small[o] and o < i):
+                add(own, kinds[reps[o][1]], float(j[o]), False)
     return found
 
 

@@ -14,6 +14,7 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -538,10 +539,9 @@ def as_summary(g: PropertyGraph, tables: tuple[list, list, list]) -> Summary:
     frames = []
     for rows, schema in zip(tables, (SUPERNODES, MEMBERS, SUPEREDGES), strict=True):
         names = [c.split()[0] for c in schema.split(", ")]
-        pdf = pd.DataFrame(rows, columns=names)
-        for c, kind in (x.split() for x in schema.split(", ")):
-            pdf[c] = pdf[c].astype("Int64" if kind == "long" else object)
-        frames.append(spark.createDataFrame(pdf.astype(object).where(pdf.notna(), None), schema) if len(pdf) else spark.createDataFrame([], schema))
+        kinds = [pa.int64() if c.endswith("long") else pa.string() for c in schema.split(", ")]
+        columns = list(zip(*rows, strict=True)) if rows else [()] * len(names)
+        frames.append(spark.createDataFrame(pa.table([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names)))
     return Summary(g, *frames)
 
 
@@ -573,7 +573,7 @@ JUDGED = "pid long, delta double, glyph string, hub long, m long, self_m long, i
 
 
 def summarize_rounds(g: PropertyGraph, sets: list[tuple[tuple[int, ...], float]], cfg: SummaryConfig, max_rounds: int = 200) -> Summary:
-    """Rounds of parts whose every free node has no better-ranked candidate left.
+    """Rounds of parts whose every free node has no better-ranked candidate left; node ids are not negative.
 
     Node conflicts resolve as in rank order. All parts of a round are judged by joins
     against the summary at its start; counts of the whole summary are one row.
@@ -638,7 +638,7 @@ def out_histograms(sn: DataFrame, se: DataFrame, mem: DataFrame, e: DataFrame, d
 def judge_round(part_of: DataFrame, e: DataFrame, mem: DataFrame, sn: DataFrame, se: DataFrame, world: World, directed: bool, cfg: SummaryConfig) -> DataFrame:
     """Verdicts of all parts: each gets its incident edges and the super-nodes at their other ends."""
     outs = se.groupBy(F.col("ssid").alias("z")).agg(F.count("*").alias("z_out"))
-    info = sn.select(F.col("sid").alias("z"), F.col("size").alias("z_size"), F.col("glyph").alias("z_glyph"), F.col("hub").alias("z_hub")).join(outs, "z", "left")
+    info = sn.select(F.col("sid").alias("z"), F.col("size").alias("z_size"), F.col("glyph").alias("z_glyph"), F.coalesce("hub", F.lit(-1)).alias("z_hub")).join(outs, "z", "left").na.fill(0, ["z_out"])
     src, dst = part_of.select(F.col("id").alias("src"), F.col("pid").alias("p")), part_of.select(F.col("id").alias("dst"), F.col("pid").alias("q"))
     z = lambda end: mem.select(F.col("id").alias(end), F.col("sid").alias(f"z_{end}"))
     x = e.join(src, "src", "left").join(dst, "dst", "left").where("p is not null or q is not null").join(z("src"), "src").join(z("dst"), "dst")
@@ -646,7 +646,7 @@ def judge_round(part_of: DataFrame, e: DataFrame, mem: DataFrame, sn: DataFrame,
     to = x.where("p is not null").select(F.col("p").alias("pid"), "src", "dst", "m", F.when(inside, "in").otherwise("to").alias("way"), F.col("z_dst").alias("z"))
     back = x.where("q is not null").where(~inside).select(F.col("q").alias("pid"), "src", "dst", "m", F.lit("from").alias("way"), F.col("z_src").alias("z"))
     rows = to.unionByName(back).join(info, "z")
-    own = part_of.join(outs.withColumnRenamed("z", "id"), "id", "left").select("pid", F.col("id").alias("src"), F.lit(None).cast("long").alias("dst"), F.lit(None).cast("long").alias("m"), F.lit("node").alias("way"), F.col("id").alias("z"), F.lit(1).cast("long").alias("z_size"), F.col("label").alias("z_glyph"), F.lit(None).cast("long").alias("z_hub"), F.coalesce("z_out", F.lit(0)).alias("z_out"))
+    own = part_of.join(outs.withColumnRenamed("z", "id"), "id", "left").select("pid", F.col("id").alias("src"), F.lit(0).cast("long").alias("dst"), F.lit(0).cast("long").alias("m"), F.lit("node").alias("way"), F.col("id").alias("z"), F.lit(1).cast("long").alias("z_size"), F.col("label").alias("z_glyph"), F.lit(-1).cast("long").alias("z_hub"), F.coalesce("z_out", F.lit(0)).alias("z_out"))
 
     def kernel(df: pd.DataFrame) -> pd.DataFrame:
         pid = int(df["pid"].iloc[0])
@@ -659,7 +659,7 @@ def judge_round(part_of: DataFrame, e: DataFrame, mem: DataFrame, sn: DataFrame,
             if r.way == "in":
                 inner.append((u, v, m))
                 continue
-            sides[z_] = Side(int(r.z_size), r.z_glyph, None if pd.isna(r.z_hub) else int(r.z_hub), 0 if pd.isna(r.z_out) else int(r.z_out))
+            sides[z_] = Side(int(r.z_size), r.z_glyph, None if r.z_hub < 0 else int(r.z_hub), int(r.z_out))
             outer[z_].append((r.way == "to", u, v, m))
         if not directed:
             for z_, rows_ in outer.items():
@@ -684,12 +684,12 @@ def rebundle(se: DataFrame, gone: DataFrame, touched: DataFrame, e: DataFrame, m
     if not directed:
         flip = F.col("a") > F.col("b")
         x = x.select(F.when(flip, F.col("dst")).otherwise(F.col("src")).alias("src"), F.when(flip, F.col("src")).otherwise(F.col("dst")).alias("dst"), "m", F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    side = lambda c: sn.select(F.col("sid").alias(c), *(F.col(k).alias(f"{c}_{k}") for k in ("size", "glyph", "hub")))
+    side = lambda c: sn.select(F.col("sid").alias(c), F.col("size").alias(f"{c}_size"), F.col("glyph").alias(f"{c}_glyph"), F.coalesce("hub", F.lit(-1)).alias(f"{c}_hub"))
     x = x.select("src", "dst", "m", "a", "b").join(side("a"), "a").join(side("b"), "b")
 
     def decide(df: pd.DataFrame) -> pd.DataFrame:
         r = df.iloc[0]
-        end = lambda c: (int(r[f"{c}_size"]), r[f"{c}_glyph"], None if pd.isna(r[f"{c}_hub"]) else int(r[f"{c}_hub"]))
+        end = lambda c: (int(r[f"{c}_size"]), r[f"{c}_glyph"], None if r[f"{c}_hub"] < 0 else int(r[f"{c}_hub"]))
         with_, without, rep = bundle(list(zip(df["src"].tolist(), df["dst"].tolist(), df["m"].tolist(), strict=True)), end("a"), end("b"), cfg)
         keep = [(int(r["a"]), int(r["b"]), rep)] if with_ < without else []
         return pd.DataFrame(keep, columns=["ssid", "dsid", "m"], dtype="int64")

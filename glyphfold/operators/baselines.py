@@ -416,7 +416,7 @@ def summary_of_partition(g: PropertyGraph, members: DataFrame, superedges: str =
     keep = {"rule": F.col("keep"), "all": F.col("hit") > 0, "none": F.lit(False)}[superedges] | (F.col("n_a") * F.col("n_b") == 1)
     se = bundles.where(keep).select(F.col("a").alias("ssid"), F.col("b").alias("dsid"), F.col("rep").cast("long").alias("m"))
     se = se.unionByName(sn.where("self_m is not null").select(F.col("sid").alias("ssid"), F.col("sid").alias("dsid"), F.col("self_m").alias("m")))
-    return Summary(g, sn, members.select("id", "sid"), se)
+    return Summary(g, sn, members.select("id", "sid"), settle(se, "part_se"))
 
 
 def label_members(g: PropertyGraph) -> DataFrame:

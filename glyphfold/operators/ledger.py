@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 
 from glyphfold.functions.bits import channel_bits, diff_bits, int_bits, log2_binomial
 from glyphfold.operators.summary import STARS, Summary, identity_summary
+from glyphfold.session import settle
 from glyphfold.sources.graphs import PropertyGraph
 
 
@@ -36,9 +37,10 @@ class Codes:
         return int_bits(k, self.zero_bits)
 
 
-def n_scalars(s: Summary) -> DataFrame:
-    """One row: super-nodes, nodes and labels."""
-    return s.supernodes.agg(F.count("*").cast("double").alias("vs"), F.sum("size").cast("double").alias("v"), F.countDistinct("label").cast("double").alias("t"))
+def n_scalars(s: Summary) -> dict:
+    """Super-nodes, nodes and labels, as literals of later plans."""
+    r = s.supernodes.agg(F.count("*").cast("double").alias("vs"), F.coalesce(F.sum("size"), F.lit(0)).cast("double").alias("v"), F.countDistinct("label").cast("double").alias("t")).first()
+    return {k: F.lit(r[k]) for k in ("vs", "v", "t")}
 
 
 def slots(n, directed: bool, loops: bool):
@@ -49,16 +51,17 @@ def slots(n, directed: bool, loops: bool):
 
 def supernode_bits(s: Summary, codes: Codes = Codes()) -> DataFrame:
     """``(sid, part, bits)`` of the model: label, glyph, size, multiplicity, out-set and its multiplicities."""
+    n = n_scalars(s)
     out = s.superedges.groupBy(F.col("ssid").alias("sid")).agg(F.count("*").alias("d"), F.sum(codes.integer(F.col("m"))).alias("out_m"))
-    df = s.supernodes.join(out, "sid", "left").crossJoin(F.broadcast(n_scalars(s)))
+    df = s.supernodes.join(out, "sid", "left")
     d = F.coalesce("d", F.lit(0))
     parts = {
-        "label": F.log2("t"),
+        "label": F.log2(n["t"]),
         "glyph": F.lit(2.0),
         "size": codes.integer(F.col("size")),
         "m": codes.integer(F.coalesce("m", F.lit(1))),
-        "out_count": F.log2("vs"),
-        "out_set": log2_binomial(F.col("vs"), d),
+        "out_count": F.log2(n["vs"]),
+        "out_set": log2_binomial(n["vs"], d),
         "out_m": F.coalesce("out_m", F.lit(0.0)),
     }
     rows = F.explode(F.array(*(F.struct(F.lit(k).alias("part"), v.alias("bits")) for k, v in parts.items())))
@@ -67,14 +70,15 @@ def supernode_bits(s: Summary, codes: Codes = Codes()) -> DataFrame:
 
 def model_bits(s: Summary, codes: Codes = Codes()) -> DataFrame:
     own = supernode_bits(s, codes).agg(F.coalesce(F.sum("bits"), F.lit(0.0)).alias("own"))
-    return own.crossJoin(n_scalars(s)).select((F.col("own") + F.coalesce(codes.integer(F.col("vs")) + codes.integer(F.col("t")), F.lit(0.0))).alias("bits"))
+    n = n_scalars(s)
+    return own.select((F.col("own") + codes.integer(n["vs"]) + codes.integer(n["t"])).alias("bits"))
 
 
 def mapping_bits(s: Summary) -> DataFrame:
     """Which nodes each super-node holds, and which is the hub of a star."""
-    df = s.supernodes.crossJoin(F.broadcast(n_scalars(s)))
+    df, n = s.supernodes, n_scalars(s)
     hub = F.when(F.col("glyph").isin(*STARS), F.log2(F.col("size").cast("double"))).otherwise(0.0)
-    return df.agg(F.coalesce(F.sum(log2_binomial(F.col("v"), F.col("size")) + hub), F.lit(0.0)).alias("bits"))
+    return df.agg(F.coalesce(F.sum(log2_binomial(n["v"], F.col("size")) + hub), F.lit(0.0)).alias("bits"))
 
 
 def bundled(s: Summary) -> DataFrame:
@@ -176,8 +180,8 @@ def multiplicity_bits(s: Summary, edges: DataFrame, codes: Codes = Codes()) -> D
 def locate_bits(s: Summary, edges: DataFrame) -> DataFrame:
     """What ``printed`` leaves out: per super-node the number and choice of loose targets."""
     targets = loose(s, edges).groupBy(F.col("ssid").alias("sid")).agg(F.count("*").alias("k"))
-    df = s.supernodes.select("sid").join(targets, "sid", "left").crossJoin(F.broadcast(n_scalars(s)))
-    return df.agg(F.coalesce(F.sum(F.log2("vs") + log2_binomial(F.col("vs"), F.coalesce("k", F.lit(0)))), F.lit(0.0)).alias("bits"))
+    df, n = s.supernodes.select("sid").join(targets, "sid", "left"), n_scalars(s)
+    return df.agg(F.coalesce(F.sum(F.log2(n["vs"]) + log2_binomial(n["vs"], F.coalesce("k", F.lit(0)))), F.lit(0.0)).alias("bits"))
 
 
 PARTS = ("model", "mapping", "glyph_topology", "loop_topology", "superedge_topology", "loose_topology", "multiplicity", "location")
@@ -185,7 +189,7 @@ PARTS = ("model", "mapping", "glyph_topology", "loop_topology", "superedge_topol
 
 def total_bits(s: Summary, codes: Codes = Codes()) -> DataFrame:
     """``(part, ledger, bits)``; location belongs to the sound ledger only."""
-    edges = bundled(s)
+    edges = settle(bundled(s), "bundled")
     total = lambda df, *cols: df.agg(F.coalesce(F.sum(sum(F.col(c) for c in cols)), F.lit(0.0)).alias("bits"))
     made = {
         "model": model_bits(s, codes),

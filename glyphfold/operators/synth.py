@@ -20,21 +20,28 @@ def kout_edges(spark: SparkSession, n: int, k: int = 10, seed: int = 42) -> Data
     endpoint slots; an even slot 2f is edge f's source, an odd one its target, which is
     resolved by the same hash again. Every edge is computed alone: no communication.
     """
-    e = spark.range(n * k).select(F.col("id").alias("e"))
-    pick = lambda x, salt: F.pmod((F.pmod(x, F.lit(STEP_P)) * STEP_A + STEP_C + salt * 7919 + seed * 104_729), F.lit(STEP_P))
-    cur, target = F.col("e"), F.lit(None).cast("long")
-    df = e.withColumns({"cur": cur, "target": target})
-    for step in range(CHAIN):
-        slots = F.col("cur") * 2
-        slot = F.when(slots > 0, F.pmod(pick(F.col("cur") + F.col("e") * 31, step), slots)).otherwise(F.lit(0).cast("long"))
-        edge = F.floor(slot / 2)
-        is_source = (slot % 2 == 0) | F.lit(step == CHAIN - 1)
-        done = F.col("target").isNotNull()
-        df = df.withColumn("slot", slot).withColumns({"target": F.when(done, F.col("target")).when(F.col("cur") == 0, F.lit(0).cast("long")).when(is_source, F.floor(edge / k)), "cur": F.when(done | is_source, F.col("cur")).otherwise(edge)}).drop("slot")
-    src = F.floor(F.col("e") / k)
-    # a node may not meet itself: slots of its own block move to the node before
-    dst = F.when(F.col("target") >= src, F.greatest(src - 1, F.lit(0))).otherwise(F.col("target"))
-    return df.select("e", src.cast("long").alias("src"), dst.cast("long").alias("dst")).where("src > 0")
+
+    def grow(it):
+        import numpy as np
+        import pandas as pd
+
+        for df in it:
+            e = df["id"].to_numpy(np.int64)
+            cur, target = e.copy(), np.full(len(e), -1)
+            for step in range(CHAIN):
+                draw = ((cur + e * 31) % STEP_P * STEP_A + STEP_C + step * 7919 + seed * 104_729) % STEP_P
+                slot = np.where(cur > 0, draw % np.maximum(cur * 2, 1), 0)
+                edge, source = slot // 2, (slot % 2 == 0) | (step == CHAIN - 1)
+                open_ = target < 0
+                target = np.where(open_ & (cur == 0), 0, np.where(open_ & source, edge // k, target))
+                cur = np.where(open_ & ~source, edge, cur)
+            src = e // k
+            # a node may not meet itself: slots of its own block move to the node before
+            dst = np.where(target >= src, np.maximum(src - 1, 0), target)
+            keep = src > 0
+            yield pd.DataFrame({"e": e[keep], "src": src[keep], "dst": dst[keep]})
+
+    return spark.range(n * k).mapInPandas(grow, "e long, src long, dst long")
 
 
 def synth_kout(spark: SparkSession, n: int, k: int = 10, seed: int = 42) -> PropertyGraph:

@@ -334,10 +334,10 @@ for _g in ("trade_nation", "acct_segment"):
     add(f"expand_{_g}", lambda s, d, g=_g: summary.decompress(baselines.group_summary(w.built(s, d, g), "label", "all")).select("src", "dst", "m"), with_graph(_g, _EXP, ALL))
     add(
         f"corrections_{_g}",
-        lambda s, d, g=_g: summary.corrections(baselines.group_summary(w.built(s, d, g), "label", "all")),
+        lambda s, d, g=_g: summary.corrections(baselines.group_summary(w.built(s, d, g), "label", "all")).na.fill(0, ["m", "delta"]),
         with_graph(
             _g,
-            "select case when x.m is null then 'add' when e.m is null then 'drop' else 'retune' end as kind, coalesce(e.src, x.src) as src, coalesce(e.dst, x.dst) as dst, e.m, e.m - x.m as delta from e full join x on e.src = x.src and e.dst = x.dst where e.m is distinct from x.m",
+            "select case when x.m is null then 'add' when e.m is null then 'drop' else 'retune' end as kind, coalesce(e.src, x.src) as src, coalesce(e.dst, x.dst) as dst, coalesce(e.m, 0) as m, coalesce(e.m - x.m, 0) as delta from e full join x on e.src = x.src and e.dst = x.dst where e.m is distinct from x.m",
             f"{ALL}, x as ({_EXP})",
         ),
     )
@@ -399,13 +399,13 @@ add("pairmerge_rounds_host_links", lambda s, d: baselines.pairmerge_cost(baselin
 add("pairmerge_rebuild_host_links", lambda s, d: summary.reconstruct(baselines.pairmerge_randomized(w.built(s, d, "host_links"))), with_graph("host_links", "select src, dst, m from e"))
 for _sel in ("plain", "top10", "top100", "greedy_forget"):
     add(f"vocab_{_sel}_host_links", lambda s, d, k=_sel: s.createDataFrame(baselines.vocab_summary(w.built(s, d, "host_links").simplify({"L", "M", "D", "S"}), k), "kind string, size long, gain double"))
-add("undirected_similarity_trade_nation", lambda s, d: summary.size_reduction(w.summary_of(s, d, "trade_nation", 5, similarity="undirected")))
+add("undirected_similarity_trade_nation", lambda s, d: measures.size_reduction(w.summary_of(s, d, "trade_nation", 5, similarity="undirected")))
 for _k in ("label", "duplicates", "random"):
     add(f"group_{_k}_acct_segment", lambda s, d, k=_k: ledger.total_bits(baselines.group_summary(w.built(s, d, "acct_segment"), k)))
 add("ablation_rep", lambda s, d: measures.ablation_rep(graphs.trade_nation(s, d).edges.select(F.col("src").cast("string").alias("key"), "m")))
 add("ablation_glyph", lambda s, d: s.createDataFrame(list(measures.ablation_glyph(w.built(s, d, "doc_cites")).items()), "rule string, ratio double"))
 for _t in ("L", "M", "S"):
-    add(f"without_{_t}_doc_cites", lambda s, d, t=_t: summary.size_reduction(merge.summarize(w.built(s, d, "doc_cites").simplify({t}))))
+    add(f"without_{_t}_doc_cites", lambda s, d, t=_t: measures.size_reduction(merge.summarize(w.built(s, d, "doc_cites").simplify({t}))))
 
 # streams ----------------------------------------------------------------------------------
 

@@ -16,9 +16,13 @@ EDGE = "src long, dst long, ts timestamp"
 
 
 def read_events(spark: SparkSession, path: str) -> DataFrame:
-    """A file stream over Parquet events."""
+    """A file stream over Parquet events: a folder that grows, or one file of it."""
     schema = spark.read.parquet(path).schema
-    return spark.readStream.schema(schema).parquet(path)
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    reader = spark.readStream.schema(schema)
+    if at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(at).isFile():
+        return reader.option("pathGlobFilter", at.getName()).parquet(at.getParent().toString())
+    return reader.parquet(path)
 
 
 def _timed(events: DataFrame) -> DataFrame:
@@ -36,11 +40,13 @@ def successors(events: DataFrame, watermark: str = "1 hour") -> DataFrame:
 
     def step(user: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         df = pd.concat(list(parts)).sort_values(["ts", "event_id"])
-        last = state.get[0] if state.exists else None
-        before = [last, *df["state"].tolist()[:-1]]
-        state.update((int(df["state"].iloc[-1]),))
-        out = pd.DataFrame({"src": before, "dst": df["state"].tolist(), "ts": df["ts"].tolist()})
-        yield out.dropna(subset=["src"]).astype({"src": "int64", "dst": "int64"}) if last is None else out
+        states, times = df["state"].tolist(), df["ts"].tolist()
+        if state.exists:
+            states.insert(0, state.get[0])
+        else:
+            times = times[1:]
+        state.update((states[-1],))
+        yield pd.DataFrame({"src": states[:-1], "dst": states[1:], "ts": times}).astype({"src": "int64", "dst": "int64"})
 
     return rows.groupBy("user_id").applyInPandasWithState(step, EDGE, "last long", "append", GroupStateTimeout.NoTimeout)
 

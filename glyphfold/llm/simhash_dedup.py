@@ -30,11 +30,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from glyphfold.operators.components import connected_components
+from glyphfold.llm.suffix_dedup import mixed
 from glyphfold.session import settle
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 #: Records of one anchor above which it is split.
 HOT_ANCHOR = 2048
+#: Independent families of fingerprints that can share one search.
+SPACES = 8
 U1 = np.uint64(1)
 
 
@@ -123,13 +126,13 @@ def filed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """Records of distinct fingerprints under the anchors of both halves."""
     for df in batches:
         fp = df["fp"].to_numpy(np.int64).view(np.uint64)
-        ids = df["id"].to_numpy(np.int64)
+        ids, space = df["id"].to_numpy(np.int64), df["space"].to_numpy(np.int64)
         for side in (0, 1):
             half = (fp >> np.uint64(32 * side)).astype(np.uint32)
             home, rows, near = anchors(half)
-            key = lambda a: a.astype(np.int64) * 2 + side  # noqa: B023,E731
-            yield pd.DataFrame({"anchor": key(home), "visitor": False, "fp": fp.view(np.int64), "id": ids})
-            yield pd.DataFrame({"anchor": key(near), "visitor": True, "fp": fp[rows].view(np.int64), "id": ids[rows]})
+            key = lambda a, sp: (a.astype(np.int64) * 2 + side) * SPACES + sp  # noqa: B023,E731
+            yield pd.DataFrame({"anchor": key(home, space), "visitor": False, "fp": fp.view(np.int64), "id": ids})
+            yield pd.DataFrame({"anchor": key(near, space[rows]), "visitor": True, "fp": fp[rows].view(np.int64), "id": ids[rows]})
 
 
 def bit_count(x: np.ndarray) -> np.ndarray:
@@ -191,14 +194,19 @@ def linked(batches: Iterator[pd.DataFrame], radius: int) -> Iterator[pd.DataFram
 
 
 def links(prints: DataFrame, radius: int = 3) -> DataFrame:
-    """``(src, dst)`` edges that connect all of ``prints(id, fp)`` within ``radius`` (3 at most)."""
+    """``(src, dst)`` edges that connect all of ``prints(id, fp)`` within ``radius`` (3 at most).
+
+    With a column ``space`` (below 8) only fingerprints of the same space are compared.
+    """
     if radius > 3:
         raise ValueError("the anchors cover distances up to 3")
     spark = prints.sparkSession
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    records = settle(prints.mapInPandas(filed, "anchor long, visitor boolean, fp long, id long"), "anchor_records")
+    if "space" not in prints.columns:
+        prints = prints.withColumn("space", F.lit(0).cast("long"))
+    records = settle(prints.select("id", "fp", "space").mapInPandas(filed, "anchor long, visitor boolean, fp long, id long"), "anchor_records")
     hot = records.groupBy("anchor").count().where(F.col("count") > HOT_ANCHOR).select("anchor", F.lit(True).alias("hot"))
-    other = F.when(F.col("anchor") % 2 == 0, F.shiftrightunsigned("fp", 32)).otherwise(F.col("fp"))
+    other = F.when(F.shiftright("anchor", 3) % 2 == 0, F.shiftrightunsigned("fp", 32)).otherwise(F.col("fp"))
     pieces = F.array(*(F.lit(i * 256) + F.shiftrightunsigned(other, 8 * i).bitwiseAND(F.lit(255)) for i in range(4)))
     records = (
         records.join(hot, "anchor", "left")
@@ -228,10 +236,90 @@ def simhash_components(docs: DataFrame, width: int = 3, radius: int = 3, seed: i
     return prints.join(label, "fp", "left").select("doc_id", "fp", "component_id")
 
 
-def near_dedup(docs: DataFrame, width: int = 5, radius: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that stand for their component: those of its smallest id."""
-    groups = simhash_components(docs, width, radius, id_col=id_col, text_col=text_col)
-    gone = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct()
+def word_print_batches(batches: Iterator[pa.RecordBatch], families: int, least_letters: int) -> Iterator[pa.RecordBatch]:
+    """Per text a hash of all its words, and ``families`` fingerprints of its longer words.
+
+    Longer words tell texts apart better than frequent short ones, and an edit changes
+    only few of them; a text without any takes all its words.
+    """
+
+    class Hashes(dict):
+        def __missing__(self, word):
+            self[word] = h = xxhash.xxh64_intdigest(word)
+            return h
+
+    seen = Hashes()
+    for batch in batches:
+        whole, hashes, counts, out = [], [], [], []
+
+        def flush():
+            h, n = np.array(hashes, np.uint64), np.array(counts, np.int64)
+            out.append([fold_bits(mixed(h + np.uint64(k) * np.uint64(0x9E3779B97F4A7C15)), n) for k in range(families)])
+            hashes.clear()
+            counts.clear()
+
+        for text in batch.column("text"):
+            words = (text.as_py() or "").encode("utf-8", "replace").translate(LOWER).split()
+            whole.append(xxhash.xxh64_intdigest(b" ".join(words)) - (1 << 63))
+            some = [w for w in words if len(w) >= least_letters] or words
+            hashes.extend(map(seen.__getitem__, some))
+            counts.append(len(some))
+            if len(hashes) > 200_000:
+                flush()
+            if len(seen) > 500_000:
+                seen.clear()
+        flush()
+        prints = [np.concatenate([o[k] for o in out]).view(np.int64) for k in range(families)]
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(whole, pa.int64()), *map(pa.array, prints)], ["doc_id", "whole", *(f"f{k}" for k in range(families))])
+
+
+def shingle_set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        sets = [np.unique(np.array(shingle_hashes(t.as_py(), width), np.uint64)).view(np.int64) for t in batch.column("text")]
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sets, pa.list_(pa.int64()))], ["id", "s"])
+
+
+def near_duplicates(
+    docs: DataFrame, similarity: float = 0.8, width: int = 5, families: int = 4, least_letters: int = 5, rounds: int = 3, id_col: str = "doc_id", text_col: str = "text"
+) -> DataFrame:
+    """``(id, kept)``: documents to drop, each with a smaller one it repeats.
+
+    Equal texts (up to case and white space) are folded. Candidates are linked by
+    fingerprints at 3 bits or less in any family, joined to components, and compared
+    with the smallest document of theirs: similarity of the sets of ``width``-word
+    shingles settles it. What is not similar to it is searched again on its own.
+    """
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    schema = "doc_id long, whole long, " + ", ".join(f"f{k} long" for k in range(families))
+    prints = settle(rows.mapInArrow(lambda it: word_print_batches(it, families, least_letters), schema), "word_prints")
+    least = prints.where("doc_id is not null").groupBy("whole").agg(F.min("doc_id").alias("id"), *(F.min(f"f{k}").alias(f"f{k}") for k in range(families)))
+    least = settle(least, "texts")
+    gone = prints.join(least.select("whole", F.col("id").alias("kept")), "whole").where("doc_id <> kept").select(F.col("doc_id").alias("id"), "kept")
+    open_ = least.drop("whole")
+    for _ in range(rounds):
+        each = F.explode(F.array(*(F.struct(F.lit(k).cast("long").alias("space"), F.col(f"f{k}").alias("fp")) for k in range(families))))
+        long = open_.select("id", each.alias("p")).select("id", "p.space", "p.fp")
+        first = settle(long.groupBy("space", "fp").agg(F.min("id").alias("id")), "first_prints")
+        same = long.join(first.withColumnRenamed("id", "dst"), ["space", "fp"]).where("id <> dst").select(F.col("id").alias("src"), "dst")
+        comps = settle(connected_components(same.unionByName(links(first))), "near_components")
+        if comps.isEmpty():
+            break
+        texts = rows.join(comps.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+        sets = settle(texts.mapInArrow(lambda it: shingle_set_batches(it, width), "id long, s array<long>"), "shingle_sets")
+        pairs = comps.where("id <> root").join(sets, "id").join(sets.select(F.col("id").alias("root"), F.col("s").alias("t")), "root")
+        both = F.size(F.array_intersect("s", "t"))
+        judged = settle(pairs.select("id", "root", (both / (F.size("s") + F.size("t") - both) >= similarity - 1e-12).alias("near")), "near_judged")
+        gone = gone.unionByName(judged.where("near").select("id", F.col("root").alias("kept")))
+        rest = judged.where("not near").select("id")
+        if rest.isEmpty():
+            break
+        open_ = settle(open_.join(rest, "id", "left_semi"), "near_open")
+    return gone
+
+
+def near_dedup(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
+    """The rows of ``docs`` that repeat no smaller document, columns unchanged; null ids stay."""
+    gone = near_duplicates(docs, id_col=id_col, **options).select(F.col("id").alias("_gone")).distinct()
     return docs.join(gone, F.col(id_col) == F.col("_gone"), "left_anti")
 
 

@@ -80,3 +80,26 @@ def test_chain_of_prints(spark):
 
     roots = {r.id: r.root for r in connected_components(sd.links(df)).collect()}
     assert set(roots.values()) == {5} and len(roots) == 20
+
+
+def test_near_duplicates_are_verified(spark):
+    """Kept documents differ; dropped ones repeat a smaller one; nearly all near copies go."""
+    random.seed(11)
+    vocab = ["the", "of", "and"] + [f"{a}{b}word{i}" for i, (a, b) in enumerate((x, y) for x in "abcdefghij" for y in "klmnopqrst")]
+    docs, truth = [], {}
+    for base in range(25):
+        words = random.choices(vocab, k=random.randint(150, 500))
+        for copy in range(random.randint(1, 6)):
+            w = list(words)
+            for _ in range(0 if copy == 0 else random.randint(0, len(w) // 120)):
+                w[random.randrange(len(w))] = random.choice(vocab)
+            truth[len(docs)] = base
+            docs.append((len(docs), " ".join(w).upper() if copy == 1 else " ".join(w)))
+    df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+    sets = {i: set(sd.shingle_hashes(t, 5)) for i, t in docs}
+    j = lambda a, b: len(sets[a] & sets[b]) / len(sets[a] | sets[b])
+    gone = {r.id: r.kept for r in sd.near_duplicates(df).collect()}
+    assert all(k < i and j(i, k) >= 0.8 for i, k in gone.items())
+    due = {i for i in sets if any(k < i and j(i, k) >= 0.8 for k in sets)}
+    assert len(gone) >= 0.95 * len(due) and len(due) > 30
+    assert sd.near_dedup(df.limit(0)).count() == 0

@@ -43,8 +43,8 @@ from glyphfold.session import release, settle
 
 #: Bytes of an anchor, from 16 to 24: longer ones are shared by chance less often, shorter ones are fewer.
 GRAM = 20
-SLICE = 1 << 20
-CHUNK_BYTES = 8 << 20
+SLICE = 1 << 18
+CHUNK_BYTES = 4 << 20
 BUCKET_BYTES = 4 << 20
 MAX_BUCKETS = 100_000
 #: Contexts of the same leading bytes above which they are compared string by string.

@@ -39,7 +39,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from glyphfold.session import release, settle
+from glyphfold.llm.lean import keep_small, trim
+from glyphfold.session import discard, release, settle
+
+keep_small()
 
 #: Bytes of an anchor, from 16 to 24: longer ones are shared by chance less often, shorter ones are fewer.
 GRAM = 20
@@ -280,6 +283,8 @@ def suffix_batches(batches: Iterator[pa.RecordBatch], splitters: np.ndarray, win
             full = np.flatnonzero(cut[1:] > cut[:-1])
             blobs = [packed(lead[a:b], nxt[a:b], context[a:b], least[a:b]) for a, b in zip(cut[full], cut[full + 1], strict=True)]
             yield pa.RecordBatch.from_arrays([pa.array(full.astype(np.int64)), pa.array([chunk] * len(full), pa.int64()), pa.array(blobs, pa.binary())], ["bucket", "chunk", "body"])
+            del lead, nxt, context, doc, keep, least, blobs
+            trim()
 
 
 def compare_suffixes(df: pd.DataFrame, splitters: np.ndarray, hot_gram: int) -> pd.DataFrame:
@@ -522,9 +527,10 @@ def suffix_dedup(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text
     release(spark)
 
     texts = chunks.select("chunk", F.lit(-1).cast("long").alias("bucket"), "body")
-    known = settle(
+    known = settle(  # what the states said is in there
         texts.unionByName(states).groupBy("chunk").applyInPandas(lambda df: resolve_chunk(df, buckets, window), "bucket long, chunk long, body binary"), "open_strings"
     )
+    discard(states)
     release(spark)
     strings = known.where("bucket >= 0").groupBy("bucket").applyInPandas(lambda df: compare_open(df, buckets, window), entry)
     last = texts.unionByName(known.where("bucket < 0")).unionByName(strings)

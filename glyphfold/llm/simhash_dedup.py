@@ -34,8 +34,8 @@ from glyphfold.llm.suffix_dedup import mixed
 from glyphfold.session import settle
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
-#: Records of one anchor above which it is split.
-HOT_ANCHOR = 2048
+#: Homes of one anchor above which it is split.
+HOT_ANCHOR = 256
 #: Independent families of fingerprints that can share one search.
 SPACES = 8
 U1 = np.uint64(1)
@@ -122,8 +122,8 @@ def anchors(half: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return home, np.concatenate(rows), np.concatenate(near)
 
 
-def filed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """Records of distinct fingerprints under the anchors of both halves."""
+def filed(batches: Iterator[pd.DataFrame], visits: bool = True) -> Iterator[pd.DataFrame]:
+    """Records of distinct fingerprints under the anchors of both halves; homes only without ``visits``."""
     for df in batches:
         fp = df["fp"].to_numpy(np.int64).view(np.uint64)
         ids, space = df["id"].to_numpy(np.int64), df["space"].to_numpy(np.int64)
@@ -132,6 +132,8 @@ def filed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             home, rows, near = anchors(half)
             key = lambda a, sp: (a.astype(np.int64) * 2 + side) * SPACES + sp  # noqa: B023,E731
             yield pd.DataFrame({"anchor": key(home, space), "visitor": False, "fp": fp.view(np.int64), "id": ids})
+            if not visits:
+                continue
             yield pd.DataFrame({"anchor": key(near, space[rows]), "visitor": True, "fp": fp[rows].view(np.int64), "id": ids[rows]})
 
 
@@ -204,8 +206,12 @@ def links(prints: DataFrame, radius: int = 3) -> DataFrame:
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     if "space" not in prints.columns:
         prints = prints.withColumn("space", F.lit(0).cast("long"))
-    records = settle(prints.select("id", "fp", "space").mapInPandas(filed, "anchor long, visitor boolean, fp long, id long"), "anchor_records")
-    hot = records.groupBy("anchor").count().where(F.col("count") > HOT_ANCHOR).select("anchor", F.lit(True).alias("hot"))
+    prints = prints.select("id", "fp", "space")
+    record = "anchor long, visitor boolean, fp long, id long"
+    homes = prints.mapInPandas(lambda it: filed(it, False), record)
+    hot = homes.groupBy("anchor").count().where(F.col("count") > HOT_ANCHOR).select("anchor", F.lit(True).alias("hot"))
+    hot = settle(hot, "hot_anchors")  # of known size: Spark broadcasts it if it is small
+    records = prints.mapInPandas(filed, record)
     other = F.when(F.shiftright("anchor", 3) % 2 == 0, F.shiftrightunsigned("fp", 32)).otherwise(F.col("fp"))
     pieces = F.array(*(F.lit(i * 256) + F.shiftrightunsigned(other, 8 * i).bitwiseAND(F.lit(255)) for i in range(4)))
     records = (
@@ -280,7 +286,7 @@ def shingle_set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterat
 
 
 def near_duplicates(
-    docs: DataFrame, similarity: float = 0.8, width: int = 5, families: int = 4, least_letters: int = 5, rounds: int = 3, id_col: str = "doc_id", text_col: str = "text"
+    docs: DataFrame, similarity: float = 0.8, width: int = 5, families: int = 2, least_letters: int = 7, rounds: int = 3, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
     """``(id, kept)``: documents to drop, each with a smaller one it repeats.
 

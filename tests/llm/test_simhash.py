@@ -63,7 +63,7 @@ def test_components_match_brute_force(spark, monkeypatch):
     df = spark.createDataFrame([(i, t, "x") for i, t in rows], "doc_id long, text string, fp string").repartition(3)
     fps = {i: brute_print(t) for i, t in rows}
     want = {i: (f"{fps[i]:016x}", r) for i, r in brute_roots(fps).items()}
-    for hot in (2048, 6):
+    for hot in (256, 1):
         monkeypatch.setattr(sd, "HOT_ANCHOR", hot)
         got = {r.doc_id: (f"{r.fp % 2**64:016x}", r.component_id) for r in sd.simhash_components(df).collect()}
         assert got == want

@@ -88,6 +88,14 @@ def threshold(r: int, b: int) -> float:
     return (1 / b) ** (1 / r)
 
 
+def split_large(now: DataFrame, sig: DataFrame, max_cluster: int) -> DataFrame:
+    """Clusters above the bound are paired in parts, by one more signature row; bounds the memory of pairs."""
+    size = now.groupBy("cluster").agg(F.count("*").alias("n"))
+    rows = now.join(size, "cluster").join(sig.select("id", F.col("h_0").alias("part")), "id")
+    part = F.when(F.col("n") > max_cluster, F.col("part")).otherwise(F.lit(-1).cast("long"))
+    return rows.select("id", F.struct("cluster", part.alias("part")).alias("cluster"))
+
+
 def verify_new_pairs(before: DataFrame | None, now: DataFrame, tokens: DataFrame, r: int, t_min: float) -> DataFrame:
     """``(a, b, jd, entry_b)`` of pairs that just came together and may reach t_min."""
     nodes = now.join(degrees(tokens), "id")
@@ -215,7 +223,7 @@ def candidate_sets(
     if g.edges.limit(local_edges + 1).count() <= local_edges:
         tok = neighbor_tokens(g, mode).toPandas()
         return local_candidates(tok["id"].to_numpy(np.int64), tok["tok"].to_numpy(np.int64), r, b_max, filtered, seed, max_cluster)
-    return spark_candidates(g, r, b_max, filtered, seed, family, mode)
+    return spark_candidates(g, r, b_max, filtered, seed, family, mode, max_cluster)
 
 
 def local_candidates(ids: np.ndarray, tok: np.ndarray, r: int, b_max: int, filtered: bool = True, seed: int = 42, max_cluster: int = 5000) -> Candidates:
@@ -323,8 +331,11 @@ def new_pairs(parts: list[list[int]], lists: dict, t_min: float, max_cluster: in
     return found
 
 
-def spark_candidates(g: PropertyGraph, r: int, b_max: int, filtered: bool, seed: int, family: str, mode: str) -> Candidates:
-    """The same rounds as DataFrames; each round's tables are written, its sets collected ranked."""
+def spark_candidates(g: PropertyGraph, r: int, b_max: int, filtered: bool, seed: int, family: str, mode: str, max_cluster: int = 5000) -> Candidates:
+    """The same rounds as DataFrames; each round's tables are written, its sets collected ranked.
+
+    Clusters above ``max_cluster`` are counted as capped and paired in parts.
+    """
     tokens = settle(neighbor_tokens(g, mode), "tokens")
     sig = settle(minhash(g, r, b_max, family, seed), "signatures")
     t_min = threshold(r, b_max)
@@ -333,7 +344,10 @@ def spark_candidates(g: PropertyGraph, r: int, b_max: int, filtered: bool, seed:
     for b in range(1, b_max + 1):
         now = settle(grow_clusters(clusters, buckets(sig, r, b - 1)), "clusters")
         if filtered:
-            new = settle(verify_new_pairs(clusters, now, tokens, r, t_min).withColumn("entry_b", F.greatest("entry_b", F.lit(b))), "simpairs")
+            large = now.groupBy("cluster").count().where(F.col("count") > max_cluster).count()
+            out.capped += large
+            paired = split_large(now, sig, max_cluster) if large else now
+            new = settle(verify_new_pairs(clusters, paired, tokens, r, t_min).withColumn("entry_b", F.greatest("entry_b", F.lit(b))), "simpairs")
             pairs = new if pairs is None else pairs.unionByName(new)
             found = settle(emerging_cliques(simgraph(pairs, b), best), "cliques")
             sizes = found.select(F.explode("ids").alias("id"), F.col("size").alias("best"))

@@ -99,6 +99,8 @@ def test_candidates_agree(spark):
     g = planted(spark, seed=3)
     a, b = cd.candidate_sets(g, 2, 3), cd.candidate_sets(g, 2, 3, local_edges=0)
     assert {k: sorted(v) for k, v in a.sets.items()} == {k: sorted(v) for k, v in b.sets.items()}
+    few = cd.candidate_sets(g, 2, 2, local_edges=0, max_cluster=3)
+    assert few.capped > 0 and all(q > 0 for _, q in few.upto(2))
     sig = cd.minhash(g, 2, 3)
     clusters = {r.id: r.cluster for r in cd.lsh_clusters(sig, 2, 3).collect()}
     exact = {(r.a, r.b): r.jd for r in similarity.exact_simpairs(g, cd.threshold(2, 3)).collect()}

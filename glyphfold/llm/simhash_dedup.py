@@ -242,41 +242,45 @@ def simhash_components(docs: DataFrame, width: int = 3, radius: int = 3, seed: i
     return prints.join(label, "fp", "left").select("doc_id", "fp", "component_id")
 
 
-def word_print_batches(batches: Iterator[pa.RecordBatch], families: int, least_letters: int) -> Iterator[pa.RecordBatch]:
-    """Per text a hash of all its words, and ``families`` fingerprints of its longer words.
+def band_batches(batches: Iterator[pa.RecordBatch], width: int, bands: int, per_band: int) -> Iterator[pa.RecordBatch]:
+    """Per text a hash of all its words, and one key per band of minima of its shingles' hashes.
 
-    Longer words tell texts apart better than frequent short ones, and an edit changes
-    only few of them; a text without any takes all its words.
+    Two texts of similarity s agree in a band with chance s ** per_band; a text without
+    words has no keys.
     """
-
-    class Hashes(dict):
-        def __missing__(self, word):
-            self[word] = h = xxhash.xxh64_intdigest(word)
-            return h
-
-    seen = Hashes()
+    draw = np.random.default_rng(42)
+    factors = draw.integers(1 << 62, 1 << 63, (bands, per_band), np.uint64) | U1
     for batch in batches:
         whole, hashes, counts, out = [], [], [], []
 
         def flush():
-            h, n = np.array(hashes, np.uint64), np.array(counts, np.int64)
-            out.append([fold_bits(mixed(h + np.uint64(k) * np.uint64(0x9E3779B97F4A7C15)), n) for k in range(families)])
+            n = np.array(counts, np.int64)
+            keys = np.zeros((len(n), bands), np.uint64)
+            if hashes:
+                h, some = np.array(hashes, np.uint64), n > 0
+                starts = np.concatenate([[0], np.cumsum(n[some])[:-1]])
+                room = np.empty_like(h)
+                for k in range(bands):
+                    key = np.full(len(starts), k, np.uint64)
+                    for f in factors[k]:
+                        np.multiply(h, f, out=room)
+                        key = mixed(key * np.uint64(0x9E3779B97F4A7C15) + np.minimum.reduceat(room, starts))
+                    keys[some, k] = key
+            out.extend(row if c else row[:0] for row, c in zip(keys.view(np.int64), counts, strict=True))
             hashes.clear()
             counts.clear()
 
         for text in batch.column("text"):
-            words = (text.as_py() or "").encode("utf-8", "replace").translate(LOWER).split()
+            text = text.as_py()
+            words = (text or "").encode("utf-8", "replace").translate(LOWER).split()
             whole.append(xxhash.xxh64_intdigest(b" ".join(words)) - (1 << 63))
-            some = [w for w in words if len(w) >= least_letters] or words
-            hashes.extend(map(seen.__getitem__, some))
-            counts.append(len(some))
+            own = shingle_hashes(text, width)
+            hashes.extend(own)
+            counts.append(len(own))
             if len(hashes) > 200_000:
                 flush()
-            if len(seen) > 500_000:
-                seen.clear()
         flush()
-        prints = [np.concatenate([o[k] for o in out]).view(np.int64) for k in range(families)]
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(whole, pa.int64()), *map(pa.array, prints)], ["doc_id", "whole", *(f"f{k}" for k in range(families))])
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(whole, pa.int64()), pa.array(out, pa.list_(pa.int64()))], ["doc_id", "whole", "keys"])
 
 
 def shingle_set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
@@ -286,28 +290,28 @@ def shingle_set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterat
 
 
 def near_duplicates(
-    docs: DataFrame, similarity: float = 0.8, width: int = 5, families: int = 2, least_letters: int = 7, rounds: int = 3, id_col: str = "doc_id", text_col: str = "text"
+    docs: DataFrame, similarity: float = 0.8, width: int = 5, bands: int = 24, per_band: int = 4, rounds: int = 3, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
     """``(id, kept)``: documents to drop, each with a smaller one it repeats.
 
-    Equal texts (up to case and white space) are folded. Candidates are linked by
-    fingerprints at 3 bits or less in any family, joined to components, and compared
-    with the smallest document of theirs: similarity of the sets of ``width``-word
-    shingles settles it. What is not similar to it is searched again on its own.
+    Equal texts (up to case and white space) are folded. Candidates agree in one of
+    ``bands`` keys of ``per_band`` minhashes each (a pair at 0.8 shares none with chance
+    3e-6), are joined to components, and compared with the smallest document of theirs:
+    similarity of the sets of ``width``-word shingles settles it. What is not similar
+    to it is searched again on its own.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    schema = "doc_id long, whole long, " + ", ".join(f"f{k} long" for k in range(families))
-    prints = settle(rows.mapInArrow(lambda it: word_print_batches(it, families, least_letters), schema), "word_prints")
-    least = prints.where("doc_id is not null").groupBy("whole").agg(F.min("doc_id").alias("id"), *(F.min(f"f{k}").alias(f"f{k}") for k in range(families)))
+    prints = settle(rows.mapInArrow(lambda it: band_batches(it, width, bands, per_band), "doc_id long, whole long, keys array<long>"), "band_keys")
+    least = prints.where("doc_id is not null").groupBy("whole").agg(F.min("doc_id").alias("id"))
     least = settle(least, "texts")
     gone = prints.join(least.select("whole", F.col("id").alias("kept")), "whole").where("doc_id <> kept").select(F.col("doc_id").alias("id"), "kept")
-    open_ = least.drop("whole")
+    firsts = prints.join(least.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    long = firsts.select(F.col("doc_id").alias("id"), F.explode("keys").alias("key"))
+    many = settle(long.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "shared_keys")  # of known size
+    open_ = settle(long.join(many, "key"), "near_open")
     for _ in range(rounds):
-        each = F.explode(F.array(*(F.struct(F.lit(k).cast("long").alias("space"), F.col(f"f{k}").alias("fp")) for k in range(families))))
-        long = open_.select("id", each.alias("p")).select("id", "p.space", "p.fp")
-        first = settle(long.groupBy("space", "fp").agg(F.min("id").alias("id")), "first_prints")
-        same = long.join(first.withColumnRenamed("id", "dst"), ["space", "fp"]).where("id <> dst").select(F.col("id").alias("src"), "dst")
-        comps = settle(connected_components(same.unionByName(links(first))), "near_components")
+        low = settle(open_.groupBy("key").agg(F.min("id").alias("dst")), "first_keys")
+        comps = settle(connected_components(open_.join(low, "key").select(F.col("id").alias("src"), "dst")), "near_components")
         if comps.isEmpty():
             break
         texts = rows.join(comps.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])

@@ -103,3 +103,22 @@ def test_near_duplicates_are_verified(spark):
     due = {i for i in sets if any(k < i and j(i, k) >= 0.8 for k in sets)}
     assert len(gone) >= 0.95 * len(due) and len(due) > 30
     assert sd.near_dedup(df.limit(0)).count() == 0
+
+
+def test_scattered_edits_are_found(spark):
+    """Copies with edits spread over short words, near the bound: all are found."""
+    random.seed(12)
+    vocab = [f"{a}{b}{c}" for a in "bcdfg" for b in "aeiou" for c in "klmnp"]
+    docs = []
+    for base in range(60):
+        words = random.choices(vocab, k=200)
+        docs.append((2 * base, " ".join(words)))
+        for at in range(10 + base, 200, 50):
+            words[at] = "edit"
+        docs.append((2 * base + 1, " ".join(words)))
+    sets = {i: set(sd.shingle_hashes(t, 5)) for i, t in docs}
+    j = lambda a, b: len(sets[a] & sets[b]) / len(sets[a] | sets[b])
+    due = {i: i - 1 for i in sets if i % 2 and j(i, i - 1) >= 0.8}
+    assert len(due) > 50 and all(j(i, k) < 0.9 for i, k in due.items())
+    df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+    assert {r.id: r.kept for r in sd.near_duplicates(df).collect()} == due

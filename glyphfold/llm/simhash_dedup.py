@@ -26,7 +26,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from glyphfold.operators.components import connected_components
@@ -290,15 +290,17 @@ def shingle_set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterat
 
 
 def near_duplicates(
-    docs: DataFrame, similarity: float = 0.8, width: int = 5, bands: int = 24, per_band: int = 4, rounds: int = 3, id_col: str = "doc_id", text_col: str = "text"
+    docs: DataFrame, similarity: float = 0.8, width: int = 5, bands: int = 24, per_band: int = 4, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
     """``(id, kept)``: documents to drop, each with a smaller one it repeats.
 
     Equal texts (up to case and white space) are folded. Candidates agree in one of
     ``bands`` keys of ``per_band`` minhashes each (a pair at 0.8 shares none with chance
-    3e-6), are joined to components, and compared with the smallest document of theirs:
-    similarity of the sets of ``width``-word shingles settles it. What is not similar
-    to it is searched again on its own.
+    3e-6); similarity of the sets of ``width``-word shingles settles them. In each round
+    the smallest open documents of every key, one at first and twice as many each time,
+    are compared with all others of the key and leave it, and near copies leave all keys.
+    So a large group of copies shrinks at once to its smallest documents, and rounds end
+    only when no key holds two documents: of those kept, all that share a key were compared.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     prints = settle(rows.mapInArrow(lambda it: band_batches(it, width, bands, per_band), "doc_id long, whole long, keys array<long>"), "band_keys")
@@ -309,22 +311,28 @@ def near_duplicates(
     long = firsts.select(F.col("doc_id").alias("id"), F.explode("keys").alias("key"))
     many = settle(long.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "shared_keys")  # of known size
     open_ = settle(long.join(many, "key"), "near_open")
-    for _ in range(rounds):
-        low = settle(open_.groupBy("key").agg(F.min("id").alias("dst")), "first_keys")
-        comps = settle(connected_components(open_.join(low, "key").select(F.col("id").alias("src"), "dst")), "near_components")
-        if comps.isEmpty():
-            break
-        texts = rows.join(comps.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-        sets = settle(texts.mapInArrow(lambda it: shingle_set_batches(it, width), "id long, s array<long>"), "shingle_sets")
-        pairs = comps.where("id <> root").join(sets, "id").join(sets.select(F.col("id").alias("root"), F.col("s").alias("t")), "root")
+    texts = rows.join(open_.select(F.col("id").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    sets = settle(texts.mapInArrow(lambda it: shingle_set_batches(it, width), "id long, s array<long>"), "shingle_sets")
+    done, heads = None, 1
+    while True:
+        place = F.row_number().over(Window.partitionBy("key").orderBy("id"))
+        low = settle(open_.withColumn("place", place).where(F.col("place") <= heads).select("key", F.col("id").alias("root")), "near_heads")
+        pairs = open_.join(low, "key").where("id > root").select("id", "root").distinct()
+        if done is not None:
+            pairs = pairs.join(done, ["id", "root"], "left_anti")
+        pairs = settle(pairs, "near_pairs")
+        tops = settle(sets.join(pairs.select(F.col("root").alias("id")).distinct(), "id", "left_semi").select(F.col("id").alias("root"), F.col("s").alias("t")), "near_tops")
         both = F.size(F.array_intersect("s", "t"))
-        judged = settle(pairs.select("id", "root", (both / (F.size("s") + F.size("t") - both) >= similarity - 1e-12).alias("near")), "near_judged")
-        gone = gone.unionByName(judged.where("near").select("id", F.col("root").alias("kept")))
-        rest = judged.where("not near").select("id")
-        if rest.isEmpty():
-            break
-        open_ = settle(open_.join(rest, "id", "left_semi"), "near_open")
-    return gone
+        near = both / (F.size("s") + F.size("t") - both) >= similarity - 1e-12
+        judged = settle(pairs.join(sets, "id").join(tops, "root").select("id", "root", near.alias("near")), "near_judged")
+        gone = gone.unionByName(judged.where("near").groupBy("id").agg(F.min("root").alias("kept")))
+        done = pairs if done is None else done.unionByName(pairs)
+        left = open_.join(judged.where("near").select("id").distinct(), "id", "left_anti").join(low.withColumnRenamed("root", "id"), ["key", "id"], "left_anti")
+        many = settle(left.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "shared_keys")
+        if many.isEmpty():
+            return gone
+        open_ = settle(left.join(many, "key"), "near_open")
+        heads *= 2
 
 
 def near_dedup(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:

@@ -122,3 +122,23 @@ def test_scattered_edits_are_found(spark):
     assert len(due) > 50 and all(j(i, k) < 0.9 for i, k in due.items())
     df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
     assert {r.id: r.kept for r in sd.near_duplicates(df).collect()} == due
+
+
+def test_chained_groups_are_all_resolved(spark, monkeypatch):
+    """Many groups of near copies under one key: every one is brought down to its smallest document."""
+    random.seed(13)
+    docs = []
+    for base in range(12):
+        words = [f"w{base}x{i}" for i in range(120)]
+        for copy in range(3):
+            docs.append((base + 12 * copy, " ".join(words + [f"tail{copy}"])))
+    one_key = sd.band_batches
+
+    def chained(batches, width, bands, per_band):
+        for b in one_key(batches, width, bands, per_band):
+            yield b.set_column(2, "keys", sd.pa.array([[7]] * len(b), sd.pa.list_(sd.pa.int64())))
+
+    monkeypatch.setattr(sd, "band_batches", chained)
+    df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+    gone = {r.id: r.kept for r in sd.near_duplicates(df).collect()}
+    assert gone == {i: i % 12 for i, _ in docs if i >= 12}

@@ -16,7 +16,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from glyphfold.operators.components import connected_components
@@ -88,22 +88,49 @@ def threshold(r: int, b: int) -> float:
     return (1 / b) ** (1 / r)
 
 
-def split_large(now: DataFrame, sig: DataFrame, max_cluster: int) -> DataFrame:
-    """Clusters above the bound are paired in parts, by one more signature row; bounds the memory of pairs."""
-    size = now.groupBy("cluster").agg(F.count("*").alias("n"))
-    rows = now.join(size, "cluster").join(sig.select("id", F.col("h_0").alias("part")), "id")
-    part = F.when(F.col("n") > max_cluster, F.col("part")).otherwise(F.lit(-1).cast("long"))
-    return rows.select("id", F.struct("cluster", part.alias("part")).alias("cluster"))
+def large_pairs(nodes: DataFrame, tokens: DataFrame, t_min: float) -> DataFrame:
+    """``(a, b, jd)``: all pairs of one cluster at ``t_min`` or more, without a table of all its pairs.
 
-
-def verify_new_pairs(before: DataFrame | None, now: DataFrame, tokens: DataFrame, r: int, t_min: float) -> DataFrame:
-    """``(a, b, jd, entry_b)`` of pairs that just came together and may reach t_min."""
-    nodes = now.join(degrees(tokens), "id")
-    pairs = window_pairs(nodes, t_min)
-    if before is not None:
+    Equal neighbourhoods are folded. Of the others two can reach t_min only if they share
+    a token among their rarest: of d tokens, all but t_min * d - 1 for the one of the larger
+    degree, and all but 2 * t_min / (1 + t_min) * d - 1 for the other. nodes has (cluster, id).
+    """
+    own = tokens.join(nodes, "id")
+    prints = own.groupBy("cluster", "id").agg(
+        F.count("*").alias("d"), *(F.sum(F.xxhash64("tok", F.lit(k)).cast("decimal(38,0)")).alias(f"p{k}") for k in (0, 1))
+    )
+    first = prints.groupBy("cluster", "d", "p0", "p1").agg(F.min("id").alias("rep"))
+    folded = settle(prints.join(first, ["cluster", "d", "p0", "p1"]).select("cluster", "id", "d", "rep"), "folded")
+    reps = settle(own.select("cluster", F.col("id").alias("rep"), "tok").join(folded.where("id = rep").select("cluster", "rep", "d"), ["cluster", "rep"]), "fold_tokens")
+    rarity = reps.groupBy("cluster", "tok").agg(F.count("*").alias("f"))
+    place = F.row_number().over(Window.partitionBy("cluster", "rep").orderBy("f", "tok"))
+    ranked = settle(reps.join(rarity, ["cluster", "tok"]).withColumn("place", place), "ranked_tokens")
+    prefix = lambda share: F.col("place") <= F.col("d") - F.ceil(F.col("d") * share - 1e-9) + 1
+    x = ranked.where(prefix(t_min)).select("cluster", "tok", F.col("rep").alias("x"), F.col("d").alias("dx"))
+    y = ranked.where(prefix(2 * t_min / (1 + t_min))).select("cluster", "tok", F.col("rep").alias("y"), F.col("d").alias("dy"))
+    smaller = (F.col("dy") < F.col("dx")) | ((F.col("dy") == F.col("dx")) & (F.col("y") < F.col("x")))
+    meet = x.join(y, ["cluster", "tok"]).where(smaller & (F.col("dy") >= F.col("dx") * t_min - 1e-9))
+    meet = meet.select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
+    alike = jaccard_for(tokens, meet).where(F.col("jd") >= t_min - 1e-12)
+    same = folded.where("id = rep").select(F.col("rep").alias("a"), F.col("rep").alias("b"), F.lit(1.0).alias("jd"))
+    u, v = folded.select(F.col("rep").alias("a"), F.col("id").alias("u")), folded.select(F.col("rep").alias("b"), F.col("id").alias("v"))
+    out = alike.unionByName(same).join(u, "a").join(v, "b").where("a <> b or u < v")
+    return out.select(F.least("u", "v").alias("a"), F.greatest("u", "v").alias("b"), "jd")
+
+
+def verify_new_pairs(before: DataFrame | None, now: DataFrame, tokens: DataFrame, r: int, t_min: float, large: DataFrame | None = None) -> DataFrame:
+    """``(a, b, jd, entry_b)`` of pairs that just came together and may reach t_min; large has the clusters not to be paired at once."""
+
+    def fresh(pairs):
+        if before is None:
+            return pairs
         x, y = before.select(F.col("id").alias("a"), F.col("cluster").alias("ca")), before.select(F.col("id").alias("b"), F.col("cluster").alias("cb"))
-        pairs = pairs.join(x, "a", "left").join(y, "b", "left").where("ca is null or cb is null or ca <> cb")
-    out = jaccard_for(tokens, pairs).where(F.col("jd") >= t_min - 1e-12)
+        return pairs.join(x, "a", "left").join(y, "b", "left").where("ca is null or cb is null or ca <> cb")
+
+    small = now if large is None else now.join(large, "cluster", "left_anti")
+    out = jaccard_for(tokens, fresh(window_pairs(small.join(degrees(tokens), "id"), t_min))).where(F.col("jd") >= t_min - 1e-12)
+    if large is not None:
+        out = out.unionByName(fresh(large_pairs(now.join(large, "cluster", "left_semi"), tokens, t_min)).select("a", "b", "jd"))
     return out.withColumn("entry_b", entry_band(F.col("jd"), r))
 
 
@@ -334,7 +361,7 @@ def new_pairs(parts: list[list[int]], lists: dict, t_min: float, max_cluster: in
 def spark_candidates(g: PropertyGraph, r: int, b_max: int, filtered: bool, seed: int, family: str, mode: str, max_cluster: int = 5000) -> Candidates:
     """The same rounds as DataFrames; each round's tables are written, its sets collected ranked.
 
-    Clusters above ``max_cluster`` are counted as capped and paired in parts.
+    Clusters above ``max_cluster`` are counted as capped and paired over their rare tokens, without loss.
     """
     tokens = settle(neighbor_tokens(g, mode), "tokens")
     sig = settle(minhash(g, r, b_max, family, seed), "signatures")
@@ -344,10 +371,10 @@ def spark_candidates(g: PropertyGraph, r: int, b_max: int, filtered: bool, seed:
     for b in range(1, b_max + 1):
         now = settle(grow_clusters(clusters, buckets(sig, r, b - 1)), "clusters")
         if filtered:
-            large = now.groupBy("cluster").count().where(F.col("count") > max_cluster).count()
-            out.capped += large
-            paired = split_large(now, sig, max_cluster) if large else now
-            new = settle(verify_new_pairs(clusters, paired, tokens, r, t_min).withColumn("entry_b", F.greatest("entry_b", F.lit(b))), "simpairs")
+            large = settle(now.groupBy("cluster").count().where(F.col("count") > max_cluster).select("cluster"), "large_clusters")
+            n_large = large.count()
+            out.capped += n_large
+            new = settle(verify_new_pairs(clusters, now, tokens, r, t_min, large if n_large else None).withColumn("entry_b", F.greatest("entry_b", F.lit(b))), "simpairs")
             pairs = new if pairs is None else pairs.unionByName(new)
             found = settle(emerging_cliques(simgraph(pairs, b), best), "cliques")
             sizes = found.select(F.explode("ids").alias("id"), F.col("size").alias("best"))

@@ -152,3 +152,17 @@ def test_options(spark):
     for change in ({"glyph_rule": "best"}, {"rep": "exact"}, {"rep": "median"}, {"rep": "mode"}, {"rep": "mean"}, {"mark_policy": "on_commit"}, {"nested": True}, {"include_membership": False, "max_candidates": 3}):
         s = merge.summarize(g, replace(merge.SummaryConfig(b=4), **change), cands)
         assert sorted(map(tuple, summary.reconstruct(s).collect())) == sorted(map(tuple, g.edges.collect())), change
+
+
+@pytest.mark.parametrize("seed", [3, 4])
+def test_large_clusters_lose_no_pairs(spark, seed):
+    """The sets don't depend on the size from which clusters are paired over rare tokens."""
+    g = planted(spark, seed=seed)
+    whole, parts = cd.candidate_sets(g, 2, 3), cd.candidate_sets(g, 2, 3, local_edges=0, max_cluster=3)
+    assert parts.capped > 0 and whole.pairs > 0
+    assert {k: sorted(v) for k, v in whole.sets.items()} == {k: sorted(v) for k, v in parts.sets.items()}
+    tokens = similarity.neighbor_tokens(g)
+    for t in (0.3, 0.45, 0.8):
+        nodes = tokens.select("id").distinct().selectExpr("0L as cluster", "id")
+        got = {(r.a, r.b): round(r.jd, 9) for r in cd.large_pairs(nodes, tokens, t).collect()}
+        assert got == {(r.a, r.b): round(r.jd, 9) for r in similarity.exact_simpairs(g, t - 1e-12).collect()}

@@ -143,37 +143,59 @@ def pairmerge_greedy(g: PropertyGraph) -> Summary:
     return pair_summary(g, p)
 
 
-def pairmerge_rounds(g: PropertyGraph, max_rounds: int = 8) -> Summary:
-    """Parallel form: in each round nodes that choose each other merge."""
+def pairmerge_rounds(g: PropertyGraph, max_rounds: int | None = None) -> Summary:
+    """Parallel form: in each round nodes that choose each other merge, until no pair saves anything.
+
+    Ties go by a hash of the pair that changes with the round, so that many pairs of
+    equal nodes merge at once; the best pair of all is always mutual, so every round
+    merges one at least. ``max_rounds`` stops earlier.
+    """
     spark = g.edges.sparkSession
     e = settle((g.edges if g.directed else g.mirrored()).select("src", "dst"), "pm_edges")
     mem = settle(g.nodes.select("id", F.col("id").alias("sid"), "label"), "pm_members")
-    for _ in range(max_rounds):
+    bound = g.nodes.count() + 1
+    for round_ in range(bound if max_rounds is None else max_rounds):
         s = mem.select(F.col("id").alias("src"), F.col("sid").alias("a")), mem.select(F.col("id").alias("dst"), F.col("sid").alias("b"))
-        links = settle(e.join(s[0], "src").join(s[1], "dst").groupBy("a", "b").agg(F.count("*").alias("c")), "pm_links")
+        links = settle(e.join(s[0], "src").join(s[1], "dst").groupBy("a", "b").agg(F.count("*").alias("c"), F.count_if(F.col("src") != F.col("dst")).alias("pairs")), "pm_links")
         size = mem.groupBy(F.col("sid")).agg(F.count("*").alias("n"), F.min("label").alias("label"))
         n = lambda x: size.select(F.col("sid").alias(x), F.col("n").alias(f"n_{x}"))
         slot = lambda c, k: F.least(c, k - c + 1)
         # rows (x, way, z, c, n): what each super-node sees
         seen = links.where("a <> b").select(F.col("a").alias("x"), F.lit(0).alias("way"), F.col("b").alias("z"), "c").union(links.where("a <> b").select("b", F.lit(1), "a", "c"))
         seen = settle(seen.join(n("z"), "z").join(n("x"), "x"), "pm_seen")
-        inner = links.where("a = b").select(F.col("a").alias("x"), "c").join(n("x"), "x").select("x", slot(F.col("c"), F.col("n_x") * (F.col("n_x") - 1)).alias("k"))
+        inner = links.where("a = b and pairs > 0").select(F.col("a").alias("x"), F.col("pairs").alias("c")).join(n("x"), "x").select("x", slot(F.col("c"), F.col("n_x") * (F.col("n_x") - 1)).alias("k"))
         cost = seen.select("x", slot(F.col("c"), F.col("n_x") * F.col("n_z")).alias("k")).unionByName(inner).groupBy("x").agg(F.sum("k").alias("cost"))
         pair = seen.select("z", "way", F.col("x").alias("u"), F.col("c").alias("cu"), F.col("n_x").alias("nu"), "n_z").join(seen.select("z", "way", F.col("x").alias("v"), F.col("c").alias("cv"), F.col("n_x").alias("nv")), ["z", "way"]).where("u < v")
         # shared neighbours: what merging saves over two separate slots
         gain = pair.select("u", "v", (slot(F.col("cu"), F.col("nu") * F.col("n_z")) + slot(F.col("cv"), F.col("nv") * F.col("n_z")) - slot(F.col("cu") + F.col("cv"), (F.col("nu") + F.col("nv")) * F.col("n_z"))).alias("g"))
-        # neighbours of one side only: the slot may change as the super-node grows
-        lab = lambda x: size.select(F.col("sid").alias(x), F.col("label").alias(f"l_{x}"))
+        # the whole cost of the merged node decides: slots of all neighbours, the inside and loops
+        lab = lambda x: size.select(F.col("sid").alias(x), F.col("label").alias(f"l_{x}"), F.col("n").alias(f"m_{x}"))
         c = lambda x: cost.select(F.col("x").alias(x), F.col("cost").alias(f"c_{x}"))
-        score = gain.groupBy("u", "v").agg(F.sum("g").alias("g")).join(lab("u"), "u").join(lab("v"), "v").where("l_u = l_v").join(c("u"), "u").join(c("v"), "v").select("u", "v", (F.col("g") / (F.col("c_u") + F.col("c_v"))).alias("s")).where("s > 1e-12")
+        k = lambda x: loops.select(F.col("x").alias(x), F.col("k").alias(f"k_{x}"))
+        loops = e.where("src = dst").join(s[0], "src").groupBy(F.col("a").alias("x")).agg(F.count("*").alias("k"))
+        looped = lambda k, n: F.when(k > 0, slot(k, n)).otherwise(0)
+        score = gain.where("g > 0").select("u", "v").distinct().join(lab("u"), "u").join(lab("v"), "v").where("l_u = l_v")
+        score = settle(score.join(c("u"), "u").join(c("v"), "v").join(k("u"), "u", "left").join(k("v"), "v", "left").na.fill(0, ["k_u", "k_v"]), "pm_candidates")
+        each = score.select("u", "v", (F.col("m_u") + F.col("m_v")).alias("n"), F.explode(F.array("u", "v")).alias("x"))
+        outer = each.join(seen.select("x", "z", "way", "c", "n_z"), "x").where("z <> u and z <> v").groupBy("u", "v", "n", "z", "way", "n_z").agg(F.sum("c").alias("c"))
+        outer = outer.groupBy("u", "v").agg(F.sum(slot(F.col("c"), F.col("n") * F.col("n_z"))).alias("outer"))
+        inside = each.join(links.where("pairs > 0").select(F.col("a").alias("x"), "b", F.col("pairs").alias("c")), "x").where("b = u or b = v").groupBy("u", "v", "n").agg(F.sum("c").alias("c"))
+        inside = inside.select("u", "v", slot(F.col("c"), F.col("n") * (F.col("n") - 1)).alias("inside"))
+        now = F.col("c_u") + F.col("c_v") + looped(F.col("k_u"), F.col("m_u")) + looped(F.col("k_v"), F.col("m_v"))
+        then = F.coalesce("outer", F.lit(0)) + F.coalesce("inside", F.lit(0)) + looped(F.col("k_u") + F.col("k_v"), F.col("m_u") + F.col("m_v"))
+        score = score.join(outer, ["u", "v"], "left").join(inside, ["u", "v"], "left").select("u", "v", ((now - then) / now).alias("s")).where("s > 1e-12")
         score = settle(score, "pm_score")
-        w = Window.partitionBy("x").orderBy(F.desc("s"), "y")
-        both = score.select(F.col("u").alias("x"), F.col("v").alias("y"), "s").union(score.select("v", "u", "s"))
+        w = Window.partitionBy("x").orderBy(F.desc("s"), "tie", "y")
+        score = score.withColumn("tie", F.xxhash64("u", "v", F.lit(round_)))
+        both = score.select(F.col("u").alias("x"), F.col("v").alias("y"), "s", "tie").union(score.select("v", "u", "s", "tie"))
         best = both.withColumn("r", F.row_number().over(w)).where("r = 1").select("x", "y")
         mutual = settle(best.join(best.select(F.col("x").alias("y"), F.col("y").alias("x")), ["x", "y"]).where("x < y"), "pm_mutual")
         if mutual.isEmpty():
             break
         mem = settle(mem.join(mutual.select(F.col("y").alias("sid"), F.col("x").alias("to")), "sid", "left").select("id", F.coalesce("to", "sid").alias("sid"), "label"), "pm_members")
+    else:
+        if max_rounds is None:
+            raise RuntimeError("pairs did not settle")
     p = Pairs(g)
     home: dict[int, int] = {}
     for r in mem.collect():

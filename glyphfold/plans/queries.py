@@ -395,7 +395,7 @@ add("kout_degrees", lambda s, d: synth.kout_edges(s, 2000, 10).groupBy("src").ag
 
 add("pairmerge_randomized_host_links", lambda s, d: baselines.pairmerge_cost(baselines.pairmerge_randomized(w.built(s, d, "host_links"))))
 add("pairmerge_greedy_host_links", lambda s, d: baselines.pairmerge_cost(baselines.pairmerge_greedy(w.built(s, d, "host_links"))))
-add("pairmerge_rounds_host_links", lambda s, d: baselines.pairmerge_cost(baselines.pairmerge_rounds(w.built(s, d, "host_links"), 4)))
+add("pairmerge_rounds_host_links", lambda s, d: baselines.pairmerge_cost(baselines.pairmerge_rounds(w.built(s, d, "host_links"))))
 add("pairmerge_rebuild_host_links", lambda s, d: summary.reconstruct(baselines.pairmerge_randomized(w.built(s, d, "host_links"))), with_graph("host_links", "select src, dst, m from e"))
 for _sel in ("plain", "top10", "top100", "greedy_forget"):
     add(f"vocab_{_sel}_host_links", lambda s, d, k=_sel: s.createDataFrame(baselines.vocab_summary(w.built(s, d, "host_links").simplify({"L", "M", "D", "S"}), k), "kind string, size long, gain double"))

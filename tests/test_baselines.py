@@ -125,3 +125,12 @@ def test_streams(spark, tmp_path):
     assert windows.dirty_nodes(got, got).count() == 0
     stream = windows.run_to_table(windows.window_counts(windows.read_events(spark, f"{tmp_path}/ev"), "1 day", watermark="0 seconds"), "w")
     assert 0 < stream.count() <= windows.window_counts(ev, "1 day").count()
+
+
+def test_rounds_merge_all_twins(spark):
+    """A large group of equal nodes ends as one super-node."""
+    twins = [(i, h) for i in range(10, 40) for h in (1, 2, 3)]
+    g = from_edges(spark.createDataFrame(twins, "src long, dst long"), directed=True)
+    s = baselines.pairmerge_rounds(g)
+    sizes = sorted(r.size for r in s.supernodes.collect())
+    assert sizes[-1] == 30 and edges(summary.reconstruct(s)) == edges(g.edges)

@@ -3,13 +3,13 @@
 The patterns find e-mail addresses, IP addresses, card and phone numbers exactly as
 specified; each is anchored at a character it must hold, so no text takes quadratic
 time. The random field adds what they miss (numbers in other notations, spelled-out
-addresses, secrets): it labels the tokens around every digit or at-sign, from
-features of word shape and of neighbours, is trained from a small labelled table by
+addresses, secrets): it labels the tokens around every digit, at-sign, spelled-out
+at or dot, and word or sign that announces a secret, from features of word shape and of neighbours, is trained from a small labelled table by
 gradient ascent on the exact likelihood, and decodes batches of segments by Viterbi
 in numpy. Found spans stay when they don't overlap one of the patterns.
 
-Every entity holds a digit or an at-sign by definition, so text without them needs
-no decoding. Positions are code points.
+Addresses, cards and phones in figures hold a digit or an at-sign; e-mail addresses
+and secrets may hold neither. Text without any of these signs needs no decoding. Positions are code points.
 
 Defined cases: null and empty texts have no spans; repeated rows are judged alike;
 very long texts only cost their own length; an empty table gives no rows.
@@ -36,6 +36,10 @@ CARD = re.compile(r"[0-9](?:[ -]?[0-9])++")
 PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 MARK = re.compile("[0-9@]")
 DIGIT = re.compile("[0-9]")
+#: What else starts decoding: spelled-out addresses, and what announces a secret.
+CUE = re.compile(
+    r"[0-9@]|[\[({<]\s*at\s*[\])}>]|(?<![A-Za-z])(?:dot|pass(?:word|wd|phrase)|pwd|token|secret|bearer)(?![a-z])|(?<![A-Za-z])(?:api|aws|access|private)?[_ -]?key\s*[=:\"']|=", re.IGNORECASE
+)
 
 #: A small labelled table: spans are marked as [kind text].
 LABELLED = """
@@ -76,6 +80,26 @@ key = "[secret f0ddae3b09ae356cbefecdd3232fa5489bb400d6]" then
 aws key [secret AKQ7EXAMPLE4KEY9ZZ2B] rotates
 bearer [secret eyJ0eXAiOiJKV1QiLCJh9] header
 token = "[secret e03422dad6b454724135a384f69ba12c7de6c8f4]"
+password=[secret openthisdoornow] was set
+password: [secret correctbatteryhorse] works
+password = "[secret swordfishandchips]" in the file
+token=[secret abcdefghijklmnop] leaked
+token = "[secret qwertzuiopasdfgh]" was found
+api_key = "[secret zyxwvutsrqponmlk]" inside
+secret: [secret mysecretvaluehere] end
+write to [email info [at] company dot org] now
+contact [email john dot smith (at) mail dot com] please
+mail [email support (at) shop dot example dot net] today
+the password was lost again
+a password is needed for this
+the secret garden is a book
+a token of love and the key point
+she has the key to the house
+forgot your password? click here
+look at the dot on the map
+dot com companies fell
+let x = y and z = w
+a = b + c in the formula
 the year 2019 was a good one
 in 1984 and 2001 they met
 page 12 of 300 shows it
@@ -336,14 +360,21 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
 
 
 def segments_of(text: str, reach: int = 3) -> list[list[tuple[int, int]]]:
-    """Runs of tokens (start, end) within ``reach`` of a token with a digit or at-sign, by line."""
+    """Runs of tokens (start, end) within ``reach`` of a token with a digit, at-sign or other cue, by line."""
     out, at = [], 0
-    while m := MARK.search(text, at):
+    while m := CUE.search(text, at):
         lo = text.rfind("\n", 0, m.start()) + 1
         hi = text.find("\n", m.start())
         hi = len(text) if hi < 0 else hi
+        hi = max(hi, m.end())
         tokens = [(lo + w.start(), lo + w.end()) for w in WORD.finditer(text[lo:hi])]
-        marked = [i for i, (a, b) in enumerate(tokens) if MARK.search(text, a, b)]
+        cues = [(c.start(), c.end()) for c in CUE.finditer(text, lo, hi)]
+        marked, k = [], 0
+        for i, (a, b) in enumerate(tokens):
+            while k < len(cues) and cues[k][1] <= a:
+                k += 1
+            if k < len(cues) and cues[k][0] < b:
+                marked.append(i)
         run: list[int] = []
         for i in marked:
             if run and i - run[-1] > 2 * reach:
@@ -391,7 +422,7 @@ def field_spans(texts: list[str], base: list[list[tuple[str, int, int]]], field:
                     a += 1
                 while b > a and texts[i][b - 1] in EDGE:
                     b -= 1
-                if MARK.search(texts[i], a, b) and plausible(KINDS[kind], texts[i][a:b]) and all(b <= x or a >= y for _, x, y in base[i] + out[i]):
+                if a < b and (kind in (0, 4) or MARK.search(texts[i], a, b)) and plausible(KINDS[kind], texts[i][a:b]) and all(b <= x or a >= y for _, x, y in base[i] + out[i]):
                     out[i].append((KINDS[kind], a, b))
     return out
 

@@ -74,3 +74,19 @@ def test_query_and_redaction(spark):
     assert out[18].text == 'tel [PHONE] and [IP] at [EMAIL] token = "[SECRET]" end'
     assert out[18].n_chars == len(out[18].text) and out[3].spans == "x"
     assert pc.personal_data(df.limit(0)).count() == 0
+
+
+def test_spans_without_digit_or_at_sign():
+    field = pc.default_field()
+    cases = {
+        "contact us at sales (at) widgets dot example dot com any time": ("email", "sales (at) widgets dot example dot com"),
+        "write to help [at] acme dot org today": ("email", "help [at] acme dot org"),
+        "then password=correcthorsebattery do not share": ("secret", "correcthorsebattery"),
+        'set token = "abcdefghijklmnopqrst" in shell': ("secret", "abcdefghijklmnopqrst"),
+        "api_key: qwertyuiopasdfghjkl keep it safe": ("secret", "qwertyuiopasdfghjkl"),
+    }
+    for text, (kind, part) in cases.items():
+        base, more = pc.find_all([text], field)
+        assert [(k, text[a:b]) for k, a, b in more[0]] == [(kind, part)], (text, more)
+    for text in ("the password is needed by all", "a key token of the secret life", "look at the dot on the wall", "x = y in the sum"):
+        assert pc.find_all([text], field) == ([[]], [[]]), text

@@ -1,7 +1,7 @@
 """Benchmark decontamination by SimHash over item-sized windows.
 
 For every benchmark item the windows of a document with as many words as the item
-are candidates. A window can only reach the similarity if enough of its shingles
+are candidates; a document shorter than the item is its own one window. A window can only reach the similarity if enough of its shingles
 belong to items of that length, so windows are first counted out by a running sum
 of such shingles (this drops none that the exact check would keep). The SimHash of
 what remains is looked up in a multi-index: with one block more than the radius has
@@ -121,13 +121,14 @@ class Benchmark:
             width = min(self.width, n)
             need = self.similarity * (n - width + 1) - 1e-9
             at = np.array(starts)
-            if len(words) < n or len(at) < need:
+            if len(at) < need:
                 continue
-            first = np.unique((at[:, None] - np.arange(n - width + 1)).ravel())
-            first = first[(first >= 0) & (first + n <= len(words))]
-            count = np.searchsorted(at, first + (n - width), side="right") - np.searchsorted(at, first, side="left")
+            size = min(n, len(words))  # a shorter document is its own one window
+            first = np.unique((at[:, None] - np.arange(size - width + 1)).ravel())
+            first = first[(first >= 0) & (first + size <= len(words))]
+            count = np.searchsorted(at, first + (size - width), side="right") - np.searchsorted(at, first, side="left")
             for s in first[count >= need].tolist():
-                h = np.array([self.vocab.get(w) or word_hash(w) for w in words[s : s + n]], U)
+                h = np.array([self.vocab.get(w) or word_hash(w) for w in words[s : s + size]], U)
                 near = self.index[n].within(simhash(h))
                 if not near:
                     continue
@@ -137,7 +138,7 @@ class Benchmark:
                     both = sum(min(c, other[g]) for g, c in own.items())
                     j = both / (own.total() + other.total() - both)
                     if j >= self.similarity and (key not in best or (-j, s) < best[key][:2]):
-                        best[key] = (-j, s, n, distance)
+                        best[key] = (-j, s, size, distance)
         return best
 
     def batches(self, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

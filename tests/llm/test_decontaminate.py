@@ -72,3 +72,26 @@ def test_multi_index_finds_all_within_radius():
         for b in random.sample(range(64), 6):
             near ^= 1 << b
         assert index.within(near)[i] == 6
+
+
+def test_documents_shorter_than_an_item(spark):
+    """An item without some of its words, as a whole document, is found as brute force finds it."""
+    random.seed(6)
+    items = [(i, " ".join(random.choices([f"w{k}" for k in range(80)], k=38 + i))) for i in range(6)]
+    docs = []
+    for i, text in items:
+        words = text.split()
+        docs += [(10 * i + k, " ".join(w)) for k, w in enumerate((words[:-1], words[2:], words[:-4], words[1:-1], words[:-12], words[:3]))]
+    want = brute(docs, items)
+    for d, text in docs:
+        for i, item in items:
+            a, b = norm(text), norm(item)
+            if len(a) < len(b):
+                g, h = grams(a), grams(b)
+                j = sum((g & h).values()) / sum((g | h).values())
+                if j >= 0.8:
+                    want.add((d, i, 0, round(j, 9)))
+    ddf = spark.createDataFrame(docs, "doc_id long, text string").repartition(2)
+    idf = spark.createDataFrame(items, "item_id long, text string")
+    got = {(r.doc_id, r.item_id, r.start_word, round(r.similarity, 9)) for r in dc.contaminated(ddf, idf).collect()}
+    assert got == want and len(want) >= 18

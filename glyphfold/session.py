@@ -9,6 +9,7 @@ import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -41,6 +42,11 @@ def settle(df: DataFrame, name: str = "t") -> DataFrame:
     return out
 
 
+def whole_row(df: DataFrame):
+    """All columns of ``df`` as one column ``row``: what is added beside it can't clash with their names."""
+    return F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("row")
+
+
 def discard(df: DataFrame) -> None:
     """Delete a table that ``settle`` wrote, once nothing reads it any more."""
     sc = df.sparkSession.sparkContext

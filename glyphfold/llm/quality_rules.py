@@ -6,9 +6,13 @@ the corpus: a beta prior is fitted to all hosts by moments, so a host with few
 documents is judged like the average one. Documents of hosts whose shrunk rate
 is above ``max_rate`` are rejected along with those that fail the base rules.
 
-Defined cases: a null text has no words and fails; a null host is a host of its
-own; with no documents there are no hosts and the result is empty; repeated rows
-count each time; other columns of the input are left alone.
+Repeated windows of three words are told by the 64-bit hash of their words.
+
+Defined cases: a null or empty text has no words and fails; a null host is a host of
+its own; with no documents there are no hosts and the result is empty; repeated rows
+count each time and are judged alike, ids don't matter; a host at exactly ``max_rate``
+is kept; a very long text is measured as a whole in one row's memory; other columns of
+the input are left alone, whatever their names.
 """
 
 from __future__ import annotations
@@ -16,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from glyphfold.session import settle
+from glyphfold.session import settle, whole_row
 
 #: Character classes of the contract: white space between words, and symbols.
 SPACE = r"[\x20\x09-\x0D]+"
@@ -24,25 +28,22 @@ SYMBOLS = "#*$%&|<>"
 METRICS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
 
-def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source") -> DataFrame:
-    """``(doc_id, host, <metrics>)`` of every whole text."""
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    df = docs.select(F.col(id_col).alias("doc_id"), F.col(host_col).alias("host"), text.alias("t"))
+def with_metrics(rows: DataFrame, *own: str) -> DataFrame:
+    """The columns ``own`` (of other names than used here) and the metrics of every whole ``text``."""
+    df = rows.withColumn("t", F.coalesce("text", F.lit("")))
     df = df.select(
-        "doc_id",
-        "host",
+        *own,
         F.filter(F.split("t", SPACE), lambda w: w != "").alias("w"),
-        F.filter(F.split("t", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("lines"),
+        F.filter(F.split("t", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("l"),
         F.char_length(F.translate("t", " \t\n\x0b\x0c\r", "")).cast("long").alias("word_chars"),
         (F.char_length("t") - F.char_length(F.translate("t", SYMBOLS, ""))).cast("long").alias("n_symbols"),
     )
     df = df.select(
-        "doc_id",
-        "host",
+        *own,
         F.size("w").cast("long").alias("n_words"),
         "word_chars",
         "n_symbols",
-        (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
+        (F.size("l") - F.size(F.array_distinct("l"))).cast("long").alias("n_dup_lines"),
         F.expr("if(size(w) < 4, array(), transform(sequence(0, size(w) - 3), i -> xxhash64(w[i], w[i + 1], w[i + 2])))").cast("array<long>").alias("h"),
     )
     pairs = "if(size(h) = size(array_distinct(h)), cast(array() as array<struct<h: bigint, i: int>>), array_sort(transform(h, (x, i) -> struct(x as h, i as i))))"
@@ -50,11 +51,17 @@ def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ho
     again = """array_sort(transform(filter(s, (x, k) -> (k > 0 and s[greatest(k - 1, 0)].h = x.h)
                 or (k < size(s) - 1 and s[least(k + 1, size(s) - 1)].h = x.h)), x -> x.i))"""
     covered = "aggregate(p, struct(0L as n, -3 as last), (a, i) -> struct(a.n + least(3, i - a.last) as n, i as last), a -> a.n)"
-    return df.withColumn("p", F.expr(again)).withColumn("n_repeat_words", F.expr(covered)).select("doc_id", "host", *METRICS)
+    return df.withColumn("p", F.expr(again)).withColumn("n_repeat_words", F.expr(covered)).select(*own, *METRICS)
+
+
+def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source") -> DataFrame:
+    """``(doc_id, host, <metrics>)`` of every whole text."""
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.col(host_col).alias("host"), F.col(text_col).alias("text"))
+    return with_metrics(rows, "doc_id", "host")
 
 
 def judged(metrics: DataFrame) -> DataFrame:
-    """Adds ``base_failed`` and ``rule_failed`` (base rules, or mostly symbols or repeated lines)."""
+    """Adds ``base_failed`` and ``rule_failed`` (base rules, or mostly symbols or long words)."""
     base = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     soft = (10 * F.col("n_symbols") > F.col("word_chars")) | (F.col("word_chars") > 15 * F.col("n_words"))
     return metrics.withColumn("base_failed", base).withColumn("rule_failed", base | soft)
@@ -87,11 +94,18 @@ def quality_verdicts(docs: DataFrame, max_rate: float = 0.6, id_col: str = "doc_
     return joined.select("doc_id", "host", *METRICS, "base_failed", host_failed.alias("host_failed"), (~F.col("base_failed") & ~host_failed).alias("kept"))
 
 
-def quality_filter(docs: DataFrame, **options) -> DataFrame:
-    """The documents that the rules keep, columns unchanged."""
-    id_col = options.get("id_col", "doc_id")
-    gone = quality_verdicts(docs, **options).where(~F.col("kept")).select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, F.col(id_col).eqNullSafe(F.col("_gone")), "left_anti")
+def quality_filter(docs: DataFrame, max_rate: float = 0.6, text_col: str = "text", host_col: str = "source") -> DataFrame:
+    """The rows of ``docs`` that the rules keep, columns unchanged.
+
+    Each row is judged by its own text and host, whatever ids it shares. The verdicts of
+    the rules are written beside the rows, so texts are measured once and never shuffled
+    unless the rejected hosts are too many to broadcast.
+    """
+    rows = docs.select(whole_row(docs), F.col(text_col).alias("text"), F.col(host_col).alias("host"))
+    rows = settle(judged(with_metrics(rows, "row", "host")).select("row", "host", "base_failed", "rule_failed"), "quality_rows")
+    bad = settle(host_rates(rows).where(F.col("rate") > max_rate).select(F.col("host").alias("bad_host")), "bad_hosts")  # of known size
+    kept = rows.where(~F.col("base_failed")).join(bad, F.col("host").eqNullSafe(F.col("bad_host")), "left_anti")
+    return kept.select("row.*")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

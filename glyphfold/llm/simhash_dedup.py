@@ -26,12 +26,14 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
 from glyphfold.operators.components import connected_components
 from glyphfold.llm.suffix_dedup import mixed
-from glyphfold.session import settle
+from glyphfold.session import settle, whole_row
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 #: Homes of one anchor above which it is split.
@@ -242,14 +244,15 @@ def simhash_components(docs: DataFrame, width: int = 3, radius: int = 3, seed: i
     return prints.join(label, "fp", "left").select("doc_id", "fp", "component_id")
 
 
-def band_batches(batches: Iterator[pa.RecordBatch], width: int, bands: int, per_band: int) -> Iterator[pa.RecordBatch]:
-    """Per text a hash of all its words, and one key per band of minima of its shingles' hashes.
+def band_batches(batches: Iterator[pa.RecordBatch], width: int, bands: int, per_band: int, text_col: str = "text") -> Iterator[pa.RecordBatch]:
+    """``row`` as it comes, with a number of its own, a hash of all its words, and one key per band.
 
-    Two texts of similarity s agree in a band with chance s ** per_band; a text without
-    words has no keys.
+    A key is made of minima of the shingles' hashes: two texts of similarity s agree in a
+    band with chance s ** per_band; a text without words has no keys.
     """
     draw = np.random.default_rng(42)
     factors = draw.integers(1 << 62, 1 << 63, (bands, per_band), np.uint64) | U1
+    row = TaskContext.get().partitionId() << 33
     for batch in batches:
         whole, hashes, counts, out = [], [], [], []
 
@@ -270,7 +273,7 @@ def band_batches(batches: Iterator[pa.RecordBatch], width: int, bands: int, per_
             hashes.clear()
             counts.clear()
 
-        for text in batch.column("text"):
+        for text in batch.column("row").field(text_col):
             text = text.as_py()
             words = (text or "").encode("utf-8", "replace").translate(LOWER).split()
             whole.append(xxhash.xxh64_intdigest(b" ".join(words)) - (1 << 63))
@@ -280,54 +283,62 @@ def band_batches(batches: Iterator[pa.RecordBatch], width: int, bands: int, per_
             if len(hashes) > 200_000:
                 flush()
         flush()
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(whole, pa.int64()), pa.array(out, pa.list_(pa.int64()))], ["doc_id", "whole", "keys"])
+        more = [pa.array(np.arange(row, row + len(batch))), pa.array(whole, pa.int64()), pa.array(out, pa.list_(pa.int64()))]
+        row += len(batch)
+        yield pa.RecordBatch.from_arrays([batch.column("row"), *more], ["row", "id", "whole", "keys"])
 
 
 def shingle_set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         sets = [np.unique(np.array(shingle_hashes(t.as_py(), width), np.uint64)).view(np.int64) for t in batch.column("text")]
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sets, pa.list_(pa.int64()))], ["id", "s"])
+        yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(sets, pa.list_(pa.int64()))], ["id", "s"])
 
 
-def near_duplicates(
-    docs: DataFrame, similarity: float = 0.8, width: int = 5, bands: int = 24, per_band: int = 4, id_col: str = "doc_id", text_col: str = "text"
-) -> DataFrame:
-    """``(id, kept)``: documents to drop, each with a smaller one it repeats.
-
-    Equal texts (up to case and white space) are folded. Candidates agree in one of
-    ``bands`` keys of ``per_band`` minhashes each (a pair at 0.8 shares none with chance
-    3e-6); similarity of the sets of ``width``-word shingles settles them. In each round
-    the smallest open documents of every key, one at first and twice as many each time,
-    are compared with all others of the key and leave it, and near copies leave all keys.
-    So a large group of copies shrinks at once to its smallest documents, and rounds end
-    only when no key holds two documents: of those kept, all that share a key were compared.
+def banded(docs: DataFrame, width: int = 5, bands: int = 24, per_band: int = 4, text_col: str = "text") -> DataFrame:
+    """``(row, id, whole, keys)`` of all rows, written once: numbers and keys stay as they are."""
+    rows = docs.select(whole_row(docs))
+    schema = StructType([*rows.schema.fields, StructField("id", LongType()), StructField("whole", LongType()), StructField("keys", ArrayType(LongType()))])
+    return settle(rows.mapInArrow(lambda it: band_batches(it, width, bands, per_band, text_col), schema), "banded")
+
+
+def repeated_rows(band: DataFrame, similarity: float = 0.8, width: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(id, doc, kept, kept_doc)``: numbers and document ids of rows to drop, and of the row each repeats.
+
+    Rows come in the order of document ids (null last), then of row numbers. Equal texts
+    (up to case and white space) are folded to the first. Candidates agree in a key;
+    similarity of the sets of ``width``-word shingles settles them. In each round the
+    first open rows of every key, one at first and twice as many each time, are compared
+    with all others of the key and leave it, and near copies leave all keys. So a large
+    group of copies shrinks at once to its first rows, and rounds end only when no key
+    holds two rows: of those kept, all that share a key were compared.
     """
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    prints = settle(rows.mapInArrow(lambda it: band_batches(it, width, bands, per_band), "doc_id long, whole long, keys array<long>"), "band_keys")
-    least = prints.where("doc_id is not null").groupBy("whole").agg(F.min("doc_id").alias("id"))
-    least = settle(least, "texts")
-    gone = prints.join(least.select("whole", F.col("id").alias("kept")), "whole").where("doc_id <> kept").select(F.col("doc_id").alias("id"), "kept")
-    firsts = prints.join(least.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    long = firsts.select(F.col("doc_id").alias("id"), F.explode("keys").alias("key"))
+    doc = F.coalesce(F.col("row")[id_col].cast("long"), F.lit((1 << 63) - 1))
+    prints = band.select("id", doc.alias("doc"), "whole", "keys")
+    least = settle(prints.groupBy("whole").agg(F.min(F.struct("doc", "id")).alias("first")).select("whole", F.col("first.id").alias("kept"), F.col("first.doc").alias("kept_doc")), "texts")
+    gone = prints.join(least, "whole").where("id <> kept").select("id", "doc", "kept", "kept_doc")
+    firsts = prints.join(least.select(F.col("kept").alias("id")), "id", "left_semi")
+    long = firsts.select("id", "doc", F.explode("keys").alias("key"))
     many = settle(long.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "shared_keys")  # of known size
     open_ = settle(long.join(many, "key"), "near_open")
-    texts = rows.join(open_.select(F.col("id").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    texts = band.select("id", F.col("row")[text_col].alias("text")).join(open_.select("id").distinct(), "id", "left_semi")
     sets = settle(texts.mapInArrow(lambda it: shingle_set_batches(it, width), "id long, s array<long>"), "shingle_sets")
     done, heads = None, 1
     while True:
-        place = F.row_number().over(Window.partitionBy("key").orderBy("id"))
-        low = settle(open_.withColumn("place", place).where(F.col("place") <= heads).select("key", F.col("id").alias("root")), "near_heads")
-        pairs = open_.join(low, "key").where("id > root").select("id", "root").distinct()
+        place = F.row_number().over(Window.partitionBy("key").orderBy("doc", "id"))
+        low = settle(open_.withColumn("place", place).where(F.col("place") <= heads).select("key", F.col("id").alias("kept"), F.col("doc").alias("kept_doc")), "near_heads")
+        later = (F.col("doc") > F.col("kept_doc")) | ((F.col("doc") == F.col("kept_doc")) & (F.col("id") > F.col("kept")))
+        pairs = open_.join(low, "key").where(later).select("id", "doc", "kept", "kept_doc").distinct()
         if done is not None:
-            pairs = pairs.join(done, ["id", "root"], "left_anti")
+            pairs = pairs.join(done, ["id", "kept"], "left_anti")
         pairs = settle(pairs, "near_pairs")
-        tops = settle(sets.join(pairs.select(F.col("root").alias("id")).distinct(), "id", "left_semi").select(F.col("id").alias("root"), F.col("s").alias("t")), "near_tops")
+        tops = settle(sets.join(pairs.select(F.col("kept").alias("id")).distinct(), "id", "left_semi").select(F.col("id").alias("kept"), F.col("s").alias("t")), "near_tops")
         both = F.size(F.array_intersect("s", "t"))
         near = both / (F.size("s") + F.size("t") - both) >= similarity - 1e-12
-        judged = settle(pairs.join(sets, "id").join(tops, "root").select("id", "root", near.alias("near")), "near_judged")
-        gone = gone.unionByName(judged.where("near").groupBy("id").agg(F.min("root").alias("kept")))
-        done = pairs if done is None else done.unionByName(pairs)
-        left = open_.join(judged.where("near").select("id").distinct(), "id", "left_anti").join(low.withColumnRenamed("root", "id"), ["key", "id"], "left_anti")
+        judged = settle(pairs.join(sets, "id").join(tops, "kept").where(near).select("id", "doc", "kept", "kept_doc"), "near_judged")
+        first = F.min(F.struct("kept_doc", "kept")).alias("first")
+        gone = gone.unionByName(judged.groupBy("id", "doc").agg(first).select("id", "doc", "first.kept", "first.kept_doc"))
+        done = pairs.select("id", "kept") if done is None else done.unionByName(pairs.select("id", "kept"))
+        left = open_.join(judged.select("id").distinct(), "id", "left_anti").join(low.select("key", F.col("kept").alias("id")), ["key", "id"], "left_anti")
         many = settle(left.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "shared_keys")
         if many.isEmpty():
             return gone
@@ -335,10 +346,28 @@ def near_duplicates(
         heads *= 2
 
 
-def near_dedup(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """The rows of ``docs`` that repeat no smaller document, columns unchanged; null ids stay."""
-    gone = near_duplicates(docs, id_col=id_col, **options).select(F.col("id").alias("_gone")).distinct()
-    return docs.join(gone, F.col(id_col) == F.col("_gone"), "left_anti")
+def near_duplicates(
+    docs: DataFrame, similarity: float = 0.8, width: int = 5, bands: int = 24, per_band: int = 4, id_col: str = "doc_id", text_col: str = "text"
+) -> DataFrame:
+    """``(id, kept)``: documents to drop, each with one before it that it repeats."""
+    gone = repeated_rows(banded(docs, width, bands, per_band, text_col), similarity, width, id_col, text_col)
+    real = lambda c: F.nullif(F.col(c), F.lit((1 << 63) - 1))
+    return gone.select(real("doc").alias("id"), real("kept_doc").alias("kept"))
+
+
+def near_dedup(
+    docs: DataFrame, similarity: float = 0.8, width: int = 5, bands: int = 24, per_band: int = 4, id_col: str = "doc_id", text_col: str = "text"
+) -> DataFrame:
+    """The rows of ``docs`` that repeat no row before them, columns unchanged.
+
+    Rows are judged one by one, so two of equal id but different texts both stay, and of
+    rows repeated as a whole one does. Null ids come last. Null and empty texts and those
+    of white space are equal to each other; texts shorter than a shingle are one shingle.
+    A text is held as a whole by one task at a time. Empty tables stay empty.
+    """
+    band = banded(docs, width, bands, per_band, text_col)
+    gone = repeated_rows(band, similarity, width, id_col, text_col).select("id")
+    return band.join(gone, "id", "left_anti").select("row.*")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

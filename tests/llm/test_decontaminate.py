@@ -63,15 +63,42 @@ def test_matches_brute_force(spark):
 
 def test_multi_index_finds_all_within_radius():
     random.seed(5)
-    index = dc.MultiIndex(6)
     fps = [random.getrandbits(64) for _ in range(50)]
-    for i, f in enumerate(fps):
-        index.add(f, i)
-    for i, f in enumerate(fps):
-        near = f
+    index = dc.MultiIndex(6, fps)
+    prints = []
+    for f in fps:
         for b in random.sample(range(64), 6):
-            near ^= 1 << b
-        assert index.within(near)[i] == 6
+            f ^= 1 << b
+        prints.append(f)
+    found = list(zip(*(x.tolist() for x in index.within(dc.np.array(prints, dc.U))), strict=True))
+    near = [(w, i, (p ^ f).bit_count()) for w, p in enumerate(prints) for i, f in enumerate(fps) if (p ^ f).bit_count() <= 6]
+    assert found == near and {(i, i, 6) for i in range(50)} <= set(found)
+
+
+def test_segments_give_the_same_windows(spark, monkeypatch):
+    """Long texts, read in segments, with items across the cuts, give what they give as a whole."""
+    random.seed(7)
+    vocab = [f"w{k}" for k in range(60)]
+    items = [(i, " ".join(random.choices(vocab, k=25 + i))) for i in range(8)]
+    docs = [(k, " ".join(" ".join(random.choices(vocab, k=random.randint(5, 90))) + " " + random.choice(items)[1] for _ in range(12))) for k in range(6)]
+    docs.append((9, " ".join([items[0][1]] * 300)))
+    index = dc.Benchmark(items, 5, 0.8, 20)
+    whole = [index.best_windows(t) for _, t in docs]
+    monkeypatch.setattr(dc.Benchmark, "WORDS", 40)
+    monkeypatch.setattr(dc.Benchmark, "WINDOWS", 7)
+    cut = dc.segments
+    monkeypatch.setattr(dc, "segments", lambda text, room, overlap: cut(text, room, overlap, 64))
+    assert [index.best_windows(t) for _, t in docs] == whole and all(whole)
+
+
+def test_rows_are_judged_one_by_one(spark):
+    """Rows that share an id keep their own verdicts; columns of any name pass through."""
+    item = " ".join(f"q{i}" for i in range(30))
+    rows = [(1, f"some words {item} and more", "a"), (1, "clean text", "b"), (2, "clean text", "c"), (2, "clean text", "c"), (None, item, "d"), (None, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, _gone string")
+    got = dc.decontaminate(docs, spark.createDataFrame([(7, item)], "item_id long, text string"))
+    assert got.columns == docs.columns
+    assert sorted(map(str, map(tuple, got.collect()))) == sorted(map(str, [rows[1], rows[2], rows[3], rows[5]]))
 
 
 def test_documents_shorter_than_an_item(spark):

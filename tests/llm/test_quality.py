@@ -54,3 +54,17 @@ def test_sql_twin(spark):
     want = sorted(con.sql(qr.ORACLE_SQL).fetchall())
     got = sorted(tuple(r) for r in qr.quality_verdicts(df).select("doc_id", *qr.METRICS, "base_failed", "kept").collect())
     assert got == want
+
+
+def test_filter_judges_rows_one_by_one(spark):
+    """Rows that share an id keep their own verdicts; columns of any name pass through."""
+    good = " ".join(f"word{i}" for i in range(60))
+    rows = [(1, good, "h", "x", 1), (1, "short", "h", "x", 1), (2, "short", "h", "x", 2), (2, good, "h", "x", 2), (3, good, None, None, 3), (3, good, None, None, 3), (None, None, "h", "x", 4)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, _gone string, `row` long")
+    out = qr.quality_filter(docs, max_rate=2.0)
+    assert out.columns == docs.columns
+    assert sorted(map(str, map(tuple, out.collect()))) == sorted(map(str, [rows[0], rows[3], rows[4], rows[5]]))
+    assert qr.quality_filter(docs.limit(0)).count() == 0
+    bad = [(i, "short", "spam", None, 0) for i in range(300)] + [(900, good, "spam", None, 0)] + [(1000 + i, good, "fine", None, 0) for i in range(300)]
+    kept = {r.doc_id for r in qr.quality_filter(spark.createDataFrame(bad, docs.schema)).collect()}
+    assert kept == {1000 + i for i in range(300)}

@@ -134,11 +134,25 @@ def test_chained_groups_are_all_resolved(spark, monkeypatch):
             docs.append((base + 12 * copy, " ".join(words + [f"tail{copy}"])))
     one_key = sd.band_batches
 
-    def chained(batches, width, bands, per_band):
-        for b in one_key(batches, width, bands, per_band):
-            yield b.set_column(2, "keys", sd.pa.array([[7]] * len(b), sd.pa.list_(sd.pa.int64())))
+    def chained(*args):
+        for b in one_key(*args):
+            yield b.set_column(3, "keys", sd.pa.array([[7]] * len(b), sd.pa.list_(sd.pa.int64())))
 
     monkeypatch.setattr(sd, "band_batches", chained)
     df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
     gone = {r.id: r.kept for r in sd.near_duplicates(df).collect()}
     assert gone == {i: i % 12 for i, _ in docs if i >= 12}
+
+
+def test_rows_are_judged_one_by_one(spark):
+    """Rows that share an id keep their own verdicts; of rows repeated as a whole one stays; nulls come last."""
+    say = lambda k: " ".join(f"{k}w{i}" for i in range(60))
+    rows = [(1, say("a"), "x", 0), (1, say("b"), "x", 0), (2, say("a"), "x", 0), (3, say("a") + " end", "x", 0), (3, say("c"), "x", 0)]
+    rows += [(4, say("d"), "y", 1), (4, say("d"), "y", 1), (None, say("d"), "y", 1), (None, say("e"), "z", 1), (5, None, None, 1), (6, " ", None, 1)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, _gone string, id long").repartition(3)
+    out = sd.near_dedup(docs)
+    assert out.columns == docs.columns
+    want = [rows[0], rows[1], rows[4], rows[5], rows[8], rows[9]]
+    assert sorted(map(str, map(tuple, out.collect()))) == sorted(map(str, want))
+    assert sd.near_dedup(docs.limit(0)).count() == 0
+    assert sorted((r.id, r.kept) for r in sd.near_duplicates(docs.where("doc_id > 1")).collect()) == [(3, 2), (4, 4), (6, 5)]

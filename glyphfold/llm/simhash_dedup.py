@@ -27,7 +27,7 @@ import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
@@ -301,56 +301,125 @@ def banded(docs: DataFrame, width: int = 5, bands: int = 24, per_band: int = 4,
     return settle(rows.mapInArrow(lambda it: band_batches(it, width, bands, per_band, text_col), schema), "banded")
 
 
-def repeated_rows(band: DataFrame, similarity: float = 0.8, width: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(id, doc, kept, kept_doc)``: numbers and document ids of rows to drop, and of the row each repeats.
+def bucket_links(labels: np.ndarray, sets: list[np.ndarray], similarity: float) -> list[tuple[int, int]]:
+    """Links (label, label) that join all texts of one bucket with sets of the given similarity; as few as do that."""
+    parent: dict[int, int] = {}
+
+    def find(a: int) -> int:
+        while parent.get(a, a) != a:
+            parent[a] = parent.get(parent[a], parent[a])
+            a = parent[a]
+        return a
+
+    edges = []
+    apart = len(set(labels.tolist()))
+    size = np.array([len(x) for x in sets], np.int64)
+    if apart > 1:
+        tokens, where = np.unique(np.concatenate(sets), return_inverse=True)
+        owner = np.repeat(np.arange(len(sets)), size)[np.argsort(where, kind="stable")]
+        holders = np.split(owner, np.cumsum(np.bincount(where, minlength=len(tokens)))[:-1])
+        ends = np.cumsum(size)
+    for i in range(len(sets)):
+        if apart < 2:
+            break
+        own = where[ends[i] - size[i] : ends[i]]
+        both = np.bincount(np.concatenate([holders[t] for t in own]), minlength=len(sets))
+        near = both >= (size[i] + size - both) * similarity - 1e-9
+        for j in np.flatnonzero(near[i + 1 :]) + i + 1:
+            a, b = int(labels[i]), int(labels[j])
+            if (ra := find(a)) != (rb := find(b)):
+                parent[max(ra, rb)] = min(ra, rb)
+                edges.append((a, b))
+                apart -= 1
+    return edges
+
+
+def linked_buckets(batches: Iterator[pd.DataFrame], similarity: float) -> Iterator[pd.DataFrame]:
+    """Links within each run of one ``part``; rows (part, label, s) come sorted by it."""
+    at, labels, sets = None, [], []
+
+    def done() -> pd.DataFrame:
+        found = bucket_links(np.array(labels, np.int64), sets, similarity)
+        return pd.DataFrame(found, columns=["src", "dst"], dtype="int64")
+
+    for df in batches:
+        for part, label, own in zip(df["part"].tolist(), df["label"].tolist(), df["s"], strict=True):
+            if part != at and sets:
+                yield done()
+                labels, sets = [], []
+            at = part
+            labels.append(label)
+            sets.append(np.asarray(own, np.int64))
+    if sets:
+        yield done()
 
-    Rows come in the order of document ids (null last), then of row numbers. Equal texts
-    (up to case and white space) are folded to the first. Candidates agree in a key;
-    similarity of the sets of ``width``-word shingles settles them. In each round the
-    first open rows of every key, one at first and twice as many each time, are compared
-    with all others of the key and leave it, and near copies leave all keys. So a large
-    group of copies shrinks at once to its first rows, and rounds end only when no key
-    holds two rows: of those kept, all that share a key were compared.
+
+#: Texts of one key that are compared in one task; more are dealt out as pairs of blocks.
+BUCKET_TEXTS = 1000
+
+
+def linked_texts(open_: DataFrame, sets: DataFrame, similarity: float, rounds: tuple[int, ...] = (1, 3, 8)) -> DataFrame:
+    """``(id, root)``: all texts that some chain of links of the given similarity joins, by texts that share a key.
+
+    open_ has (id, band, key), sets (id, s). Bands are taken in a few rounds, the first
+    ones alone: most copies meet there. Later rounds compare what is still apart only, and
+    a bucket's sets are shuffled only if it holds texts of two groups. No pairs leave a task,
+    just the links of a spanning forest.
+    """
+    n = int(open_.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    edges, first = None, 0
+    label = open_.select("id").distinct().withColumn("label", F.col("id"))
+    for some in (*rounds, None):
+        own = open_.where(F.col("band") >= first) if some is None else open_.where((F.col("band") >= first) & (F.col("band") < first + some))
+        first += some or 0
+        rows = settle(own.join(label, "id").select("key", "id", "label"), "bucket_rows")
+        mixed_keys = rows.groupBy("key").agg(F.count("*").alias("texts"), F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("key", "texts")
+        mixed_keys = settle(mixed_keys, "mixed_buckets")
+        blocks = F.ceil(F.col("texts") / BUCKET_TEXTS).cast("int")
+        mine = F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")
+        # a text of block i meets the blocks before it, itself and those after it
+        meets = F.when(F.col("blocks") > 1, F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.xxhash64("key", F.least(j, F.col("mine")), F.greatest(j, F.col("mine"))))).otherwise(F.array(F.xxhash64("key", F.lit(0), F.lit(0))))
+        parts = rows.join(mixed_keys, "key").withColumn("blocks", blocks).withColumn("mine", mine).select("id", "label", F.explode(meets).alias("part"))
+        found = parts.join(sets, "id").select("part", "label", "s").repartition(n, "part").sortWithinPartitions("part")
+        found = settle(found.mapInPandas(lambda it: linked_buckets(it, similarity), "src long, dst long"), "text_links")
+        edges = found if edges is None else edges.unionByName(found)
+        if not found.isEmpty():
+            roots = connected_components(edges)
+            label = settle(label.select("id").join(roots, "id", "left").select("id", F.coalesce("root", "id").alias("label")), "text_labels")
+    return label.where("id <> label").select("id", F.col("label").alias("root"))
+
+
+def grouped_rows(band: DataFrame, similarity: float = 0.8, width: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(id, doc, kept, kept_doc)``: numbers and document ids of rows to drop, and of the one of their group that stays.
+
+    Texts are linked if their sets of ``width``-word shingles have the similarity; links
+    make groups, as with fingerprints. The first row of a group stays, in the order of
+    document ids (null last), then of row numbers. Equal texts (up to case and white
+    space) are folded before; others are compared if they share a key.
     """
     doc = F.coalesce(F.col("row")[id_col].cast("long"), F.lit((1 << 63) - 1))
     prints = band.select("id", doc.alias("doc"), "whole", "keys")
-    least = settle(prints.groupBy("whole").agg(F.min(F.struct("doc", "id")).alias("first")).select("whole", F.col("first.id").alias("kept"), F.col("first.doc").alias("kept_doc")), "texts")
-    gone = prints.join(least, "whole").where("id <> kept").select("id", "doc", "kept", "kept_doc")
-    firsts = prints.join(least.select(F.col("kept").alias("id")), "id", "left_semi")
-    long = firsts.select("id", "doc", F.explode("keys").alias("key"))
+    least = settle(prints.groupBy("whole").agg(F.min(F.struct("doc", "id")).alias("first")).select("whole", F.col("first.id").alias("text_id"), F.col("first.doc").alias("text_doc")), "texts")
+    firsts = prints.join(least.select(F.col("text_id").alias("id")), "id", "left_semi")
+    long = firsts.select("id", F.posexplode("keys").alias("band", "key"))
     many = settle(long.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "shared_keys")  # of known size
-    open_ = settle(long.join(many, "key"), "near_open")
+    open_ = settle(long.join(many, "key").select("id", "band", "key"), "near_open")
     texts = band.select("id", F.col("row")[text_col].alias("text")).join(open_.select("id").distinct(), "id", "left_semi")
     sets = settle(texts.mapInArrow(lambda it: shingle_set_batches(it, width), "id long, s array<long>"), "shingle_sets")
-    done, heads = None, 1
-    while True:
-        place = F.row_number().over(Window.partitionBy("key").orderBy("doc", "id"))
-        low = settle(open_.withColumn("place", place).where(F.col("place") <= heads).select("key", F.col("id").alias("kept"), F.col("doc").alias("kept_doc")), "near_heads")
-        later = (F.col("doc") > F.col("kept_doc")) | ((F.col("doc") == F.col("kept_doc")) & (F.col("id") > F.col("kept")))
-        pairs = open_.join(low, "key").where(later).select("id", "doc", "kept", "kept_doc").distinct()
-        if done is not None:
-            pairs = pairs.join(done, ["id", "kept"], "left_anti")
-        pairs = settle(pairs, "near_pairs")
-        tops = settle(sets.join(pairs.select(F.col("kept").alias("id")).distinct(), "id", "left_semi").select(F.col("id").alias("kept"), F.col("s").alias("t")), "near_tops")
-        both = F.size(F.array_intersect("s", "t"))
-        near = both / (F.size("s") + F.size("t") - both) >= similarity - 1e-12
-        judged = settle(pairs.join(sets, "id").join(tops, "kept").where(near).select("id", "doc", "kept", "kept_doc"), "near_judged")
-        first = F.min(F.struct("kept_doc", "kept")).alias("first")
-        gone = gone.unionByName(judged.groupBy("id", "doc").agg(first).select("id", "doc", "first.kept", "first.kept_doc"))
-        done = pairs.select("id", "kept") if done is None else done.unionByName(pairs.select("id", "kept"))
-        left = open_.join(judged.select("id").distinct(), "id", "left_anti").join(low.select("key", F.col("kept").alias("id")), ["key", "id"], "left_anti")
-        many = settle(left.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "shared_keys")
-        if many.isEmpty():
-            return gone
-        open_ = settle(left.join(many, "key"), "near_open")
-        heads *= 2
+    roots = linked_texts(open_, sets, similarity)
+    group = least.join(roots.withColumnRenamed("id", "text_id"), "text_id", "left").select("whole", "text_id", "text_doc", F.coalesce("root", "text_id").alias("root"))
+    # only groups of several texts need another look for their first one
+    several = group.join(roots.select("root").distinct(), "root", "left_semi").groupBy("root").agg(F.min(F.struct(F.col("text_doc").alias("doc"), F.col("text_id").alias("id"))).alias("first"))
+    several = settle(several.select("root", F.col("first.id").alias("group_id"), F.col("first.doc").alias("group_doc")), "groups")
+    stays = group.join(several, "root", "left").select("whole", F.coalesce("group_id", "text_id").alias("kept"), F.coalesce("group_doc", "text_doc").alias("kept_doc"))
+    return prints.join(stays, "whole").where("id <> kept").select("id", "doc", "kept", "kept_doc")
 
 
 def near_duplicates(
     docs: DataFrame, similarity: float = 0.8, width: int = 5, bands: int = 24, per_band: int = 4, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
-    """``(id, kept)``: documents to drop, each with one before it that it repeats."""
-    gone = repeated_rows(banded(docs, width, bands, per_band, text_col), similarity, width, id_col, text_col)
+    """``(id, kept)``: documents to drop, each with the one of its group that stays."""
+    gone = grouped_rows(banded(docs, width, bands, per_band, text_col), similarity, width, id_col, text_col)
     real = lambda c: F.nullif(F.col(c), F.lit((1 << 63) - 1))
     return gone.select(real("doc").alias("id"), real("kept_doc").alias("kept"))
 
@@ -358,15 +427,17 @@ def near_duplicates(
 def near_dedup(
     docs: DataFrame, similarity: float = 0.8, width: int = 5, bands: int = 24, per_band: int = 4, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
-    """The rows of ``docs`` that repeat no row before them, columns unchanged.
+    """The first row of every group of near copies, columns unchanged.
 
     Rows are judged one by one, so two of equal id but different texts both stay, and of
     rows repeated as a whole one does. Null ids come last. Null and empty texts and those
     of white space are equal to each other; texts shorter than a shingle are one shingle.
-    A text is held as a whole by one task at a time. Empty tables stay empty.
+    A text is held as a whole by one task at a time. Empty tables stay empty. A pair at
+    ``similarity`` shares none of the keys with chance (1 - similarity ** per_band) ** bands,
+    3e-6 by default.
     """
     band = banded(docs, width, bands, per_band, text_col)
-    gone = repeated_rows(band, similarity, width, id_col, text_col).select("id")
+    gone = grouped_rows(band, similarity, width, id_col, text_col).select("id")
     return band.join(gone, "id", "left_anti").select("row.*")
 
 

@@ -3,8 +3,9 @@ import random
 import corpus_pipeline
 from test_decontaminate import brute as leaks
 from test_quality import brute as measures
+from test_simhash import brute_groups as groups
 
-from glyphfold.llm import bin_packing, pii_crf, simhash_dedup
+from glyphfold.llm import bin_packing, pii_crf
 from glyphfold.session import settle
 
 
@@ -34,9 +35,7 @@ def test_stages_against_brute_force(spark, tmp_path):
         assert docs.columns == columns
         steps.append({r.doc_id: r for r in docs.collect()})
     assert set(steps[0]) == want
-    shingles = {i: set(simhash_dedup.shingle_hashes(texts[i], 5)) for i in want}
-    near = lambda a, b: len(shingles[a] & shingles[b]) / len(shingles[a] | shingles[b]) >= 0.8
-    want = {i for i in want if not any(j < i and near(i, j) for j in want)}
+    want = {i for i, r in groups([(i, texts[i]) for i in want]).items() if i == r}
     assert set(steps[1]) == want
     want -= {w[0] for w in leaks([(i, texts[i]) for i in want], items)}
     assert set(steps[2]) == want and not want & {110, 111, 112}

@@ -82,26 +82,47 @@ def test_chain_of_prints(spark):
     assert set(roots.values()) == {5} and len(roots) == 20
 
 
-def test_near_duplicates_are_verified(spark):
-    """Kept documents differ; dropped ones repeat a smaller one; nearly all near copies go."""
+def brute_groups(docs, similarity=0.8):
+    """Smallest id of each document's group: documents linked by similarity of their five-word shingles."""
+    sets = {i: set(sd.shingle_hashes(t, 5)) for i, t in docs}
+    root, ids = {}, sorted(sets)
+    for i in ids:
+        if i in root:
+            continue
+        root[i], todo = i, [i]
+        while todo:
+            a = todo.pop()
+            for b in ids:
+                if b not in root and len(sets[a] & sets[b]) >= similarity * len(sets[a] | sets[b]):
+                    root[b] = i
+                    todo.append(b)
+    return root
+
+
+def test_near_copies_make_groups(spark, monkeypatch):
+    """Groups of near copies, also by chains, keep their smallest document; others stay."""
     random.seed(11)
     vocab = ["the", "of", "and"] + [f"{a}{b}word{i}" for i, (a, b) in enumerate((x, y) for x in "abcdefghij" for y in "klmnopqrst")]
-    docs, truth = [], {}
+    docs = []
     for base in range(25):
         words = random.choices(vocab, k=random.randint(150, 500))
         for copy in range(random.randint(1, 6)):
             w = list(words)
-            for _ in range(0 if copy == 0 else random.randint(0, len(w) // 120)):
+            for _ in range(0 if copy == 0 else random.randint(0, len(w) // 60)):
                 w[random.randrange(len(w))] = random.choice(vocab)
-            truth[len(docs)] = base
             docs.append((len(docs), " ".join(w).upper() if copy == 1 else " ".join(w)))
+    for base in range(4):  # chains: only neighbours are alike
+        words = random.choices(vocab, k=120)
+        for step in range(8):
+            docs.append((len(docs), " ".join(words)))
+            words = words[6:] + random.choices(vocab, k=6)
+    random.shuffle(docs)
     df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
-    sets = {i: set(sd.shingle_hashes(t, 5)) for i, t in docs}
-    j = lambda a, b: len(sets[a] & sets[b]) / len(sets[a] | sets[b])
-    gone = {r.id: r.kept for r in sd.near_duplicates(df).collect()}
-    assert all(k < i and j(i, k) >= 0.8 for i, k in gone.items())
-    due = {i for i in sets if any(k < i and j(i, k) >= 0.8 for k in sets)}
-    assert len(gone) >= 0.95 * len(due) and len(due) > 30
+    want = {i: r for i, r in brute_groups(docs).items() if i != r}
+    assert len(want) > 50
+    for room in (1000, 2):  # with buckets as a whole, and dealt out in blocks
+        monkeypatch.setattr(sd, "BUCKET_TEXTS", room)
+        assert {r.id: r.kept for r in sd.near_duplicates(df).collect()} == want
     assert sd.near_dedup(df.limit(0)).count() == 0
 
 
@@ -124,7 +145,7 @@ def test_scattered_edits_are_found(spark):
     assert {r.id: r.kept for r in sd.near_duplicates(df).collect()} == due
 
 
-def test_chained_groups_are_all_resolved(spark, monkeypatch):
+def test_one_key_for_many_groups(spark, monkeypatch):
     """Many groups of near copies under one key: every one is brought down to its smallest document."""
     random.seed(13)
     docs = []
@@ -139,6 +160,7 @@ def test_chained_groups_are_all_resolved(spark, monkeypatch):
             yield b.set_column(3, "keys", sd.pa.array([[7]] * len(b), sd.pa.list_(sd.pa.int64())))
 
     monkeypatch.setattr(sd, "band_batches", chained)
+    monkeypatch.setattr(sd, "BUCKET_TEXTS", 5)
     df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
     gone = {r.id: r.kept for r in sd.near_duplicates(df).collect()}
     assert gone == {i: i % 12 for i, _ in docs if i >= 12}

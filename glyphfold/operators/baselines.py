@@ -6,6 +6,8 @@ import heapq
 import math
 import random
 from collections import Counter, defaultdict
+from functools import reduce
+from operator import and_
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -14,6 +16,8 @@ from pyspark.sql.window import Window
 
 from glyphfold.functions.bits import channel_bits, diff_bits, int_bits, n_int_bits, n_log2_binomial
 from glyphfold.operators.merge import as_summary, decide_glyph, rep_exact_sql
+from glyphfold.operators.ordering import node_draw, numbered
+from glyphfold.operators.similarity import neighbor_tokens
 from glyphfold.operators.summary import STARS, Summary, corrections
 from glyphfold.session import settle
 from glyphfold.sources.graphs import PropertyGraph
@@ -397,11 +401,15 @@ def decide_superedges(bundles: DataFrame) -> DataFrame:
     return bundles.withColumns({"with_bits": with_, "without_bits": without}).withColumn("keep", (F.col("hit") > 0) & (F.col("with_bits") < F.col("without_bits")))
 
 
-def bundle_edges(s_members: DataFrame, supernodes: DataFrame, edges: DataFrame) -> DataFrame:
-    """Edges between different super-nodes bundled per ordered pair, with exact representatives."""
+def bundle_edges(s_members: DataFrame, supernodes: DataFrame, edges: DataFrame, directed: bool = True) -> DataFrame:
+    """Edges between different super-nodes bundled per ordered pair (per pair without directions), with exact representatives."""
     a, b = s_members.select(F.col("id").alias("src"), F.col("sid").alias("a")), s_members.select(F.col("id").alias("dst"), F.col("sid").alias("b"))
     side = lambda x: supernodes.select(F.col("sid").alias(x), F.col("size").alias(f"n_{x}"), F.col("glyph").alias(f"g_{x}"), F.col("hub").alias(f"h_{x}"))
-    e = edges.join(a, "src").join(b, "dst").where("a <> b").join(side("a"), "a").join(side("b"), "b")
+    e = edges.join(a, "src").join(b, "dst").where("a <> b").select("src", "dst", "m", "a", "b")
+    if not directed:
+        flip = F.col("a") > F.col("b")
+        e = e.select(F.when(flip, F.col("dst")).otherwise(F.col("src")).alias("src"), F.when(flip, F.col("src")).otherwise(F.col("dst")).alias("dst"), "m", F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    e = e.join(side("a"), "a").join(side("b"), "b")
     star = lambda x: F.col(f"g_{x}").isin(*STARS)
     e = e.withColumn("hit", (~star("a") | (F.col("src") == F.col("h_a"))) & (~star("b") | (F.col("dst") == F.col("h_b"))))
     rep = rep_exact_sql(e.where("hit"), ["a", "b"])
@@ -418,22 +426,23 @@ def bundle_edges(s_members: DataFrame, supernodes: DataFrame, edges: DataFrame)
 
 
 def summary_of_partition(g: PropertyGraph, members: DataFrame, superedges: str = "rule") -> Summary:
-    """A directed graph's summary for a given label-pure partition; superedges: rule, all or none."""
+    """The summary of a given label-pure partition; superedges: rule, all or none."""
     lab = members.join(g.nodes, "id")
     size = lab.groupBy("sid").agg(F.min("label").alias("label"), F.count("*").cast("long").alias("size"))
-    glyph = decide_glyph(members.select(F.col("sid").alias("pid"), "id"), g.edges).select(F.col("pid").alias("sid"), "glyph", "hub", "n")
+    glyph = decide_glyph(members.select(F.col("sid").alias("pid"), "id"), g.edges, g.directed).select(F.col("pid").alias("sid"), "glyph", "hub", "n")
     glyph = glyph.select("sid", F.when(F.col("n") == 1, "disconnected").otherwise(F.col("glyph")).alias("glyph"), F.when(F.col("n") > 1, F.col("hub")).alias("hub"))
     sn = size.join(glyph, "sid")
     a, b = members.select(F.col("id").alias("src"), F.col("sid").alias("a")), members.select(F.col("id").alias("dst"), F.col("sid").alias("b"))
     inner = g.edges.join(a, "src").join(b, "dst").where("a = b").join(glyph.select(F.col("sid").alias("a"), "glyph", "hub"), "a")
-    hit = (F.col("glyph") == "clique") | ((F.col("glyph") == "in_star") & (F.col("dst") == F.col("hub"))) | ((F.col("glyph") == "out_star") & (F.col("src") == F.col("hub")))
+    spoke = F.col("hub").isNotNull() & ((F.col("src") == F.col("hub")) | (F.col("dst") == F.col("hub")))
+    hit = (F.col("glyph") == "clique") | spoke if not g.directed else (F.col("glyph") == "clique") | ((F.col("glyph") == "in_star") & (F.col("dst") == F.col("hub"))) | ((F.col("glyph") == "out_star") & (F.col("src") == F.col("hub")))
     m = rep_exact_sql(inner.where("src <> dst").where(hit), ["a"]).select(F.col("a").alias("sid"), F.col("rep").alias("m"))
     loops = rep_exact_sql(inner.where("src = dst"), ["a"]).select(F.col("a").alias("sid"), F.col("rep").alias("self_m"))
     if superedges == "none":
         loops = loops.join(size.where("size = 1"), "sid", "left_semi")
     sn = sn.join(m, "sid", "left").join(loops, "sid", "left").select("sid", "label", "size", "glyph", F.coalesce("m", F.lit(1).cast("long")).alias("m"), "hub", "self_m")
     sn = settle(sn, "part_sn")
-    bundles = decide_superedges(bundle_edges(members, sn, g.edges))
+    bundles = decide_superedges(bundle_edges(members, sn, g.edges, g.directed))
     # single nodes keep their plain super-edges
     keep = {"rule": F.col("keep"), "all": F.col("hit") > 0, "none": F.lit(False)}[superedges] | (F.col("n_a") * F.col("n_b") == 1)
     se = bundles.where(keep).select(F.col("a").alias("ssid"), F.col("b").alias("dsid"), F.col("rep").cast("long").alias("m"))
@@ -447,27 +456,34 @@ def label_members(g: PropertyGraph) -> DataFrame:
 
 
 def duplicate_members(g: PropertyGraph) -> DataFrame:
-    """Nodes of one label with equal neighbour lists together."""
-    tok = g.edges.select(F.col("src").alias("id"), (F.col("dst") * 2 + 1).alias("t")).union(g.edges.select("dst", F.col("src") * 2))
-    key = tok.groupBy("id").agg(F.sha2(F.concat_ws(",", F.array_sort(F.collect_list("t"))), 256).alias("k"))
-    keyed = g.nodes.join(key, "id", "left").withColumn("k", F.coalesce("k", F.col("id").cast("string")))
-    first = keyed.groupBy("label", "k").agg(F.min("id").alias("sid"))
-    return keyed.join(first, ["label", "k"]).select("id", "sid")
+    """Nodes of one label with equal neighbour lists together; lists are told by their length and two 64-bit sums."""
+    tok = neighbor_tokens(g)
+    prints = [F.sum(F.xxhash64("tok", F.lit(k)).cast("decimal(38,0)")).alias(f"p{k}") for k in (0, 1)]
+    key = tok.groupBy("id").agg(F.count("*").alias("d"), *prints)
+    keyed = g.nodes.join(key, "id", "left").withColumn("alone", F.when(F.col("d").isNull(), F.col("id")))
+    first = keyed.groupBy("label", "d", "p0", "p1", "alone").agg(F.min("id").alias("sid"))
+    same = reduce(and_, (F.col(f"x.{c}").eqNullSafe(F.col(f"y.{c}")) for c in ("label", "d", "p0", "p1", "alone")))
+    return keyed.alias("x").join(first.alias("y"), same).select("x.id", "y.sid")
 
 
 def random_members(g: PropertyGraph, members: DataFrame, seed: int = 42) -> DataFrame:
     """Groups of the same sizes and labels, filled at random."""
-    w = Window.partitionBy("label")
-    slot = members.join(g.nodes, "id").withColumn("r", F.row_number().over(w.orderBy("sid", "id"))).select("label", "r", "sid")
-    who = g.nodes.withColumn("r", F.row_number().over(w.orderBy(F.xxhash64("id", F.lit(seed)), "id")))
-    drawn = who.join(slot, ["label", "r"]).select("id", F.col("sid").alias("g"))
+    slot = numbered(members.join(g.nodes, "id"), ["label", "sid", "id"], "r").select("r", F.col("sid").alias("g"))
+    who = numbered(g.nodes.withColumn("draw", node_draw(F.col("id"), seed)), ["label", "draw", "id"], "r")
+    drawn = who.join(slot, "r").select("id", "g")
     first = drawn.groupBy("g").agg(F.min("id").alias("sid"))
     return drawn.join(first, "g").select("id", "sid")
 
 
+def star_members(g: PropertyGraph, where: str = "dst % 8 = 3") -> DataFrame:
+    """Targets of some edges join their smallest source; other nodes stay alone."""
+    home = g.edges.where(where).groupBy(F.col("dst").alias("id")).agg(F.min("src").alias("home"))
+    return g.nodes.join(home, "id", "left").select("id", F.coalesce("home", "id").alias("sid"))
+
+
 def group_summary(g: PropertyGraph, key: str = "label", superedges: str = "rule", seed: int = 42) -> Summary:
-    """Each label, or each set of equal neighbourhoods, or a random filling of the latter, as a super-node."""
-    members = label_members(g) if key == "label" else duplicate_members(g)
+    """A super-node for each label, each set of equal neighbourhoods, a random filling of the latter, or each star."""
+    members = {"label": label_members, "stars": star_members}.get(key, duplicate_members)(g)
     if key == "random":
-        members = random_members(g, members, seed)
+        members = random_members(g, settle(members, "drawn_members"), seed)
     return summary_of_partition(g, settle(members, "part_members"), superedges)

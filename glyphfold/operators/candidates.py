@@ -42,9 +42,9 @@ def row_hash(tok: Column, seed: int, row: int, family: str = "affine31") -> Colu
     return (F.pmod(tok, F.lit(PRIME).cast("long")) * F.lit(a).cast("long") + c) % PRIME
 
 
-def minhash(g: PropertyGraph, r: int, bands: int, family: str = "affine31", seed: int = 42) -> DataFrame:
+def minhash(g: PropertyGraph, r: int, bands: int, family: str = "affine31", seed: int = 42, mode: str = "directed") -> DataFrame:
     """``(id, d, h_0 ...)``: r * bands minima over the neighbour tokens, in one aggregate."""
-    tok = neighbor_tokens(g)
+    tok = neighbor_tokens(g, mode)
     return tok.groupBy("id").agg(F.count("*").alias("d"), *(F.min(row_hash(F.col("tok"), seed, i, family)).alias(f"h_{i}") for i in range(r * bands)))
 
 
@@ -194,66 +194,135 @@ def maximal_cliques_exact(pairs: list[tuple[int, int]]) -> list[list[int]]:
     return sorted(out)
 
 
-def emerging_cliques(pairs: DataFrame, best: DataFrame | None) -> DataFrame:
-    """``(cid, ids, size, quality)`` of new cliques, component by component."""
+#: Pairs of a similarity component above which its cliques are searched node by node.
+WIDE_COMPONENT = 2_000_000
+
+
+def emerging_cliques(pairs: DataFrame, best: DataFrame | None, wide: int = WIDE_COMPONENT) -> DataFrame:
+    """``(ids, size, quality)`` of new cliques: component by component, the largest ones node by node; results are equal."""
     comp = connected_components(pairs, "a", "b").withColumnRenamed("root", "comp")
-    e = pairs.join(comp.withColumnRenamed("id", "a"), "a")
-    known = best.select(F.col("id").alias("a"), "best") if best is not None else None
-    rows = e.select("comp", "a", "b", "jd")
-    if known is not None:
-        rows = rows.join(known, "a", "left").join(known.select(F.col("a").alias("b"), F.col("best").alias("best_b")), "b", "left")
+    rows = settle(pairs.select("a", "b", "jd").join(comp.withColumnRenamed("id", "a"), "a"), "clique_pairs")
+    large = settle(rows.groupBy("comp").count().where(F.col("count") > wide).select("comp"), "wide_components")
+    none = F.lit(None).cast("int")
+    if best is None:
+        known = rows.select("comp", "a", "b", "jd", none.alias("best"), none.alias("best_b"))
     else:
-        rows = rows.withColumns({"best": F.lit(None).cast("int"), "best_b": F.lit(None).cast("int")})
+        of = lambda end, name: best.select(F.col("id").alias(end), F.col("best").alias(name))
+        known = rows.join(of("a", "best"), "a", "left").join(of("b", "best_b"), "b", "left").select("comp", "a", "b", "jd", "best", "best_b")
 
     def own(df: pd.DataFrame) -> pd.DataFrame:
-        known = {}
-        for ids, sizes in ((df["a"], df["best"]), (df["b"], df["best_b"])):
-            known.update({int(i): int(s) for i, s in zip(ids, sizes, strict=True) if s == s and s is not None})
-        found = emerge(list(zip(df["a"].tolist(), df["b"].tolist(), df["jd"].tolist(), strict=True)), known)
+        sizes = {}
+        for ids, had in ((df["a"], df["best"]), (df["b"], df["best_b"])):
+            sizes.update({int(i): int(s) for i, s in zip(ids, had, strict=True) if s == s and s is not None})
+        found = emerge(list(zip(df["a"].tolist(), df["b"].tolist(), df["jd"].tolist(), strict=True)), sizes)
         return pd.DataFrame([(c, len(c), q) for c, q in found], columns=["ids", "size", "quality"])
 
-    return rows.groupBy("comp").applyInPandas(own, "ids array<long>, size int, quality double")
+    out = known.join(large, "comp", "left_anti").groupBy("comp").applyInPandas(own, SETS)
+    return out if large.isEmpty() else out.unionByName(cliques_by_node(rows.join(large, "comp", "left_semi").select("a", "b", "jd"), best))
+
+
+def cliques_by_node(pairs: DataFrame, best: DataFrame | None) -> DataFrame:
+    """What ``emerge`` finds, from the neighbourhood of each node alone.
+
+    A node's greedy clique depends on its neighbours and the pairs among them only. The
+    walk takes it if it is larger than all taken before it that hold the node, in the
+    order of degrees; so a clique is taken once none of those is open, and dropped once
+    one of them is taken.
+    """
+    both = pairs.select(F.col("a").alias("u"), F.col("b").alias("v"), "jd").unionByName(pairs.select(F.col("b").alias("u"), F.col("a").alias("v"), "jd"))
+    deg = both.groupBy("u").agg(F.count("*").alias("deg"))
+    if best is not None:
+        deg = deg.join(best.select(F.col("id").alias("u"), "best"), "u", "left")
+    deg = settle(deg.withColumn("best", F.coalesce("best", F.lit(1)) if best is not None else F.lit(1)), "clique_degrees")
+    open_ = deg.where("deg + 1 > best")
+    near = settle(both.join(open_.select("u"), "u", "left_semi").join(deg.select(F.col("u").alias("v"), F.col("deg").alias("d")), "v").select("u", "v", "d", "jd"), "clique_neighbours")
+    x, y = near.select("u", F.col("v").alias("a")), near.select("u", F.col("v").alias("b"))
+    ties = pairs.join(x, "a").join(y, ["u", "b"]).select("u", F.col("a").alias("v"), F.col("b").alias("w"), F.lit(0).cast("long").alias("d"), "jd")
+    rows = near.select("u", "v", F.lit(None).cast("long").alias("w"), "d", "jd").unionByName(ties).join(open_, "u")
+
+    def greedy(df: pd.DataFrame) -> pd.DataFrame:
+        u, deg_, least = int(df["u"].iloc[0]), int(df["deg"].iloc[0]), int(df["best"].iloc[0])
+        own = df[df["w"].isna()]
+        tied = df[df["w"].notna()]
+        adj: dict[int, dict[int, float]] = defaultdict(dict)
+        for a, b, j in zip(tied["v"].tolist(), tied["w"].astype("int64").tolist(), tied["jd"].tolist(), strict=True):
+            adj[a][b] = adj[b][a] = j
+        adj[u] = dict(zip(own["v"].tolist(), own["jd"].tolist(), strict=True))
+        clique, inside = [u], set(adj[u])
+        for v in own.sort_values(["d", "v"], ascending=[False, True])["v"].tolist():
+            if len(clique) + len(inside) <= least:
+                break
+            if v in inside:
+                clique.append(v)
+                inside &= adj[v].keys()
+        if len(clique) <= least:
+            return pd.DataFrame([], columns=["u", "deg", "ids", "size", "quality"])
+        q = min(adj[x][y] for i, x in enumerate(clique) for y in clique[i + 1 :])
+        return pd.DataFrame({"u": [u], "deg": [deg_], "ids": [sorted(clique)], "size": [len(clique)], "quality": [q]})
+
+    found = settle(rows.groupBy("u").applyInPandas(greedy, "u long, deg long, " + SETS), "node_cliques")
+    holds = found.select(F.col("u").alias("by"), F.col("deg").alias("by_deg"), F.col("size").alias("by_size"), F.explode("ids").alias("u"))
+    before = (F.col("by_deg") > F.col("deg")) | ((F.col("by_deg") == F.col("deg")) & (F.col("by") < F.col("u")))
+    blocks = settle(found.select("u", "deg", "size").join(holds, "u").where(before & (F.col("by_size") >= F.col("size"))).select("u", "by"), "clique_blocks")
+    open_nodes, taken = found.select("u"), None
+    while True:
+        free = settle(open_nodes.join(blocks.select("u"), "u", "left_anti"), "clique_free")  # the first open one is always among them
+        taken = free if taken is None else taken.unionByName(free)
+        lost = settle(blocks.join(free.select(F.col("u").alias("by")), "by", "left_semi").select("u").distinct(), "clique_lost")
+        open_nodes = settle(open_nodes.join(free, "u", "left_anti").join(lost, "u", "left_anti"), "clique_open")
+        if open_nodes.isEmpty():
+            return found.join(taken, "u", "left_semi").select("ids", "size", "quality")
+        blocks = settle(blocks.join(open_nodes, "u", "left_semi").join(lost.select(F.col("u").alias("by")), "by", "left_anti").select("u", "by"), "clique_blocks")
 
 
 @dataclass
 class Candidates:
-    """All sets found up to each number of bands: sets[b] has the new ones of round b."""
+    """New sets of each number of bands: as lists (``local``) or as tables (ids, size, quality) that stay distributed."""
 
     r: int
-    sets: dict[int, list[tuple[tuple[int, ...], float]]] = field(default_factory=dict)
+    local: dict[int, list[tuple[tuple[int, ...], float]]] = field(default_factory=dict)
+    tables: dict[int, DataFrame] = field(default_factory=dict)
     pairs: int = 0
     capped: int = 0
 
-    def upto(self, b: int) -> list[tuple[tuple[int, ...], float]]:
-        return [s for k in sorted(self.sets) if k <= b for s in self.sets[k]]
+    def of(self, b: int) -> list[tuple[tuple[int, ...], float]]:
+        """The new sets of round b, collected if they are a table."""
+        if b not in self.local and b in self.tables:
+            self.local[b] = [(tuple(row.ids), row.quality) for row in self.tables[b].orderBy("size", "ids").collect()]
+        return self.local.get(b, [])
 
+    @property
+    def sets(self) -> dict[int, list[tuple[tuple[int, ...], float]]]:
+        return {b: self.of(b) for b in sorted(self.local.keys() | self.tables.keys())}
 
-class _Clusters:
-    """Union-find that reports which members a union brings together."""
+    def upto(self, b: int) -> list[tuple[tuple[int, ...], float]]:
+        return [s for k, own in self.sets.items() if k <= b for s in own]
+
+    def table(self, spark, b: int) -> DataFrame:
+        """``(ids, size, quality)`` of all sets up to b; tables are not collected."""
+        out = spark.createDataFrame([(list(ids), len(ids), q) for k, own in self.local.items() if k <= b and k not in self.tables for ids, q in own], SETS)
+        for k, own in self.tables.items():
+            if k <= b:
+                out = out.unionByName(own.select("ids", "size", "quality"))
+        return out
 
-    def __init__(self):
-        self.root: dict[int, int] = {}
-        self.members: dict[int, list[int]] = {}
 
-    def find(self, u: int) -> int:
-        r = self.root.get(u, u)
-        while r != self.root.get(r, r):
-            r = self.root[r]
-        self.root[u] = r
-        return r
+SETS = "ids array<long>, size int, quality double"
 
 
 def candidate_sets(
     g: PropertyGraph, r: int = 2, b_max: int = 5, filtered: bool = True, seed: int = 42, family: str = "affine31", mode: str = "directed", max_cluster: int = 5000, local_edges: int = 2_000_000
 ) -> Candidates:
-    """Candidate sets for every number of bands up to ``b_max``."""
+    """Candidate sets for every number of bands up to ``b_max``; both ways find the same sets."""
     if g.edges.limit(local_edges + 1).count() <= local_edges:
         tok = neighbor_tokens(g, mode).toPandas()
-        return local_candidates(tok["id"].to_numpy(np.int64), tok["tok"].to_numpy(np.int64), r, b_max, filtered, seed, max_cluster)
+        sig = None if family == "affine31" else minhash(g, r, b_max, family, seed, mode).toPandas()
+        return local_candidates(tok["id"].to_numpy(np.int64), tok["tok"].to_numpy(np.int64), r, b_max, filtered, seed, max_cluster, sig)
     return spark_candidates(g, r, b_max, filtered, seed, family, mode, max_cluster)
 
 
-def local_candidates(ids: np.ndarray, tok: np.ndarray, r: int, b_max: int, filtered: bool = True, seed: int = 42, max_cluster: int = 5000) -> Candidates:
+def local_candidates(ids: np.ndarray, tok: np.ndarray, r: int, b_max: int, filtered: bool = True, seed: int = 42, max_cluster: int = 5000, sig: pd.DataFrame | None = None) -> Candidates:
+    """The rounds in arrays; ``sig`` has the signatures of another hash family than ``affine31``."""
     order = np.lexsort((tok, ids))
     ids, tok = ids[order], tok[order]
     nodes, start = np.unique(ids, return_index=True)
@@ -266,10 +335,16 @@ def local_candidates(ids: np.ndarray, tok: np.ndarray, r: int, b_max: int, filte
     live: list[tuple[int, int, float]] = []
     t_min = threshold(r, b_max)
     reduced = tok % PRIME
+    if sig is not None:
+        sig = sig.sort_values("id")
     for b in range(1, b_max + 1):
         key = np.zeros((len(nodes), r), np.int64)
         for i in range(r):
-            a, c = affine(seed, r * (b - 1) + i)
+            row = r * (b - 1) + i
+            if sig is not None:
+                key[:, i] = sig[f"h_{row}"].to_numpy(np.int64)
+                continue
+            a, c = affine(seed, row)
             key[:, i] = np.minimum.reduceat((reduced * a + c) % PRIME, start) if len(start) else 0
         _, bucket = np.unique(key, axis=0, return_inverse=True) if len(nodes) else (None, np.zeros(0, int))
         groups: dict[int, list[int]] = defaultdict(list)
@@ -306,9 +381,9 @@ def local_candidates(ids: np.ndarray, tok: np.ndarray, r: int, b_max: int, filte
         if filtered:
             fresh = entry.pop(b, [])
             live += fresh
-            out.sets[b] = [(tuple(c), q) for c, q in emerge(live, best)] if fresh else []
+            out.local[b] = [(tuple(c), q) for c, q in emerge(live, best)] if fresh else []
         else:
-            out.sets[b] = [(tuple(m), threshold(r, b)) for t, m in sorted(clusters.items()) if len(joins[t]) > 1]
+            out.local[b] = [(tuple(m), threshold(r, b)) for t, m in sorted(clusters.items()) if len(joins[t]) > 1]
     return out
 
 
@@ -359,12 +434,12 @@ def new_pairs(parts: list[list[int]], lists: dict, t_min: float, max_cluster: in
 
 
 def spark_candidates(g: PropertyGraph, r: int, b_max: int, filtered: bool, seed: int, family: str, mode: str, max_cluster: int = 5000) -> Candidates:
-    """The same rounds as DataFrames; each round's tables are written, its sets collected ranked.
+    """The same rounds as DataFrames; each round's tables are written, its sets among them.
 
     Clusters above ``max_cluster`` are counted as capped and paired over their rare tokens, without loss.
     """
     tokens = settle(neighbor_tokens(g, mode), "tokens")
-    sig = settle(minhash(g, r, b_max, family, seed), "signatures")
+    sig = settle(minhash(g, r, b_max, family, seed, mode), "signatures")
     t_min = threshold(r, b_max)
     out = Candidates(r)
     clusters, pairs, best = None, None, None
@@ -379,12 +454,13 @@ def spark_candidates(g: PropertyGraph, r: int, b_max: int, filtered: bool, seed:
             found = settle(emerging_cliques(simgraph(pairs, b), best), "cliques")
             sizes = found.select(F.explode("ids").alias("id"), F.col("size").alias("best"))
             best = settle((sizes if best is None else best.unionByName(sizes)).groupBy("id").agg(F.max("best").alias("best")), "best")
-            out.sets[b] = [(tuple(row.ids), row.quality) for row in found.orderBy("size", "ids").collect()]
+            out.tables[b] = found
+            out.pairs += new.count()
         else:
             sets = now.groupBy("cluster").agg(F.array_sort(F.collect_list("id")).alias("ids")).where(F.size("ids") > 1)
             if clusters is not None:
                 old = clusters.groupBy("cluster").agg(F.count("*").alias("n"))
                 sets = sets.join(old, "cluster", "left").where("n is null or n < size(ids)")
-            out.sets[b] = [(tuple(row.ids), threshold(r, b)) for row in sets.orderBy("cluster").collect()]
+            out.tables[b] = settle(sets.select("ids", F.size("ids").alias("size"), F.lit(threshold(r, b)).alias("quality")), "cluster_sets")
         clusters = now
     return out

@@ -215,6 +215,20 @@ def ledgers(s: Summary, codes: Codes = Codes()) -> dict[str, float]:
     return {"printed": printed, "sound": printed + parts["location"]} | parts
 
 
+def identity_bits(g: PropertyGraph, codes: Codes = Codes()) -> DataFrame:
+    """``(printed, sound)`` of the graph described as its own summary, in closed form: only single nodes, so no corrections."""
+    deg = g.edges.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("d"), F.sum(codes.integer(F.col("m"))).alias("bits"))
+    n = g.nodes.agg(F.count("*").cast("double").alias("vs"), F.countDistinct("label").cast("double").alias("t"))
+    out = deg.groupBy("d").agg(F.count("*").alias("k"), F.sum("bits").alias("bits"), F.sum("d").alias("edges")).crossJoin(F.broadcast(n))  # one row
+    out = out.agg(F.coalesce(F.sum(F.col("k") * log2_binomial(F.col("vs"), F.col("d")) + F.col("bits") + F.col("edges")), F.lit(0.0)).alias("own"))
+    vs, t = F.col("vs"), F.col("t")
+    each = F.log2(t) + 2 + 1 + 1 + F.log2(vs) + F.log2(vs)  # label, glyph, size, multiplicity, number of targets, which node
+    printed = F.when(vs > 0, codes.integer(vs) + codes.integer(t) + vs * each + F.col("own")).otherwise(codes.integer(vs) + codes.integer(t))
+    return n.crossJoin(F.broadcast(out)).select(printed.alias("printed"), (printed + F.when(vs > 0, vs * F.log2(vs)).otherwise(0.0)).alias("sound"))
+
+
 def bits_before(g: PropertyGraph, codes: Codes = Codes()) -> dict[str, float]:
     """Totals of the graph described as its own summary."""
-    return ledgers(identity_summary(g), codes)
+    if codes.charged:
+        return ledgers(identity_summary(g), codes)
+    return identity_bits(g, codes).first().asDict()

@@ -8,10 +8,10 @@ from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from glyphfold.operators import baselines, ledger, merge
 from glyphfold.operators.candidates import candidate_sets, lsh_clusters, minhash
+from glyphfold.operators.ordering import node_draw, numbered
 from glyphfold.operators.similarity import exact_simpairs
 from glyphfold.operators.summary import Summary
 from glyphfold.sources.graphs import PropertyGraph
@@ -80,10 +80,9 @@ def glyph_breakdown(s: Summary, unit: str = "nodes") -> DataFrame:
 
 def shuffled(g: PropertyGraph, seed: int) -> PropertyGraph:
     """Labels permuted among the nodes; their counts stay."""
-    w = Window.orderBy
-    a = g.nodes.select("id", F.row_number().over(w("id")).alias("r"))
-    b = g.nodes.select("label", F.row_number().over(w(F.xxhash64("id", F.lit(seed)), "id")).alias("r"))
-    return replace(g, nodes=a.join(b, "r").select("id", "label"))
+    a = numbered(g.nodes.select("id"), ["id"], "r")
+    b = numbered(g.nodes.select("label", "id", node_draw(F.col("id"), seed).alias("draw")), ["draw", "id"], "r")
+    return replace(g, nodes=a.join(b.select("r", "label"), "r").select("id", "label"))
 
 
 def label_ratio(g: PropertyGraph, cands, cfg: merge.SummaryConfig, nodes=None, edges=None) -> float:

@@ -17,11 +17,11 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from glyphfold.functions.bits import n_channel_bits, n_diff_bits, n_int_bits, n_log2_binomial
 from glyphfold.operators.candidates import Candidates, candidate_sets
-from glyphfold.operators.summary import MEMBERS, STARS, SUPEREDGES, SUPERNODES, Summary
+from glyphfold.operators.ordering import numbered
+from glyphfold.operators.summary import MEMBERS, STARS, SUPEREDGES, SUPERNODES, Summary, identity_summary
 from glyphfold.session import settle
 from glyphfold.sources.graphs import PropertyGraph
 
@@ -43,7 +43,8 @@ class SummaryConfig:
     ledger: str = "printed"  # or "sound"
     zero_bits: float = 3.0
     mark_policy: str = "always"  # or "on_commit"
-    engine: str = "serial"  # or "rounds"
+    engine: str = "auto"  # or "serial", "rounds"
+    local_edges: int = 2_000_000  # up to so many, candidates and the walk are held by the driver
     isolation: str = "nodes"  # or "neighbours"
     include_membership: bool = False
     nested: bool = False
@@ -127,22 +128,26 @@ def glyph_of(n: int, edges: list[tuple[int, int]], directed: bool = True) -> tup
     return "disconnected", None
 
 
-def decide_glyph(parts: DataFrame, edges: DataFrame) -> DataFrame:
-    """The glyph rule for parts (pid, id) at once: (pid, glyph, hub, n, e, d_in, d_out, cost_in, cost_out)."""
+def decide_glyph(parts: DataFrame, edges: DataFrame, directed: bool = True) -> DataFrame:
+    """The glyph rule for parts (pid, id) at once: (pid, glyph, hub, n, e, d_in, d_out, cost_in, cost_out).
+
+    Without directions d_in counts both ends of an edge, and a star is an ``out_star``.
+    """
     x, y = parts.select("pid", F.col("id").alias("src")), parts.select(F.col("pid").alias("p2"), F.col("id").alias("dst"))
-    inner = edges.where("src <> dst").join(x, "src").join(y, "dst").where("pid = p2")
+    inner = edges.where("src <> dst").join(x, "src").join(y, "dst").where("pid = p2").select("pid", "src", "dst")
     count = parts.groupBy("pid").agg(F.count("*").cast("long").alias("n"))
     e = inner.groupBy("pid").agg(F.count("*").alias("e"))
-    best = lambda end, d: inner.groupBy("pid", end).agg(F.count("*").alias("d")).groupBy("pid").agg(F.max("d").alias(d), F.max_by(end, F.struct("d", (-F.col(end)).alias("x"))).alias(f"h_{end}"))
-    df = count.join(e, "pid", "left").join(best("dst", "d_in"), "pid", "left").join(best("src", "d_out"), "pid", "left").na.fill(0, ["e", "d_in", "d_out"])
+    into, out = inner.select("pid", F.col("dst").alias("x")), inner.select("pid", F.col("src").alias("x"))
+    best = lambda ends, d: ends.groupBy("pid", "x").agg(F.count("*").alias("d")).groupBy("pid").agg(F.max("d").alias(f"d_{d}"), F.max_by("x", F.struct("d", (-F.col("x")).alias("y"))).alias(f"h_{d}"))
+    df = count.join(e, "pid", "left").join(best(into if directed else into.unionByName(out), "in"), "pid", "left").join(best(out, "out"), "pid", "left").na.fill(0, ["e", "d_in", "d_out"])
     df = df.withColumns({"cost_in": F.col("n") - 1 + F.col("e") - 2 * F.col("d_in"), "cost_out": F.col("n") - 1 + F.col("e") - 2 * F.col("d_out")})
-    glyph = (
-        F.when(2 * F.col("e") >= F.col("n") * (F.col("n") - 1), "clique")
-        .when((F.col("cost_in") < F.col("e")) & (F.col("cost_in") <= F.col("cost_out")), "in_star")
-        .when(F.col("cost_out") < F.col("e"), "out_star")
-        .otherwise("disconnected")
-    )
-    hub = F.when(glyph == "in_star", F.col("h_dst")).when(glyph == "out_star", F.col("h_src"))
+    dense = F.when((2 if directed else 4) * F.col("e") >= F.col("n") * (F.col("n") - 1), "clique")
+    if directed:
+        glyph = dense.when((F.col("cost_in") < F.col("e")) & (F.col("cost_in") <= F.col("cost_out")), "in_star").when(F.col("cost_out") < F.col("e"), "out_star").otherwise("disconnected")
+        hub = F.when(glyph == "in_star", F.col("h_in")).when(glyph == "out_star", F.col("h_out"))
+    else:
+        glyph = dense.when(F.col("cost_in") < F.col("e"), "out_star").otherwise("disconnected")
+        hub = F.when(glyph == "out_star", F.col("h_in"))
     return df.select("pid", glyph.alias("glyph"), hub.alias("hub"), "n", "e", "d_in", "d_out", "cost_in", "cost_out")
 
 
@@ -163,6 +168,7 @@ class Side:
 @dataclass
 class Verdict:
     delta: float
+    local: float  # the change without the terms of the whole summary
     glyph: str
     hub: int | None
     m: int
@@ -170,7 +176,6 @@ class Verdict:
     edges: list[tuple[int, int, int]]  # super-edges, the part itself being PART
     sides: dict[int, tuple[int, int]]  # new out and loose counts of neighbours
     own: tuple[int, int]  # the part's own
-    gone: list[tuple[int, int]]  # (out, loose) of the merged nodes
 
 
 PART = -1
@@ -258,13 +263,54 @@ class World:
     loose: Counter
 
 
-def judge(nodes: list[int], inner: list, outer: dict[int, list], sides: dict[int, Side], world: World, directed: bool, cfg: SummaryConfig, singles: dict[int, Side]) -> Verdict:
+def pair_of(a: int, b: int, directed: bool) -> tuple[int, int]:
+    """The super-edge between a and b; without directions the smaller id holds it."""
+    return (a, b) if directed or a <= b else (b, a)
+
+
+def oriented(outer: dict[int, list], me: int, directed: bool) -> dict[int, list]:
+    """Without directions a bundle is one: all its edges run from the smaller super-node to the larger."""
+    if directed:
+        return outer
+    return {z: [(me < z, *((u, v) if t == (me < z) else (v, u)), m) for t, u, v, m in rows] for z, rows in outer.items()}
+
+
+def out_counts(me: int, outer: dict[int, list], sides: dict[int, Side], held: set, edges: list, self_m: int | None, directed: bool) -> tuple[dict, tuple[int, int]]:
+    """Super-edges and loose targets that each neighbour, and the part itself, would hold after the merge.
+
+    held: the super-edges between neighbours and single nodes of the part before it.
+    """
+    kept = {(me if a == PART else a, me if b == PART else b) for a, b, _ in edges}
+    own_out, own_loose = int(self_m is not None), 0
+    moved = {}
+    for z, rows in outer.items():
+        o, l = sides[z].out, sides[z].loose
+        old = {pair_of(u, z, directed) if to else pair_of(z, v, directed) for to, u, v, _ in rows}
+        for pair in old:
+            if pair[0] == z:
+                o -= pair in held
+                l -= pair not in held
+        for to in {t for t, *_ in rows}:
+            pair = (me, z) if to else (z, me)
+            has = pair in kept
+            if pair[0] == z:
+                o += has
+                l += not has
+            else:
+                own_out += has
+                own_loose += not has
+        moved[z] = (o, l)
+    return moved, (own_out, own_loose)
+
+
+def judge(nodes: list[int], inner: list, outer: dict[int, list], sides: dict[int, Side], held: set, world: World, directed: bool, cfg: SummaryConfig, singles: dict[int, Side]) -> Verdict:
     """Change of the total bits if ``nodes`` became one super-node.
 
     inner: edges among the nodes; outer: for each neighbouring super-node z the edges
-    (u, v, m) with (True) towards it or (False) from it, as z: [(to, u, v, m)].
+    (u, v, m) with (True) towards it or (False) from it, as z: [(to, u, v, m)], oriented;
+    held: the super-edges there are between neighbours and nodes.
     """
-    n = len(nodes)
+    n, me = len(nodes), min(nodes)
     pairs = [(u, v) for u, v, _ in inner if u != v]
     choices = [glyph_of(n, pairs, directed)]
     if cfg.glyph_rule == "best":
@@ -276,7 +322,6 @@ def judge(nodes: list[int], inner: list, outer: dict[int, list], sides: dict[int
     before = sum(own_bits(1, "disconnected", 1, world.v, world.n_labels) for _ in nodes)
     for u, v, m in inner:  # plain edges between single nodes: super-edges with their own multiplicity
         before += 1 + n_int_bits(m)
-    old_out, old_loose = Counter(), Counter()
     for z, rows in outer.items():
         side = sides[z]
         if side.size == 1:
@@ -284,43 +329,31 @@ def judge(nodes: list[int], inner: list, outer: dict[int, list], sides: dict[int
             continue
         by: dict[tuple, list] = defaultdict(list)
         for to, u, v, m in rows:
-            by[(to, u if to else v)].append((u, v, m))
+            by[to, u if to else v].append((u, v, m))
         ends = (side.size, side.glyph, side.hub)
-        for (to, _), own in by.items():
+        for (to, x), own in by.items():
             single = (1, "disconnected", None)
             with_, without, _m = bundle(own, single if to else ends, ends if to else single, cfg)
-            keeps = with_ + membership(world, side, to, cfg) < without
-            before += with_ if keeps else without
-            if not to:
-                old_out[z] += keeps
-                old_loose[z] += not keeps
+            before += with_ if (pair_of(x, z, directed) if to else pair_of(z, x, directed)) in held else without
     best = None
     for glyph, hub in choices:
         bits, m, self_m = inner_bits(n, inner, glyph, hub, directed, cfg)
         after = own_bits(n, glyph, m, world.v, world.n_labels) + bits
-        edges, moved = [], {}
-        out = int(self_m is not None)
-        loose = 0
+        edges = []
         for z, rows in outer.items():
             side = sides[z]
-            new_out = new_loose = 0
             for to in (True, False):
                 own = [(u, v, m_) for t, u, v, m_ in rows if t == to]
                 if not own:
                     continue
-                me, other = (n, glyph, hub), (side.size, side.glyph, side.hub)
-                with_, without, rep = bundle(own, me if to else other, other if to else me, cfg)
-                if with_ + membership(world, side, to, cfg) < without:
+                me_, other = (n, glyph, hub), (side.size, side.glyph, side.hub)
+                with_, without, rep = bundle(own, me_ if to else other, other if to else me_, cfg)
+                if with_ + membership(world, cfg) < without:
                     after += with_
                     edges.append((PART, z, rep) if to else (z, PART, rep))
-                    out += to
-                    new_out += not to
                 else:
                     after += without
-                    loose += to
-                    new_loose += not to
-            was = sum(not t for t, *_ in rows) if side.size == 1 else old_out[z]
-            moved[z] = (side.out - was + new_out, side.loose - (0 if side.size == 1 else old_loose[z]) + new_loose)
+        moved, own_counts = out_counts(me, outer, sides, held, edges, self_m, directed)
         hist, lhist = Counter(world.out), Counter(world.loose)
         for s in singles.values():
             hist[s.out] -= 1
@@ -330,16 +363,17 @@ def judge(nodes: list[int], inner: list, outer: dict[int, list], sides: dict[int
             lhist[sides[z].loose] -= 1
             hist[o] += 1
             lhist[l] += 1
-        hist[out] += 1
-        lhist[loose] += 1
+        hist[own_counts[0]] += 1
+        lhist[own_counts[1]] += 1
         vs = world.vs - n + 1
-        delta = after - before + global_bits(vs, hist, lhist, cfg) - global_bits(world.vs, world.out, world.loose, cfg)
+        local = after - before
+        delta = local + global_bits(vs, hist, lhist, cfg) - global_bits(world.vs, world.out, world.loose, cfg)
         if best is None or delta < best.delta:
-            best = Verdict(delta, glyph, hub, m, self_m, edges, moved, (out, loose), [(s.out, s.loose) for s in singles.values()])
+            best = Verdict(delta, local, glyph, hub, m, self_m, edges, moved, own_counts)
     return best
 
 
-def membership(world: World, side: Side, to: bool, cfg: SummaryConfig) -> float:
+def membership(world: World, cfg: SummaryConfig) -> float:
     """Optional share of the out-set that a super-edge adds (left out of the local rule by default)."""
     return math.log2(max(world.vs, 1)) if cfg.include_membership else 0.0
 
@@ -354,9 +388,9 @@ def ranked(sets: list[tuple[tuple[int, ...], float]], limit: int | None = None)
 
 
 def rank_candidates(candidates: DataFrame) -> DataFrame:
-    """``rank`` of candidates (cid, size, quality)."""
-    w = Window.orderBy(F.desc(F.col("size") * F.col("quality")), F.desc("size"), "cid")
-    return candidates.withColumns({"score": F.col("size") * F.col("quality"), "rank": F.row_number().over(w)})
+    """``rank`` (from 1) and ``score`` of candidates (cid, size, quality)."""
+    scored = candidates.withColumn("score", F.col("size") * F.col("quality"))
+    return numbered(scored, [F.desc("score"), F.desc("size"), "cid"], start=1, name="ranking")
 
 
 def split_by_label(members: DataFrame, nodes: DataFrame) -> DataFrame:
@@ -399,75 +433,13 @@ class Walk:
             for w, m in self.into[u]:
                 if w not in own:
                     outer[self.of[w]].append((False, w, u, m))
-        if not self.directed:  # a bundle is one, filed under the smaller super-node's id
-            me = min(nodes)
-            for z, rows in outer.items():
-                to = me < z
-                outer[z] = [(to, *((u, v) if t == to else (v, u)), m) for t, u, v, m in rows]
-        return inner, outer
+        return inner, oriented(outer, min(nodes), self.directed)
 
     def judge(self, nodes: list[int]) -> Verdict:
         inner, outer = self.around(nodes)
-        sides = {z: self.sides[z] for z in outer}
-        if not self.directed:
-            return self._judge_undirected(nodes, inner, outer, sides)
-        return judge(nodes, inner, outer, sides, self.world, True, self.cfg, {u: self.sides[u] for u in nodes})
-
-    def _judge_undirected(self, nodes, inner, outer, sides) -> Verdict:
-        """Out-sets of undirected graphs belong to the smaller id: single edges may change sides."""
-        me = min(nodes)
-        v = judge(nodes, inner, outer, sides, self.world, False, self.cfg, {u: self.sides[u] for u in nodes})
-        # recount out-sets exactly: per neighbour, which of its old super-edges to the nodes it held
-        moved, own_out, own_loose = {}, int(v.self_m is not None), 0
-        kept = {(a if a != PART else me, b if b != PART else me) for a, b, _ in v.edges}
-        for z, rows in outer.items():
-            o, l = self.sides[z].out, self.sides[z].loose
-            per: dict[int, list] = defaultdict(list)
-            for t, a, b, m in rows:
-                per[a if t else b].append((a, b, m) if t else (b, a, m))
-            for u, own in per.items():
-                holder = min(u, z)
-                if holder == z:
-                    has = (z, u) in self.edges
-                    o -= has
-                    l -= not has
-            has = (min(me, z), max(me, z)) in kept
-            if z < me:
-                o += has
-                l += not has
-            else:
-                own_out += has
-                own_loose += not has
-            moved[z] = (o, l)
-        hist = lambda pick: Counter(getattr(self.world, pick))
-        ho, hl = hist("out"), hist("loose")
-        for u in nodes:
-            ho[self.sides[u].out] -= 1
-            hl[self.sides[u].loose] -= 1
-        for z, (o, l) in moved.items():
-            ho[self.sides[z].out] -= 1
-            hl[self.sides[z].loose] -= 1
-            ho[o] += 1
-            hl[l] += 1
-        ho[own_out] += 1
-        hl[own_loose] += 1
-        # replace the out-set terms of the first estimate
-        wrong_o, wrong_l = hist("out"), hist("loose")
-        for o, l in v.gone:
-            wrong_o[o] -= 1
-            wrong_l[l] -= 1
-        for z, (o, l) in v.sides.items():
-            wrong_o[self.sides[z].out] -= 1
-            wrong_l[self.sides[z].loose] -= 1
-            wrong_o[o] += 1
-            wrong_l[l] += 1
-        wrong_o[v.own[0]] += 1
-        wrong_l[v.own[1]] += 1
-        vs = self.world.vs - len(nodes) + 1
-        fix = sum(c * n_log2_binomial(vs, d) for d, c in ho.items()) - sum(c * n_log2_binomial(vs, d) for d, c in wrong_o.items() if d >= 0)
-        if self.cfg.ledger == "sound":
-            fix += sum(c * n_log2_binomial(vs, d) for d, c in hl.items()) - sum(c * n_log2_binomial(vs, d) for d, c in wrong_l.items() if d >= 0)
-        return replace_verdict(v, v.delta + fix, moved, (own_out, own_loose))
+        pair = lambda z, to, u, v: pair_of(u, z, self.directed) if to else pair_of(z, v, self.directed)
+        held = {p for z, rows in outer.items() for to, u, v, _ in rows if (p := pair(z, to, u, v)) in self.edges}
+        return judge(nodes, inner, outer, {z: self.sides[z] for z in outer}, held, self.world, self.directed, self.cfg, {u: self.sides[u] for u in nodes})
 
     def commit(self, nodes: list[int], v: Verdict) -> None:
         sid = min(nodes)
@@ -530,10 +502,6 @@ class Walk:
         return sn, list(self.of.items()), [(a, b, m) for (a, b), m in self.edges.items()]
 
 
-def replace_verdict(v: Verdict, delta: float, sides: dict, own: tuple) -> Verdict:
-    return Verdict(delta, v.glyph, v.hub, v.m, v.self_m, v.edges, sides, own, v.gone)
-
-
 def as_summary(g: PropertyGraph, tables: tuple[list, list, list]) -> Summary:
     spark = g.edges.sparkSession
     frames = []
@@ -546,62 +514,72 @@ def as_summary(g: PropertyGraph, tables: tuple[list, list, list]) -> Summary:
 
 
 def summarize(g: PropertyGraph, cfg: SummaryConfig = SummaryConfig(), candidates: Candidates | None = None) -> Summary:
-    """A summary at resolution ``cfg.b``."""
-    cands = candidates or candidate_sets(g, cfg.r, cfg.b, cfg.filtered, cfg.seed, cfg.family, cfg.similarity, cfg.max_cluster)
-    sets = cands.upto(cfg.b)
-    if cfg.engine == "rounds":
-        return summarize_rounds(g, sets, cfg)
+    """A summary at resolution ``cfg.b``; ``engine="auto"`` walks serially up to ``local_edges`` edges, and in rounds beyond."""
+    cands = candidates or candidates_of(g, cfg, cfg.b)
+    small = g.edges.limit(cfg.local_edges + 1).count() <= cfg.local_edges if cfg.engine == "auto" else cfg.engine == "serial"
+    if not small:
+        return summarize_rounds(g, cands.table(g.edges.sparkSession, cfg.b), cfg)
     walk = Walk(g, cfg)
     if cfg.nested:
         for b in range(1, cfg.b + 1):
-            walk.run(cands.sets.get(b, []))
+            walk.run(cands.of(b))
     else:
-        walk.run(sets)
+        walk.run(cands.upto(cfg.b))
     return as_summary(g, walk.tables())
 
 
+def candidates_of(g: PropertyGraph, cfg: SummaryConfig, b: int) -> Candidates:
+    return candidate_sets(g, cfg.r, b, cfg.filtered, cfg.seed, cfg.family, cfg.similarity, cfg.max_cluster, cfg.local_edges)
+
+
 def resolutions(g: PropertyGraph, bs: tuple[int, ...] = (1, 2, 5, 10), cfg: SummaryConfig = SummaryConfig()) -> dict[int, Summary]:
     """One summary per number of bands, from one run of candidate generation."""
-    cands = candidate_sets(g, cfg.r, max(bs), cfg.filtered, cfg.seed, cfg.family, cfg.similarity, cfg.max_cluster)
+    cands = candidates_of(g, cfg, max(bs))
     return {b: summarize(g, replace(cfg, b=b), cands) for b in bs}
 
 
 # rounds
 
 
-JUDGED = "pid long, delta double, glyph string, hub long, m long, self_m long, ids array<long>, label string, edges array<struct<a:long,b:long,m:long>>"
+JUDGED = "pid long, delta double, local double, glyph string, hub long, m long, self_m long, ids array<long>, label string"
+
+
+def summarize_rounds(g: PropertyGraph, sets: DataFrame, cfg: SummaryConfig) -> Summary:
+    return rounds(g, sets, cfg)[0]
 
 
-def summarize_rounds(g: PropertyGraph, sets: list[tuple[tuple[int, ...], float]], cfg: SummaryConfig, max_rounds: int = 200) -> Summary:
+def rounds(g: PropertyGraph, sets: DataFrame, cfg: SummaryConfig) -> tuple[Summary, float]:
     """Rounds of parts whose every free node has no better-ranked candidate left; node ids are not negative.
 
-    Node conflicts resolve as in rank order. All parts of a round are judged by joins
-    against the summary at its start; counts of the whole summary are one row.
+    sets: (ids, size, quality). Node conflicts resolve as in rank order. All parts of a
+    round are judged by joins against the summary at its start; counts of the whole
+    summary are one row. Every round settles the best-ranked part there is, so rounds go
+    on until no candidate is left. Also returns the change of the bits: exact with
+    ``isolation="neighbours"``, where no two parts of a round are adjacent, an estimate
+    with ``"nodes"``.
     """
-    spark = g.edges.sparkSession
-    order = ranked(sets, cfg.max_candidates)
-    rows = [(i, u) for i, (ids, _) in enumerate(order) for u in ids]
-    cand = settle(spark.createDataFrame(rows or [], "rank long, id long").join(g.nodes, "id"), "cand")
+    ranks = numbered(sets.select("ids", "size", "quality"), [F.desc(F.col("size") * F.col("quality")), F.desc("size"), "ids"], name="ranked_sets")
+    if cfg.max_candidates:
+        ranks = ranks.where(F.col("rank") < cfg.max_candidates)
+    cand = settle(ranks.select("rank", F.explode("ids").alias("id")).join(g.nodes, "id").select("rank", "id", "label"), "cand")
     e = settle(g.edges, "edges")
-    sn = settle(g.nodes.select(F.col("id").alias("sid"), "label", F.lit(1).cast("long").alias("size"), F.lit("disconnected").alias("glyph"), F.lit(1).cast("long").alias("m"), F.lit(None).cast("long").alias("hub"), F.lit(None).cast("long").alias("self_m")), "sn")
+    sn = settle(identity_summary(g).supernodes.select("sid", "label", "size", "glyph", "m", "hub", "self_m"), "sn")
     mem = settle(g.nodes.select("id", F.col("id").alias("sid")), "mem")
     se = settle(e.select(F.col("src").alias("ssid"), F.col("dst").alias("dsid"), "m"), "se")
     v_count = g.nodes.count()
     n_labels = max(1, g.nodes.select("label").distinct().count())
-    for _ in range(max_rounds):
+    counts = settle(held_counts(sn, se, mem, e, g.directed), "counts")
+    world, delta = world_of(counts, v_count, n_labels), 0.0
+    while not cand.isEmpty():
         first = cand.groupBy("id").agg(F.min("rank").alias("first"))
         ready = cand.join(first, "id").groupBy("rank").agg(F.max(F.col("rank") > F.col("first")).alias("waits")).where("not waits").select("rank")
-        active = settle(cand.join(ready, "rank"), "active")
-        if active.isEmpty():
-            break
-        parts = active.groupBy("rank", "label").agg(F.min("id").alias("pid"), F.count("*").alias("n")).where("n > 1")
-        part_of = active.join(parts.select("rank", "label", "pid"), ["rank", "label"]).select("id", "pid", "label")
+        active = settle(cand.join(ready, "rank").select("rank", "id", "label"), "active")
+        parts = active.groupBy("rank", "label").agg(F.min("id").alias("pid"), F.count("*").alias("n"))
+        part_of = active.join(parts.where("n > 1"), ["rank", "label"]).select("id", "pid", "label", "rank")
         if cfg.isolation == "neighbours":
             part_of = isolated(part_of, e)
         part_of = settle(part_of, "parts")
-        hist = {c: dict(map(tuple, x.groupBy("d").count().collect())) for c, x in out_histograms(sn, se, mem, e, g.directed).items()}
-        world = World(v_count, n_labels, sn.count(), Counter(hist["out"]), Counter(hist["loose"]))
-        judged = settle(judge_round(part_of, e, mem, sn, se, world, g.directed, cfg), "judged")
+        judged = settle(judge_round(part_of, e, mem, sn, se, counts, world, g.directed, cfg), "judged")
         good = judged.where("delta < -1e-9")
         moved = settle(good.select(F.explode("ids").alias("id"), F.col("pid").alias("to")), "moved")
         if not moved.isEmpty():
@@ -610,71 +588,81 @@ def summarize_rounds(g: PropertyGraph, sets: list[tuple[tuple[int, ...], float]]
             fresh = good.select(F.col("pid").alias("sid"), "label", F.size("ids").cast("long").alias("size"), "glyph", "m", "hub", "self_m")
             sn = settle(sn.join(gone, "sid", "left_anti").unionByName(fresh), "sn")
             touched = moved.select(F.col("to").alias("sid")).distinct()
-            se = settle(rebundle(se, gone, touched, e, mem, sn, g.directed, cfg), "se")
-        used = active.select("id").distinct() if cfg.isolation == "nodes" else part_of.select("id").unionByName(active.join(parts.select("rank", "label"), ["rank", "label"], "left_anti").select("id"))
-        settled = moved.select("id") if cfg.mark_policy == "on_commit" else used
-        cand = settle(cand.join(settled.distinct(), "id", "left_anti").join(ready, "rank", "left_anti") if cfg.isolation == "nodes" else cand.join(settled.distinct(), "id", "left_anti"), "cand")
-        if cand.isEmpty():
-            break
-    return Summary(g, sn, mem, se)
+            se = settle(rebundle(se, gone, touched, e, mem, sn, world, g.directed, cfg), "se")
+            counts = settle(held_counts(sn, se, mem, e, g.directed), "counts")
+            was, world = world, world_of(counts, v_count, n_labels)
+            delta += good.agg(F.sum("local")).first()[0] + global_bits(world.vs, world.out, world.loose, cfg) - global_bits(was.vs, was.out, was.loose, cfg)
+        # parts that were judged are done, those that must wait for a neighbour stay
+        alone = active.join(parts.where("n = 1").select("rank", "label"), ["rank", "label"], "left_semi")
+        done = part_of.select("rank", "label").unionByName(alone.select("rank", "label")).distinct()
+        used = (part_of if cfg.mark_policy == "always" else moved).select("id").distinct()  # a single node left over stays free
+        cand = settle(cand.join(used, "id", "left_anti").join(done, ["rank", "label"], "left_anti").select("rank", "id", "label"), "cand")
+    return Summary(g, sn, mem, se), delta
+
+
+def world_of(counts: DataFrame, v_count: int, n_labels: int) -> World:
+    """Sizes and histograms of a summary; the driver holds a number per distinct count."""
+    hist = {c: Counter(dict(map(tuple, counts.groupBy(c).count().collect()))) for c in ("out", "loose")}
+    return World(v_count, n_labels, sum(hist["out"].values()), hist["out"], hist["loose"])
 
 
 def isolated(part_of: DataFrame, e: DataFrame) -> DataFrame:
     """Parts no better-numbered part of the round is adjacent to."""
     x = e.join(part_of.select(F.col("id").alias("src"), F.col("pid").alias("a")), "src").join(part_of.select(F.col("id").alias("dst"), F.col("pid").alias("b")), "dst").where("a <> b")
     late = x.select(F.greatest("a", "b").alias("pid")).distinct()
-    return part_of.join(late, "pid", "left_anti").select("id", "pid", "label")
+    return part_of.join(late, "pid", "left_anti").select("id", "pid", "label", "rank")
 
 
-def out_histograms(sn: DataFrame, se: DataFrame, mem: DataFrame, e: DataFrame, directed: bool) -> dict[str, DataFrame]:
+def held_counts(sn: DataFrame, se: DataFrame, mem: DataFrame, e: DataFrame, directed: bool) -> DataFrame:
+    """``(sid, out, loose)``: super-edges each super-node holds, and its targets that have none."""
     a, b = mem.select(F.col("id").alias("src"), F.col("sid").alias("a")), mem.select(F.col("id").alias("dst"), F.col("sid").alias("b"))
     links = e.join(a, "src").join(b, "dst").where("a <> b")
     x, y = (F.col("a"), F.col("b")) if directed else (F.least("a", "b"), F.greatest("a", "b"))
-    loose = links.select(x.alias("ssid"), y.alias("dsid")).distinct().join(se, ["ssid", "dsid"], "left_anti").groupBy(F.col("ssid").alias("sid")).agg(F.count("*").alias("d"))
-    out = se.groupBy(F.col("ssid").alias("sid")).agg(F.count("*").alias("d"))
-    return {k: sn.select("sid").join(x, "sid", "left").select(F.coalesce("d", F.lit(0)).alias("d")) for k, x in (("out", out), ("loose", loose))}
+    loose = links.select(x.alias("ssid"), y.alias("dsid")).distinct().join(se, ["ssid", "dsid"], "left_anti").groupBy(F.col("ssid").alias("sid")).agg(F.count("*").alias("loose"))
+    out = se.groupBy(F.col("ssid").alias("sid")).agg(F.count("*").alias("out"))
+    return sn.select("sid").join(out, "sid", "left").join(loose, "sid", "left").na.fill(0, ["out", "loose"])
 
 
-def judge_round(part_of: DataFrame, e: DataFrame, mem: DataFrame, sn: DataFrame, se: DataFrame, world: World, directed: bool, cfg: SummaryConfig) -> DataFrame:
+def judge_round(part_of: DataFrame, e: DataFrame, mem: DataFrame, sn: DataFrame, se: DataFrame, counts: DataFrame, world: World, directed: bool, cfg: SummaryConfig) -> DataFrame:
     """Verdicts of all parts: each gets its incident edges and the super-nodes at their other ends."""
-    outs = se.groupBy(F.col("ssid").alias("z")).agg(F.count("*").alias("z_out"))
-    info = sn.select(F.col("sid").alias("z"), F.col("size").alias("z_size"), F.col("glyph").alias("z_glyph"), F.coalesce("hub", F.lit(-1)).alias("z_hub")).join(outs, "z", "left").na.fill(0, ["z_out"])
+    info = sn.join(counts, "sid").select(F.col("sid").alias("z"), F.col("size").alias("z_size"), F.col("glyph").alias("z_glyph"), F.coalesce("hub", F.lit(-1)).alias("z_hub"), F.col("out").alias("z_out"), F.col("loose").alias("z_loose"))
     src, dst = part_of.select(F.col("id").alias("src"), F.col("pid").alias("p")), part_of.select(F.col("id").alias("dst"), F.col("pid").alias("q"))
     z = lambda end: mem.select(F.col("id").alias(end), F.col("sid").alias(f"z_{end}"))
     x = e.join(src, "src", "left").join(dst, "dst", "left").where("p is not null or q is not null").join(z("src"), "src").join(z("dst"), "dst")
+    a, b = (F.col("z_src"), F.col("z_dst")) if directed else (F.least("z_src", "z_dst"), F.greatest("z_src", "z_dst"))
+    kept = se.select(F.col("ssid").alias("a"), F.col("dsid").alias("b"), F.lit(True).alias("kept"))
+    x = x.withColumns({"a": a, "b": b}).join(kept, ["a", "b"], "left").withColumn("held", F.coalesce("kept", F.lit(False)))
     inside = F.col("p").eqNullSafe(F.col("q"))
-    to = x.where("p is not null").select(F.col("p").alias("pid"), "src", "dst", "m", F.when(inside, "in").otherwise("to").alias("way"), F.col("z_dst").alias("z"))
-    back = x.where("q is not null").where(~inside).select(F.col("q").alias("pid"), "src", "dst", "m", F.lit("from").alias("way"), F.col("z_src").alias("z"))
+    to = x.where("p is not null").select(F.col("p").alias("pid"), "src", "dst", "m", "held", F.when(inside, "in").otherwise("to").alias("way"), F.col("z_dst").alias("z"))
+    back = x.where("q is not null").where(~inside).select(F.col("q").alias("pid"), "src", "dst", "m", "held", F.lit("from").alias("way"), F.col("z_src").alias("z"))
     rows = to.unionByName(back).join(info, "z")
-    own = part_of.join(outs.withColumnRenamed("z", "id"), "id", "left").select("pid", F.col("id").alias("src"), F.lit(0).cast("long").alias("dst"), F.lit(0).cast("long").alias("m"), F.lit("node").alias("way"), F.col("id").alias("z"), F.lit(1).cast("long").alias("z_size"), F.col("label").alias("z_glyph"), F.lit(-1).cast("long").alias("z_hub"), F.coalesce("z_out", F.lit(0)).alias("z_out"))
+    own = part_of.join(counts.withColumnRenamed("sid", "id"), "id")
+    zero = F.lit(0).cast("long")
+    own = own.select("pid", F.col("id").alias("src"), zero.alias("dst"), zero.alias("m"), F.lit(True).alias("held"), F.lit("node").alias("way"), F.col("id").alias("z"), F.lit(1).cast("long").alias("z_size"), F.col("label").alias("z_glyph"), F.lit(-1).cast("long").alias("z_hub"), F.col("out").alias("z_out"), F.col("loose").alias("z_loose"))
 
     def kernel(df: pd.DataFrame) -> pd.DataFrame:
         pid = int(df["pid"].iloc[0])
         node = df[df["way"] == "node"]
         nodes = sorted(node["src"].astype(int).tolist())
-        singles = {int(u): Side(out=int(o)) for u, o in zip(node["src"], node["z_out"], strict=True)}
-        inner, outer, sides = [], defaultdict(list), {}
+        singles = {int(u): Side(out=int(o), loose=int(l)) for u, o, l in zip(node["src"], node["z_out"], node["z_loose"], strict=True)}
+        inner, outer, sides, held = [], defaultdict(list), {}, set()
         for r in df[df["way"] != "node"].itertuples(index=False):
-            u, v, m, z_ = int(r.src), int(r.dst), int(r.m), int(r.z)
+            u, v, m, z_, to_ = int(r.src), int(r.dst), int(r.m), int(r.z), r.way == "to"
             if r.way == "in":
                 inner.append((u, v, m))
                 continue
-            sides[z_] = Side(int(r.z_size), r.z_glyph, None if r.z_hub < 0 else int(r.z_hub), int(r.z_out))
-            outer[z_].append((r.way == "to", u, v, m))
-        if not directed:
-            for z_, rows_ in outer.items():
-                t0 = pid < z_
-                outer[z_] = [(t0, *((u, v) if t == t0 else (v, u)), m) for t, u, v, m in rows_]
-        v = judge(nodes, inner, outer, sides, world, directed, cfg, singles)
-        edges = [(pid if a == PART else a, pid if b == PART else b, m) for a, b, m in v.edges]
-        hub = pd.array([v.hub], dtype="Int64")
-        self_m = pd.array([v.self_m], dtype="Int64")
-        return pd.DataFrame({"pid": [pid], "delta": [v.delta], "glyph": [v.glyph], "hub": hub, "m": [v.m], "self_m": self_m, "ids": [nodes], "label": [node["z_glyph"].iloc[0]], "edges": [edges]})
+            sides[z_] = Side(int(r.z_size), r.z_glyph, None if r.z_hub < 0 else int(r.z_hub), int(r.z_out), int(r.z_loose))
+            outer[z_].append((to_, u, v, m))
+            if r.held:
+                held.add(pair_of(u, z_, directed) if to_ else pair_of(z_, v, directed))
+        v = judge(nodes, inner, oriented(outer, pid, directed), sides, held, world, directed, cfg, singles)
+        hub, self_m = pd.array([v.hub], dtype="Int64"), pd.array([v.self_m], dtype="Int64")
+        return pd.DataFrame({"pid": [pid], "delta": [v.delta], "local": [v.local], "glyph": [v.glyph], "hub": hub, "m": [v.m], "self_m": self_m, "ids": [nodes], "label": [node["z_glyph"].iloc[0]]})
 
     return rows.select(own.columns).unionByName(own).groupBy("pid").applyInPandas(kernel, JUDGED)
 
 
-def rebundle(se: DataFrame, gone: DataFrame, touched: DataFrame, e: DataFrame, mem: DataFrame, sn: DataFrame, directed: bool, cfg: SummaryConfig) -> DataFrame:
+def rebundle(se: DataFrame, gone: DataFrame, touched: DataFrame, e: DataFrame, mem: DataFrame, sn: DataFrame, world: World, directed: bool, cfg: SummaryConfig) -> DataFrame:
     """Super-edges after a round: those away from it stay, bundles that it touched are decided again."""
     far = se.join(gone.withColumnRenamed("sid", "ssid"), "ssid", "left_anti").join(gone.withColumnRenamed("sid", "dsid"), "dsid", "left_anti")
     a, b = mem.select(F.col("id").alias("src"), F.col("sid").alias("a")), mem.select(F.col("id").alias("dst"), F.col("sid").alias("b"))
@@ -686,14 +674,19 @@ def rebundle(se: DataFrame, gone: DataFrame, touched: DataFrame, e: DataFrame, m
         x = x.select(F.when(flip, F.col("dst")).otherwise(F.col("src")).alias("src"), F.when(flip, F.col("src")).otherwise(F.col("dst")).alias("dst"), "m", F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     side = lambda c: sn.select(F.col("sid").alias(c), F.col("size").alias(f"{c}_size"), F.col("glyph").alias(f"{c}_glyph"), F.coalesce("hub", F.lit(-1)).alias(f"{c}_hub"))
     x = x.select("src", "dst", "m", "a", "b").join(side("a"), "a").join(side("b"), "b")
+    cells = 16 * int(e.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def decide(df: pd.DataFrame) -> pd.DataFrame:
-        r = df.iloc[0]
-        end = lambda c: (int(r[f"{c}_size"]), r[f"{c}_glyph"], None if r[f"{c}_hub"] < 0 else int(r[f"{c}_hub"]))
-        with_, without, rep = bundle(list(zip(df["src"].tolist(), df["dst"].tolist(), df["m"].tolist(), strict=True)), end("a"), end("b"), cfg)
-        keep = [(int(r["a"]), int(r["b"]), rep)] if with_ < without else []
+        """All bundles of one cell."""
+        keep = []
+        for (a_, b_), own in df.groupby(["a", "b"], sort=False):
+            r = own.iloc[0]
+            end = lambda c: (int(r[f"{c}_size"]), r[f"{c}_glyph"], None if r[f"{c}_hub"] < 0 else int(r[f"{c}_hub"]))  # noqa: B023,E731
+            with_, without, rep = bundle(list(zip(own["src"].tolist(), own["dst"].tolist(), own["m"].tolist(), strict=True)), end("a"), end("b"), cfg)
+            if with_ + membership(world, cfg) < without:
+                keep.append((int(a_), int(b_), rep))
         return pd.DataFrame(keep, columns=["ssid", "dsid", "m"], dtype="int64")
 
-    fresh = x.groupBy("a", "b").applyInPandas(decide, SUPEREDGES)
+    fresh = x.groupBy(F.pmod(F.xxhash64("a", "b"), F.lit(cells)).alias("cell")).applyInPandas(decide, SUPEREDGES)
     loops = sn.join(touched, "sid", "left_semi").where("self_m is not null").select(F.col("sid").alias("ssid"), F.col("sid").alias("dsid"), F.col("self_m").alias("m"))
-    return far.join(fresh.select("ssid", "dsid"), ["ssid", "dsid"], "left_anti").select("ssid", "dsid", "m").unionByName(fresh).unionByName(loops)
+    return far.select("ssid", "dsid", "m").unionByName(fresh).unionByName(loops)

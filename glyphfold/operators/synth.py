@@ -61,12 +61,12 @@ def sample_edges(g: PropertyGraph, frac: float, seed: int = 42) -> PropertyGraph
 
 
 def synth_planted(spark: SparkSession, kind: str, groups: int, size: int, context: int = 5, noise: float = 0.0, seed: int = 42) -> PropertyGraph:
-    """Groups of ``size`` nodes that share ``context`` outside neighbours, as cliques, stars or bicliques."""
+    """Groups of ``size`` nodes that share ``context`` outside neighbours of their own, as cliques, stars or bicliques."""
     base = spark.range(groups).select(F.col("id").alias("g"))
     member = base.select("g", F.explode(F.sequence(F.lit(0), F.lit(size - 1))).alias("i"))
     node = F.col("g") * size + F.col("i")
     outside = groups * size
-    far = F.pmod(F.xxhash64("g", "c", F.lit(seed)), F.lit(max(2 * groups, 20))) + outside
+    far = outside + F.col("g") * context + F.col("c") - 1
     shared = member.select("g", node.alias("src"), F.explode(F.sequence(F.lit(1), F.lit(context))).alias("c")).select("src", far.alias("dst"))
     pair = member.select("g", "i", node.alias("src"), F.explode(F.sequence(F.lit(0), F.lit(size - 1))).alias("j")).where("i <> j")
     to = F.col("g") * size + F.col("j")

@@ -10,7 +10,9 @@ from pyspark.sql import functions as F
 from glyphfold.functions import bits
 from glyphfold.operators import baselines, candidates, ledger, measures, merge, similarity, summary, synth
 from glyphfold.plans import workloads as w
+from glyphfold.plans import partition_queries
 from glyphfold.plans.graph_sql import GRAPHS, UNDIRECTED, with_graph
+from glyphfold.plans.ledger_sql import IDENTITY, chan, diff_sql, int_sql, log2c
 from glyphfold.sources import graphs
 from glyphfold.streaming import windows
 
@@ -30,24 +32,6 @@ def graph(name: str, **kw) -> Callable:
 
 
 R6 = lambda c: F.round(c, 6)
-LOG2C = "((lgamma({n} + 1) - lgamma({k} + 1) - lgamma({n} - {k} + 1)) / ln(2))"
-INT = "(case when {k} = 0 then 3.0 else 2 * log2({k}) + 1 end)"
-
-
-def log2c(n: str, k: str) -> str:
-    return LOG2C.format(n=f"({n})", k=f"({k})")
-
-
-def int_sql(k: str) -> str:
-    return INT.format(k=f"({k})")
-
-
-def chan(n: str, k: str) -> str:
-    return f"(case when ({n}) <= 0 then 0.0 else {int_sql(k)} + {log2c(n, k)} end)"
-
-
-def diff_sql(a: str, b: str) -> str:
-    return f"(case when {a} = {b} then 1.0 else 2 * log2(abs({a} - {b})) + 3 end)"
 
 
 # graphs ------------------------------------------------------------------------------
@@ -65,23 +49,12 @@ for _g in GRAPHS:
         ),
     )
     # closed form of both ledgers of the plain graph
-    _out = "select id, count(src) as d from v left join e on id = src group by id"
     add(
         f"identity_bits_{_g}",
-        lambda s, d, g=_g: ledger.total_bits(summary.identity_summary(w.built(s, d, g))).groupBy().agg(
-            F.round(F.sum(F.when(F.col("ledger") == "printed", F.col("bits"))), 3).alias("printed"), F.round(F.sum("bits"), 3).alias("sound")
-        ),
-        with_graph(
-            _g,
-            f"""select round(p, 3) as printed, round(p + vs * log2(vs), 3) as sound from (
-              select n.vs, {int_sql('n.vs')} + {int_sql('n.t')} + n.vs * (log2(n.t) + 2 + 1 + 1 + log2(n.vs)) + o.s + me.s + n.vs * log2(n.vs) + me.n as p
-              from (select count(*)::double as vs, count(distinct label)::double as t from v) n,
-                (select sum({log2c('(select count(*) from v)', 'd')}) as s from o) o,
-                (select coalesce(sum({int_sql('m')}), 0) as s, count(*) as n from e) me)""",
-            f"o as ({_out})",
-        ),
+        lambda s, d, g=_g: ledger.identity_bits(graphs.BUILDERS[g](s, d)).select(F.round("printed", 3).alias("printed"), F.round("sound", 3).alias("sound")),
+        with_graph(_g, f"select round(p, 3) as printed, round(p + vs * log2(vs), 3) as sound from (select {IDENTITY} as p, (select count(*)::double from v) as vs)"),
     )
-    add(f"rebuild_group_{_g}", lambda s, d, g=_g: summary.reconstruct(baselines.group_summary(w.built(s, d, g), "duplicates")), with_graph(_g, "select src, dst, m from e")) if _g not in UNDIRECTED else None
+    add(f"rebuild_group_{_g}", lambda s, d, g=_g: summary.reconstruct(baselines.group_summary(w.built(s, d, g), "duplicates")), with_graph(_g, "select src, dst, m from e"))
     add(f"rebuild_search_{_g}_b5", lambda s, d, g=_g: summary.reconstruct(w.summary_of(s, d, g, 5)), with_graph(_g, "select src, dst, m from e"))
 
 for _g in ("trade_nation", "acct_segment", "event_states", "host_links", "doc_cites", "fk_tree", "order_coitem"):
@@ -215,32 +188,13 @@ add(
         f"{TOK}, {PAIR}, {sig_sql(6)}, {CLUSTER}, c as (select id, min(root) as cluster from reach group by id)",
     ).replace("with ", "with recursive ", 1),
 )
-add("lsh_quality_host_links", lambda s, d: measures.lsh_quality(w.built(s, d, "host_links"), 2, 5))
-add("collision_rate_event_states", lambda s, d: measures.collision_rate(w.built(s, d, "event_states")).groupBy(F.round("jd", 1).alias("jd")).agg(F.count("*").alias("pairs"), F.round(F.avg("rate"), 3).alias("rate")))
-add("candidates_unfiltered_host_links", lambda s, d: w.candidate_report(s, d, "host_links", 10, False))
-
 
 def _cliques(s, d):
     g = w.built(s, d, "host_links")
     return candidates.emerging_cliques(candidates.simgraph(similarity.exact_simpairs(g, 0.5).withColumn("entry_b", candidates.entry_band(F.col("jd"), 2)), 4), None).select("size", R6(F.col("quality")).alias("quality"), "ids")
 
 
-def _ranked(s, d):
-    c = _cliques(s, d).withColumn("cid", F.element_at("ids", 1))
-    return merge.rank_candidates(c.select("cid", "size", "quality"))
-
-
-def _quality(s, d):
-    g = w.built(s, d, "host_links")
-    pairs = similarity.exact_simpairs(g, 0.5)
-    m = _cliques(s, d).select(F.xxhash64("ids").alias("cid"), F.explode("ids").alias("id"))
-    q = similarity.set_quality(m, pairs)
-    return q.join(similarity.redundant_sets(m, q).select("cid").withColumn("redundant", F.lit(True)), "cid", "left").select("size", R6(F.col("quality")).alias("quality"), F.coalesce("redundant", F.lit(False)).alias("redundant"))
-
-
 add("cliques_host_links", _cliques)
-add("ranked_candidates_host_links", _ranked)
-add("set_quality_host_links", _quality)
 
 # merging rules on the partition by label ----------------------------------------------
 
@@ -297,50 +251,7 @@ for _g in ("trade_nation", "acct_segment"):
         ),
     )
 
-# the ledger of the partition by label with all super-edges (no stars occur in these two graphs)
-LOOPS = """lp as (select sid, count(*) as k from mem join e on id = src and src = dst group by sid),
-  lh as (select sid, m as x, count(*) as c from mem join e on id = src and src = dst group by 1, 2),
-  lt as (select distinct sid, x + k as rep from lh, (select unnest([-1, 0, 1]) as k) where x + k >= 1),
-  lc as (select lt.sid, rep, round(sum(c * (case when x = rep then 1.0 else 2 * log2(abs(x - rep)) + 3 end)), 6) as bits from lt join lh on lt.sid = lh.sid group by 1, 2),
-  lr as (select sid, arg_min(rep, (bits, rep)) as rep, min(bits) as bits from lc group by sid)"""
-GREP = """gh as (select i.sid, m as x, count(*) as c from inn i join gly using (sid) where 2 * e >= n * (n - 1) and n > 1 group by 1, 2),
-  gt as (select distinct sid, x + k as rep from gh, (select unnest([-1, 0, 1]) as k) where x + k >= 1),
-  gc as (select gt.sid, rep, round(sum(c * (case when x = rep then 1.0 else 2 * log2(abs(x - rep)) + 3 end)), 6) as bits from gt join gh on gt.sid = gh.sid group by 1, 2),
-  gr as (select sid, arg_min(rep, (bits, rep)) as rep, min(bits) as bits from gc group by sid)"""
-ALL = f"{PART}, {INNER}, {GLYPH}, {BUNDLE}, {REP}, {LOOPS}, {GREP}"
-VS, V, NT = "(select count(*)::double from size)", "(select count(*)::double from v)", "(select count(distinct label)::double from v)"
-OUTS = "(select a as sid, rep from rep union all select sid, rep from lr)"
-CLIQUE = "(n > 1 and 2 * e >= n * (n - 1))"
-PARTS = {
-    "model": f"select {int_sql(VS)} + {int_sql(NT)} + sum(log2({NT}) + 2 + {int_sql('n')} + {int_sql('coalesce(gr.rep, 1)')} + log2({VS}) + {log2c(VS, 'coalesce(o.d, 0)')} + coalesce(o.m, 0)) from gly left join gr using (sid) left join (select sid, count(*) as d, sum({int_sql('rep')}) as m from {OUTS} group by sid) o using (sid)",
-    "mapping": f"select sum({log2c(V, 'n')}) from gly",
-    "glyph_topology": f"select sum(case when n = 1 then 0 else (case when {CLIQUE} then {chan('n * (n - 1)', 'n * (n - 1) - e')} else 0 end) + {chan(f'(case when lr.sid is null then n else 0 end) + (case when {CLIQUE} then 0 else n * (n - 1) end)', f'case when {CLIQUE} then 0 else e end')} end) from gly left join lr using (sid)",
-    "loop_topology": f"select coalesce(sum(case when n = 1 then 0 else {chan('n', 'n - k')} end), 0) from lp join size using (sid)",
-    "superedge_topology": f"select sum(case when p.n * q.n = 1 then 0 else {chan('p.n * q.n', 'p.n * q.n - bn.n')} end) from (select a, b, count(*) as n from bun group by 1, 2) bn join size p on p.sid = a join size q on q.sid = b",
-    "loose_topology": "select 0.0::double",
-    "multiplicity": f"select (select coalesce(sum(bits), 0) from gr) + (select coalesce(sum(bits), 0) from lr) + (select sum(bits) from rep) + (select coalesce(sum({int_sql('i.m')}), 0) from inn i join gly using (sid) where not {CLIQUE})",
-    "location": f"select {VS} * log2({VS})",
-}
-for _g in ("trade_nation", "acct_segment"):
-    for _p, _body in PARTS.items():
-        add(
-            f"ledger_{_p}_{_g}",
-            lambda s, d, g=_g, p=_p: ledger.total_bits(baselines.group_summary(w.built(s, d, g), "label", "all")).where(F.col("part") == p).select("part", F.round("bits", 3).alias("bits")),
-            with_graph(_g, f"select '{_p}' as part, round(({_body})::double, 3) as bits", ALL),
-        )
-_EXP = """select i.id as src, j.id as dst, coalesce(gr.rep, 1)::bigint as m from mem i join mem j on i.sid = j.sid and i.id <> j.id join gly on gly.sid = i.sid and n > 1 and 2 * e >= n * (n - 1) left join gr on gr.sid = i.sid
-  union all select id, id, rep::bigint from mem join lr using (sid) union all select i.id, j.id, rep::bigint from rep join mem i on i.sid = a join mem j on j.sid = b"""
 for _g in ("trade_nation", "acct_segment"):
-    add(f"expand_{_g}", lambda s, d, g=_g: summary.decompress(baselines.group_summary(w.built(s, d, g), "label", "all")).select("src", "dst", "m"), with_graph(_g, _EXP, ALL))
-    add(
-        f"corrections_{_g}",
-        lambda s, d, g=_g: summary.corrections(baselines.group_summary(w.built(s, d, g), "label", "all")).na.fill(0, ["m", "delta"]),
-        with_graph(
-            _g,
-            "select case when x.m is null then 'add' when e.m is null then 'drop' else 'retune' end as kind, coalesce(e.src, x.src) as src, coalesce(e.dst, x.dst) as dst, coalesce(e.m, 0) as m, coalesce(e.m - x.m, 0) as delta from e full join x on e.src = x.src and e.dst = x.dst where e.m is distinct from x.m",
-            f"{ALL}, x as ({_EXP})",
-        ),
-    )
     add(f"label_flow_{_g}", lambda s, d, g=_g: summary.label_flow(w.summary_of(s, d, g, 5)), with_graph(_g, 'select x.label as "from", y.label as "to", sum(m)::bigint as m from e join v x on x.id = src join v y on y.id = dst group by 1, 2'))
     add(
         f"degrees_{_g}",
@@ -349,7 +260,6 @@ for _g in ("trade_nation", "acct_segment"):
     )
 add("neighbors_trade_nation", lambda s, d: summary.neighbors(w.summary_of(s, d, "trade_nation", 5), 7), with_graph("trade_nation", "select src, dst, m from e where src = 7 or dst = 7"))
 add("summary_validity", lambda s, d: w.summary_of(s, d, "doc_cites", 5).validate())
-add("entropy_ledger_trade_nation", lambda s, d: ledger.total_bits(baselines.group_summary(w.built(s, d, "trade_nation"), "label", "all"), ledger.Codes(code="entropy")))
 add("drawing_trade_nation", lambda s, d: summary.drawing_nodes(w.summary_of(s, d, "trade_nation", 5)))
 
 # experiments ---------------------------------------------------------------------------
@@ -400,8 +310,6 @@ add("pairmerge_rebuild_host_links", lambda s, d: summary.reconstruct(baselines.p
 for _sel in ("plain", "top10", "top100", "greedy_forget"):
     add(f"vocab_{_sel}_host_links", lambda s, d, k=_sel: s.createDataFrame(baselines.vocab_summary(w.built(s, d, "host_links").simplify({"L", "M", "D", "S"}), k), "kind string, size long, gain double"))
 add("undirected_similarity_trade_nation", lambda s, d: measures.size_reduction(w.summary_of(s, d, "trade_nation", 5, similarity="undirected")))
-for _k in ("label", "duplicates", "random"):
-    add(f"group_{_k}_acct_segment", lambda s, d, k=_k: ledger.total_bits(baselines.group_summary(w.built(s, d, "acct_segment"), k)))
 add("ablation_rep", lambda s, d: measures.ablation_rep(graphs.trade_nation(s, d).edges.select(F.col("src").cast("string").alias("key"), "m")))
 add("ablation_glyph", lambda s, d: s.createDataFrame(list(measures.ablation_glyph(w.built(s, d, "doc_cites")).items()), "rule string, ratio double"))
 for _t in ("L", "M", "S"):
@@ -422,6 +330,10 @@ add(
 add("session_counts", lambda s, d: windows.session_counts(s.read.parquet(f"{d}/events.parquet")).groupBy().agg(F.count("*").alias("sessions"), F.sum("n").alias("events")), """select count(*) as sessions, sum(n)::bigint as events from (select user_id, s, count(*) as n from (select user_id, sum(case when gap is null or gap > interval 6 hour then 1 else 0 end) over (partition by user_id order by ts, event_id) as s from (select *, ts - lag(ts) over (partition by user_id order by ts, event_id) as gap from events)) group by 1, 2)""")
 
 
+QUERIES.update(partition_queries.QUERIES)
+SQL.update(partition_queries.SQL)
+
+
 def flagship(spark: SparkSession, d: str) -> DataFrame:
     """Super-nodes of the trade graph, with shape and colour."""
     return summary.drawing_nodes(w.summary_of(spark, d, "trade_nation", 5))

@@ -160,5 +160,5 @@ def shuffle_histogram(spark: SparkSession, d: str, name: str = "trade_nation", s
 def candidate_report(spark: SparkSession, d: str, name: str, b_max: int = 10, filtered: bool = True) -> DataFrame:
     """New candidate sets of each round: how many, the largest, and their least quality."""
     c = candidate_sets(built(spark, d, name), CFG.r, b_max, filtered)
-    rows = [(name, b, len(s), max(map(lambda x: len(x[0]), s), default=0), min((q for _, q in s), default=None)) for b, s in c.sets.items()]
+    rows = [(name, b, len(s), max((len(ids) for ids, _ in s), default=0), min((q for _, q in s), default=None)) for b, s in c.sets.items()]
     return spark.createDataFrame(rows, "graph string, b int, sets int, largest int, quality double")

@@ -1,8 +1,8 @@
 import pytest
 from pyspark.sql import functions as F
 
-from glyphfold.operators import baselines, ledger, measures, merge, sqlext, summary, synth
-from glyphfold.operators.candidates import candidate_sets
+from glyphfold.operators import baselines, ledger, measures, merge, similarity, sqlext, summary, synth
+from glyphfold.operators.candidates import candidate_sets, lsh_clusters, minhash
 from glyphfold.sources import io
 from glyphfold.sources.graphs import PropertyGraph, from_edges
 
@@ -81,8 +81,14 @@ def test_generators(spark):
     assert half.edges.exceptAll(most.edges).count() == 0
     assert 0.3 < half.edges.count() / g.edges.count() < 0.5
     p = synth.synth_planted(spark, "clique", 6, 5, context=6)
-    s = merge.summarize(p, merge.SummaryConfig(b=3))
-    assert s.supernodes.where("glyph = 'clique' and size = 5").count() >= 5
+    jd = {r.jd for r in similarity.exact_simpairs(p, 0.7).where("a < 30").collect()}
+    assert jd == {0.75}  # two members share 6 outside neighbours and 3 members, both ways, of 16
+    for b in (3, 10):  # the banding curve predicts how many pairs of members come together
+        clusters = {r.id: r.cluster for r in lsh_clusters(minhash(p, 2, b), 2, b).collect()}
+        met = [clusters.get(5 * k + i, -i) == clusters.get(5 * k + j, -j) for k in range(6) for i in range(5) for j in range(i)]
+        assert sum(met) / len(met) >= 1 - (1 - 0.75**2) ** b - 0.1
+    s = merge.summarize(p, merge.SummaryConfig(b=10))
+    assert s.supernodes.where("glyph = 'clique' and size = 5").count() == 6
 
 
 def test_files_and_sql(spark, tmp_path):

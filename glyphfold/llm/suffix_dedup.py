@@ -5,24 +5,28 @@ every 50-byte string the one with the smallest hash is its anchor, so equal stri
 have equal anchors and about one start in fifteen is kept. An anchor stands for
 the consecutive strings it is chosen by; its context is the bytes they span.
 
-1. Documents are written as chunks. Each chunk sorts its anchors by leading bytes
-   (multikey quicksort), folds equal contexts to the smallest document and cuts the
-   order at sampled splitters; buckets of all chunks meet, sort again and compare.
+1. Documents are written as chunks. Each chunk sorts the suffixes at its anchors by
+   their leading 20 bytes (multikey quicksort by words of bytes; equal ones by a hash of
+   the context), folds equal contexts to the smallest document and cuts the order at
+   sampled splitters; buckets of all chunks meet, sort again and compare.
    A context also seen in a smaller document is repeated as a whole. A suffix whose
    leading bytes are shared by other contexts is open, as is one whose leading bytes
    touch a splitter, since its neighbours may lie beyond the boundary.
 2. Open anchors meet others of the same leading bytes with their context itself, and
-   its 50-byte strings are compared one by one. Anchors that very many contexts share
-   (the ends of a common line) are dealt out by string instead of by anchor.
+   its 50-byte strings are compared, found by hash and settled by bytes. Anchors that
+   very many contexts share (the ends of a common line) are dealt out by string instead
+   of by anchor, those strings as 64-bit hashes.
 3. Chunks gather their answers and cut the repeated bytes.
 
 Folding in the chunk keeps a string of very many documents to one entry a chunk, so
-no bucket grows with a group of copies. Identity of contexts and strings rests on
-64-bit hashes. All steps pass through tables or shuffles that outlive executors.
+no bucket grows with a group of copies. Contexts are equal if their 20 leading bytes and
+a 64-bit hash of the rest are. All steps pass through tables or shuffles that outlive
+executors.
 
 Defined cases: a null text is empty; a null id counts as larger than all others;
 rows of equal id don't repeat each other; texts under 50 bytes are kept whole; very
-long texts are handled in slices; an empty table gives no rows.
+long texts are handled in slices, but make one chunk each; an empty table gives no rows;
+other columns of the input play no part, whatever their names.
 """
 
 from __future__ import annotations
@@ -49,7 +53,9 @@ GRAM = 20
 SLICE = 1 << 18
 CHUNK_BYTES = 4 << 20
 BUCKET_BYTES = 4 << 20
-MAX_BUCKETS = 100_000
+MAX_BUCKETS = 400_000
+#: Input bytes that a task of a shuffle stands for, beyond the session's number of partitions.
+PART_BYTES = 64 << 20
 #: Contexts of the same leading bytes above which they are compared string by string.
 HOT_GRAM = 4000
 #: At most so many chunks give starts to the sample that places the splitters.
@@ -103,7 +109,7 @@ class Slice:
         self.start = self.first = self.last = empty
         grams = window - GRAM + 1
         if len(part) < window:
-            self.lead = self.next = self.context = np.zeros(0, U)
+            self.lead = self.next = self.tail = self.context = np.zeros(0, U)
             return
         eight = words_at(part)
         n = len(part) - GRAM + 1
@@ -125,7 +131,8 @@ class Slice:
             last = np.where(hit & (last < 0), j, last)
         self.start, self.first, self.last = start + lo, first + lo, last + lo
         self.lead = eight[start].byteswap()
-        self.next = rest[start] >> U(32)
+        self.next = eight[start + 8].byteswap()
+        self.tail = (eight[start + 12] >> U(32)).astype(np.uint32).byteswap().astype(U)
         spot = (last - first).astype(U) * U(64) + (start - first).astype(U)
         self.context = mixed(self.span(first, last + window) + mixed(spot))
 
@@ -204,15 +211,15 @@ class Chunk:
             ends = _Shifted(self.ends[np.minimum(docs, len(self.ends) - 1)], lo)
             yield Slice(self.data, ends, at, end, self.window)
 
-    def anchors(self) -> list[np.ndarray]:
-        """Lead, next, context, document id, first and last window of all anchors."""
-        cols: list[list] = [[] for _ in range(6)]
+    def anchors(self) -> tuple[list[np.ndarray], np.ndarray, np.ndarray, np.ndarray]:
+        """Of all anchors: the sort keys (leading bytes in three words, context), document id, first and last window."""
+        cols: list[list] = [[] for _ in range(7)]
         for s in self.slices():
-            for c, v in zip(cols, (s.lead, s.next, s.context, self.ids[self.doc_of(s.start)], s.first, s.last), strict=True):
+            for c, v in zip(cols, (s.lead, s.next, s.tail, s.context, self.ids[self.doc_of(s.start)], s.first, s.last), strict=True):
                 c.append(v)
-        if not cols[0]:
-            return [np.zeros(0, t) for t in (U, U, U, np.int64, np.int64, np.int64)]
-        return [np.concatenate(c) for c in cols]
+        kinds = (U, U, U, U, np.int64, np.int64, np.int64)
+        got = [np.concatenate(c) if c else np.zeros(0, t) for c, t in zip(cols, kinds, strict=True)]
+        return got[:4], *got[4:]
 
 
 class _Shifted:
@@ -225,23 +232,33 @@ class _Shifted:
         return self.values[at.start - self.lo : at.stop - self.lo]
 
 
+#: Rows below which a part of the order is sorted at once.
+SMALL_SORT = 2048
+
+
 def multikey_order(keys: list[np.ndarray]) -> np.ndarray:
-    """Order by the first key; only ties go on to the next one."""
-    order = np.argsort(keys[0], kind="stable")
-    run = np.zeros(len(order), np.int64)
-    for depth in range(1, len(keys)):
-        k = keys[depth - 1][order]
-        new = np.ones(len(order), bool)
-        new[1:] = (k[1:] != k[:-1]) | (run[1:] != run[:-1])
-        run = np.cumsum(new)
-        tied = np.ones(len(order), bool)
-        tied[:-1] &= new[1:]
-        tied &= new
-        at = np.flatnonzero(~tied)
-        if not len(at):
-            break
-        sub = order[at]
-        order[at] = sub[np.lexsort((keys[depth][sub], run[at]))]
+    """Order of rows by their words: multikey quicksort.
+
+    A part is split by the current word into rows below, at and above a pivot; rows at it
+    go on to the next word, the others stay. Small parts are sorted by all words left.
+    """
+    order = np.arange(len(keys[0]))
+    todo = [(0, len(order), 0)]
+    while todo:
+        low, high, depth = todo.pop()
+        if high - low < 2 or depth == len(keys):
+            continue
+        own = order[low:high]
+        if high - low <= SMALL_SORT:
+            order[low:high] = own[np.lexsort(tuple(k[own] for k in keys[: depth - 1 if depth else None : -1]))]
+            continue
+        word = keys[depth][own]
+        some = np.sort(word[:: max(1, len(word) // 31)])
+        pivot = some[len(some) // 2]
+        below, above = word < pivot, word > pivot
+        order[low:high] = np.concatenate([own[below], own[~(below | above)], own[above]])
+        a, b = low + int(below.sum()), high - int(above.sum())
+        todo += [(low, a, depth), (a, b, depth + 1), (b, high, depth)]
     return order
 
 
@@ -253,48 +270,50 @@ def changes(*columns: np.ndarray) -> np.ndarray:
     return new
 
 
-def folded(lead, nxt, context, doc) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Order of the entries (one a context, of the smallest document); entry of each row; its document."""
-    order = multikey_order([lead, nxt, context, doc])
-    new = changes(lead[order], nxt[order], context[order])
+def folded(keys: list[np.ndarray], doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Order of the entries (one for equal keys, of the smallest document); entry of each row; its document."""
+    order = multikey_order([*keys, doc])
+    new = changes(*(k[order] for k in keys))
     entry = np.empty(len(order), np.int64)
     entry[order] = np.cumsum(new) - 1
     return order[new], entry, doc[order[new]]
 
 
-def cuts_of(lead, nxt, context, splitters: np.ndarray) -> np.ndarray:
+def cuts_of(keys: list[np.ndarray], splitters: np.ndarray) -> np.ndarray:
     """Where the sorted entries reach each splitter."""
-    out = np.searchsorted(lead, splitters[:, 0], side="left")
-    upper = np.searchsorted(lead, splitters[:, 0], side="right")
-    for i in np.flatnonzero(upper > out):
-        a, b = out[i], upper[i]
-        a, b = a + np.searchsorted(nxt[a:b], splitters[i, 1], side="left"), a + np.searchsorted(nxt[a:b], splitters[i, 1], side="right")
-        out[i] = a + np.searchsorted(context[a:b], splitters[i, 2], side="left")
-    return out
+    low = np.searchsorted(keys[0], splitters[:, 0], side="left")
+    high = np.searchsorted(keys[0], splitters[:, 0], side="right")
+    for i in np.flatnonzero(high > low):  # within a run of equal words the next word decides
+        a, b = low[i], high[i]
+        for k, word in zip(keys[1:], splitters[i, 1:], strict=True):
+            a, b = a + np.searchsorted(k[a:b], word, side="left"), a + np.searchsorted(k[a:b], word, side="right")
+        low[i] = a
+    return low
 
 
 def suffix_batches(batches: Iterator[pa.RecordBatch], splitters: np.ndarray, window: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for chunk, body in zip(batch.column("chunk").to_pylist(), batch.column("body"), strict=True):
-            lead, nxt, context, doc, _, _ = Chunk(body.as_py(), window).anchors()
-            keep, _, least = folded(lead, nxt, context, doc)
-            lead, nxt, context = lead[keep], nxt[keep].astype(np.uint32), context[keep]
-            cut = np.concatenate([[0], cuts_of(lead, nxt, context, splitters), [len(lead)]])
+            keys, doc, _, _ = Chunk(body.as_py(), window).anchors()
+            keep, _, least = folded(keys, doc)
+            keys = [k[keep] for k in keys]
+            cut = np.concatenate([[0], cuts_of(keys, splitters), [len(keep)]])
             full = np.flatnonzero(cut[1:] > cut[:-1])
-            blobs = [packed(lead[a:b], nxt[a:b], context[a:b], least[a:b]) for a, b in zip(cut[full], cut[full + 1], strict=True)]
+            lead, nxt, tail, context = keys[0], keys[1], keys[2].astype(np.uint32), keys[3]
+            blobs = [packed(lead[a:b], nxt[a:b], tail[a:b], context[a:b], least[a:b]) for a, b in zip(cut[full], cut[full + 1], strict=True)]
             yield pa.RecordBatch.from_arrays([pa.array(full.astype(np.int64)), pa.array([chunk] * len(full), pa.int64()), pa.array(blobs, pa.binary())], ["bucket", "chunk", "body"])
-            del lead, nxt, context, doc, keep, least, blobs
+            del keys, lead, nxt, tail, context, doc, keep, least, blobs
             trim()
 
 
 def compare_suffixes(df: pd.DataFrame, splitters: np.ndarray, hot_gram: int) -> pd.DataFrame:
     """Per entry 0 (only here), 1 (context of a smaller document too), 2 (open) or 3 (open, of very many)."""
     bucket = int(df["bucket"].iloc[0])
-    got = [unpacked(b, U, np.uint32, U, np.int64) for b in df["body"]]
-    lead, nxt, context, doc = (np.concatenate(c) for c in zip(*got, strict=True))
-    order = multikey_order([lead, nxt, context, doc])
-    lead, nxt, context, doc = lead[order], nxt[order], context[order], doc[order]
-    gram_new, context_new = changes(lead, nxt), changes(lead, nxt, context)
+    got = [unpacked(b, U, U, np.uint32, U, np.int64) for b in df["body"]]
+    *keys, doc = (np.concatenate(c) for c in zip(*got, strict=True))
+    order = multikey_order([*keys, doc])
+    keys, doc = [k[order] for k in keys], doc[order]
+    gram_new, context_new = changes(*keys[:3]), changes(*keys)
     gram, ctx = np.cumsum(gram_new) - 1, np.cumsum(context_new) - 1
     least = doc[context_new][ctx]
     starts = np.flatnonzero(gram_new)
@@ -303,7 +322,7 @@ def compare_suffixes(df: pd.DataFrame, splitters: np.ndarray, hot_gram: int) ->
     kind = np.where(several, np.where(contexts > hot_gram, 3, 2), 0)
     for i in (bucket - 1, bucket):  # what touches a splitter may have neighbours beyond it
         if 0 <= i < len(splitters):
-            kind[(lead[starts] == splitters[i, 0]) & (nxt[starts] == splitters[i, 1])] = 3
+            kind[np.logical_and.reduce([k[starts] == word for k, word in zip(keys[:3], splitters[i], strict=False)])] = 3
     state = np.where(doc > least, 1, kind[gram]).astype(np.uint8)
     back = np.empty(len(order), np.uint8)
     back[order] = state
@@ -364,8 +383,8 @@ def resolve_chunk(df: pd.DataFrame, buckets: int, window: int) -> pd.DataFrame:
     """
     chunk = Chunk(body_of(df, -1), window)
     state = gathered(df, np.uint8, 0, 2 * buckets)
-    lead, nxt, context, doc, first, last = chunk.anchors()
-    keep, entry, least = folded(lead, nxt, context, doc)
+    keys, doc, first, last = chunk.anchors()
+    keep, entry, least = folded(keys, doc)
     if len(least) != len(state):
         raise ValueError("a chunk and its answers don't match")
     name = int(df["chunk"].iloc[0])
@@ -375,7 +394,9 @@ def resolve_chunk(df: pd.DataFrame, buckets: int, window: int) -> pd.DataFrame:
     at, hashes = open_strings(chunk, first[hot], last[hot])
 
     unsure = np.flatnonzero(state == 2)  # entries, to be sent in the order of their buckets
-    gram = mixed(lead[keep[unsure]] ^ mixed(nxt[keep[unsure]]))
+    gram = np.zeros(len(unsure), U)
+    for k in keys[:3]:
+        gram = mixed(gram ^ k[keep[unsure]])
     bucket = ((gram >> U(32)) * U(buckets)) >> U(32)
     order = np.argsort(bucket, kind="stable")
     unsure, bucket = unsure[order], bucket[order]
@@ -395,7 +416,7 @@ def resolve_chunk(df: pd.DataFrame, buckets: int, window: int) -> pd.DataFrame:
         head = packed(least[unsure[own]], size)
         rows.append((b, name, len(head).to_bytes(4, "little") + head + zstandard.compress(texts, 3)))
     if len(at):
-        keep, _, least = folded(hashes, hashes, hashes, chunk.ids[chunk.doc_of(at)])
+        keep, _, least = folded([hashes], chunk.ids[chunk.doc_of(at)])
         hashes = hashes[keep]
         for b, own in by_bucket(((hashes >> U(32)) * U(buckets)) >> U(32)):
             rows.append((buckets + b, name, packed(hashes[own], least[own])))
@@ -437,9 +458,14 @@ def compare_contexts(df: pd.DataFrame, window: int) -> pd.DataFrame:
     h, who, k = (np.concatenate(x) for x in (hashes, owner, nth))
     order = multikey_order([h, doc[who]])
     new = changes(h[order])
-    least = doc[who[order]][new][np.cumsum(new) - 1]
-    hit = order[doc[who[order]] > least]
-    np.bitwise_or.at(masks, who[hit], U(1) << k[hit].astype(U))
+    first = order[new][np.cumsum(new) - 1]  # of equal hashes the one of the smallest document
+    later = doc[who[order]] > doc[who[first]]
+    hit, of = order[later], first[later]
+    text = np.lib.stride_tricks.sliding_window_view(data, window)
+    for lo in range(0, len(hit), 1 << 16):
+        x, y = hit[lo : lo + (1 << 16)], of[lo : lo + (1 << 16)]
+        x = x[(text[begin[who[x]] + k[x]] == text[begin[who[y]] + k[y]]).all(axis=1)]
+        np.bitwise_or.at(masks, who[x], U(1) << k[x].astype(U))
     return answers(df, got, masks)
 
 
@@ -463,7 +489,7 @@ def finish_chunk(df: pd.DataFrame, buckets: int, window: int, with_text: bool) -
         state = gathered(df, np.uint8, buckets, 2 * buckets)
         at, hashes = open_strings(chunk, at, at)
         doc = chunk.ids[chunk.doc_of(at)]
-        _, entry, least = folded(hashes, hashes, hashes, doc)
+        _, entry, least = folded([hashes], doc)
         at = at[np.where(doc > least[entry], 1, state[entry]) == 1]
     ask, ask_last, place = unpacked(body_of(df, -4), np.int64, np.int64, np.int64)
     if len(ask):
@@ -495,19 +521,23 @@ def sample_batches(batches: Iterator[pa.RecordBatch], keep_one_in: int, window:
                 continue
             c = Chunk(body.as_py(), window)
             c.data = c.data[: 1 << 17]
-            lead, nxt, context, doc, _, _ = c.anchors()
-            keep, _, _ = folded(lead, nxt, context, doc)
-            keep = keep[::32]
-            yield pa.RecordBatch.from_arrays([pa.array(x.view(np.int64)) for x in (lead[keep], nxt[keep], context[keep])], ["lead", "next", "context"])
+            keys, doc, _, _ = c.anchors()
+            keep, _, _ = folded(keys, doc)
+            yield pa.RecordBatch.from_arrays([pa.array(k[keep[::32]].view(np.int64)) for k in keys], list(KEYS))
+
+
+#: The words suffixes are sorted by.
+KEYS = ("lead", "next", "tail", "context")
 
 
 def splitters_of(chunks: DataFrame, buckets: int, n_chunks: int, window: int) -> np.ndarray:
-    rare = max(1, n_chunks // SAMPLED_CHUNKS)
-    rows = chunks.mapInArrow(lambda it: sample_batches(it, rare, window), "lead long, next long, context long").toPandas()
-    keys = [rows[c].to_numpy(np.int64).view(U) for c in ("lead", "next", "context")]
-    order = np.lexsort(keys[::-1])
+    """Suffixes that cut the order into buckets, from a sample of two starts a bucket and more."""
+    rare = max(1, n_chunks // max(SAMPLED_CHUNKS, buckets // 64))
+    rows = chunks.mapInArrow(lambda it: sample_batches(it, rare, window), ", ".join(f"{k} long" for k in KEYS)).toPandas()
+    keys = [rows[c].to_numpy(np.int64).view(U) for c in KEYS]
+    order = multikey_order(keys)
     at = order[np.linspace(0, len(order), buckets + 1)[1:-1].astype(np.int64)] if len(order) else order
-    return np.unique(np.stack([k[at] for k in keys], axis=1), axis=0) if len(at) else np.zeros((0, 3), U)
+    return np.unique(np.stack([k[at] for k in keys], axis=1), axis=0) if len(at) else np.zeros((0, len(KEYS)), U)
 
 
 def suffix_dedup(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text_col: str = "text", with_text: bool = True, hot_gram: int = HOT_GRAM) -> DataFrame:
@@ -520,22 +550,23 @@ def suffix_dedup(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text
     buckets = min(MAX_BUCKETS, max(4 * parts, total // BUCKET_BYTES))
     splitters = splitters_of(chunks, buckets, n_chunks, window)
 
+    parts = max(parts, total // PART_BYTES)  # a task's share stays bounded as the input grows
     entry = "chunk long, bucket long, body binary"
     suffixes = chunks.select("chunk", "body").mapInArrow(lambda it: suffix_batches(it, splitters, window), "bucket long, chunk long, body binary")
-    states = settle(suffixes.groupBy("bucket").applyInPandas(lambda df: compare_suffixes(df, splitters, hot_gram), entry), "suffix_states")
+    states = settle(suffixes.repartition(parts, "bucket").groupBy("bucket").applyInPandas(lambda df: compare_suffixes(df, splitters, hot_gram), entry), "suffix_states")
     del suffixes
     release(spark)
 
     texts = chunks.select("chunk", F.lit(-1).cast("long").alias("bucket"), "body")
     known = settle(  # what the states said is in there
-        texts.unionByName(states).groupBy("chunk").applyInPandas(lambda df: resolve_chunk(df, buckets, window), "bucket long, chunk long, body binary"), "open_strings"
+        texts.unionByName(states).repartition(parts, "chunk").groupBy("chunk").applyInPandas(lambda df: resolve_chunk(df, buckets, window), "bucket long, chunk long, body binary"), "open_strings"
     )
     discard(states)
     release(spark)
-    strings = known.where("bucket >= 0").groupBy("bucket").applyInPandas(lambda df: compare_open(df, buckets, window), entry)
+    strings = known.where("bucket >= 0").repartition(parts, "bucket").groupBy("bucket").applyInPandas(lambda df: compare_open(df, buckets, window), entry)
     last = texts.unionByName(known.where("bucket < 0")).unionByName(strings)
     out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
-    return last.groupBy("chunk").applyInPandas(lambda df: finish_chunk(df, buckets, window, with_text), out)
+    return last.repartition(parts, "chunk").groupBy("chunk").applyInPandas(lambda df: finish_chunk(df, buckets, window, with_text), out)
 
 
 def query(spark, sf_dir: str) -> DataFrame:

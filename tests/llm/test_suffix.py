@@ -55,16 +55,17 @@ def test_slices_give_the_same_anchors(monkeypatch):
     texts = [(t or "").encode() for _, t in corpus(5)]
     head = np.concatenate([[len(texts)], np.arange(len(texts)), [len(t) for t in texts]]).astype(np.int64)
     body = zstandard.compress(head.tobytes() + b"".join(texts))
-    whole = sd.Chunk(body, 50).anchors()
+    flat = lambda got: [*got[0], *got[1:]]
+    whole = flat(sd.Chunk(body, 50).anchors())
     monkeypatch.setattr(sd, "SLICE", 700)
     sd.powers.cache_clear()
     chunk = sd.Chunk(body, 50)
-    parts = chunk.anchors()
-    at, hashes = sd.open_strings(chunk, whole[4], whole[5])
+    parts = flat(chunk.anchors())
+    at, hashes = sd.open_strings(chunk, whole[5], whole[6])
     monkeypatch.undo()
     sd.powers.cache_clear()
     assert all((a == b).all() for a, b in zip(whole, parts, strict=True))
-    _, again = sd.open_strings(sd.Chunk(body, 50), whole[4], whole[5])
+    _, again = sd.open_strings(sd.Chunk(body, 50), whole[5], whole[6])
     assert (hashes == again).all()
     every = [a for s, n in zip(np.cumsum(head[1 + len(texts) :]) - head[1 + len(texts) :], head[1 + len(texts) :], strict=True) for a in range(s, s + n - 49)]
     assert sorted(at) == every
@@ -77,9 +78,26 @@ def test_empty_and_null_ids(spark):
     assert sd.suffix_dedup(df.limit(0)).count() == 0
 
 
-def test_multikey_order():
+def test_multikey_order(monkeypatch):
     rng = np.random.default_rng(0)
-    keys = [rng.integers(0, 4, 300).astype(np.uint64) for _ in range(4)]
-    order = sd.multikey_order(keys)
-    rows = list(zip(*(k[order].tolist() for k in keys), strict=True))
-    assert rows == sorted(rows)
+    monkeypatch.setattr(sd, "SMALL_SORT", 8)
+    for n, most in ((300, 4), (1000, 2), (500, 1 << 60), (40, 1), (0, 1)):
+        keys = [rng.integers(0, most, n).astype(np.uint64) for _ in range(4)]
+        order = sd.multikey_order(keys)
+        rows = list(zip(*(k[order].tolist() for k in keys), strict=True))
+        assert rows == sorted(rows) and sorted(order.tolist()) == list(range(n))
+
+
+def test_suffixes_come_in_the_order_of_their_bytes():
+    """The first three words of the sort keys are the suffix's first 20 bytes."""
+    texts = [(t or "").encode() for _, t in corpus(6)]
+    head = np.concatenate([[len(texts)], np.arange(len(texts)), [len(t) for t in texts]]).astype(np.int64)
+    chunk = sd.Chunk(zstandard.compress(head.tobytes() + b"".join(texts)), 50)
+    starts = np.concatenate([s.start for s in chunk.slices()])
+    keys, doc, _, _ = chunk.anchors()
+    data = chunk.data.tobytes()
+    order = sd.multikey_order(keys[:3])
+    grams = [data[s : s + 20] for s in starts[order].tolist()]
+    assert grams == sorted(grams) and len(grams) > 100
+    words = [int(a).to_bytes(8, "big") + int(b).to_bytes(8, "big") + int(c).to_bytes(4, "big") for a, b, c in zip(*(k[order] for k in keys[:3]), strict=True)]
+    assert words == grams

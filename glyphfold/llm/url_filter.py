@@ -7,11 +7,20 @@ Rules below the support or confidence, and rules that a shorter rule with as muc
 confidence implies, are pruned. A rule is filed in an inverted index under its
 rarest token; a URL looks up its own tokens there and checks the rest of the rule.
 
-Labels are joined by id: a page is bad if its label has low quality or is toxic.
+Tokens of the very same labelled URLs are mined as one and stand in for each other in
+the rules, so sets of any length are mined without a cap on their number of tokens.
+
+Labels are joined by id: a page is bad if its label has low quality or is toxic. In the
+given tables ids of labels are those of documents, which say nothing about URLs; there
+no rule reaches the confidence, and the fixed rules alone decide (a test plants labels
+that do depend on URLs).
 
 Defined cases: null URLs and those without ``://`` have an empty host and path and
-no tokens, and are allowed; repeated rows are judged alike; without labels no rules
-are mined; an empty table gives no rows.
+no tokens, and are allowed; repeated rows are judged alike; of rules of one confidence
+the one of the greater text is named; a page with several labels counts once for each
+distinct verdict; without labels no rules are mined; an empty table gives no rows; a
+very long URL is split in one row's memory; other columns of the input play no part,
+whatever their names.
 """
 
 from __future__ import annotations
@@ -31,7 +40,7 @@ HOST_RULES = (
     ("block", "net", "/fr/"),
 )
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: Rules are broadcast up to this number, and joined by a shuffle beyond it.
+#: Rules are broadcast up to this number, and joined by a shuffle beyond it; results are the same.
 BROADCAST_RULES = 20_000
 
 
@@ -74,28 +83,34 @@ def token_column(url_col: str = "url"):
     return F.when(F.col("host") == "", F.array().cast("array<string>")).otherwise(F.array_distinct(tokens))
 
 
-def mined_rules(labelled: DataFrame, min_support: int = 20, min_share: float = 0.005, min_confidence: float = 0.8, max_tokens: int = 4) -> DataFrame:
+def token_classes(labelled: DataFrame, need: int) -> DataFrame:
+    """``(token, count, lead)``: tokens of ``need`` rows at least; tokens of the very same rows share a lead.
+
+    Without this, n tokens that always come together would make 2 ** n frequent sets.
+    """
+    row = [F.sum(F.xxhash64("tokens", F.lit(k)).cast("decimal(38,0)")).alias(f"r{k}") for k in (0, 1)]
+    common = labelled.select("tokens", F.explode("tokens").alias("token")).groupBy("token").agg(F.count("*").alias("count"), *row).where(F.col("count") >= need)
+    common = settle(common, "url_tokens")
+    leads = common.groupBy("count", "r0", "r1").agg(F.min("token").alias("lead"))
+    return settle(common.join(leads, ["count", "r0", "r1"]).select("token", "count", "lead"), "url_classes")
+
+
+def mined_rules(labelled: DataFrame, min_support: int = 20, min_share: float = 0.005, min_confidence: float = 0.8) -> DataFrame:
     """``(tokens, support, total, confidence, rare)`` of the pruned rules; labelled has (tokens, bad)."""
     spark = labelled.sparkSession
-    labelled = settle(labelled.where(F.size("tokens") > 0), "labelled_urls")
-    bad = labelled.where("bad").select("tokens")
-    n_bad = bad.count()
+    labelled = settle(labelled.where(F.size("tokens") > 0).select("tokens", "bad", F.monotonically_increasing_id().alias("row")), "labelled_urls")
+    n_bad = labelled.where("bad").count()
     schema = "tokens array<string>, support long, total long, confidence double, rare string"
     if not n_bad:
         return spark.createDataFrame([], schema)
     need = max(min_support, int(min_share * n_bad))
-    frequent = labelled.select(F.explode("tokens").alias("token")).groupBy("token").count().where(F.col("count") >= need)
-    model = FPGrowth(itemsCol="tokens", minSupport=min(1.0, need / n_bad), minConfidence=1.0).fit(bad)
-    sets = model.freqItemsets.where(F.size("items") <= max_tokens).select(F.sort_array("items").alias("tokens"), F.col("freq").alias("support"))
-    rare = (
-        sets.select("tokens", "support", F.explode("tokens").alias("token"))
-        .join(frequent, "token")
-        .groupBy("tokens", "support")
-        .agg(F.min(F.struct("count", "token")).alias("r"))
-        .select("tokens", "support", F.col("r.token").alias("rare"))
-    )
-    rare = settle(rare, "url_sets")
-    hits = matched(labelled.select("tokens", "bad"), rare, "tokens")
+    classes = token_classes(labelled, need)
+    led = labelled.select("row", "bad", F.explode("tokens").alias("token")).join(classes.select("token", "lead"), "token")
+    led = settle(led.groupBy("row", "bad").agg(F.collect_set("lead").alias("tokens")), "led_urls")
+    model = FPGrowth(itemsCol="tokens", minSupport=min(1.0, need / n_bad), minConfidence=1.0).fit(led.where("bad").select("tokens"))
+    sets = settle(model.freqItemsets.select(F.sort_array("items").alias("tokens"), F.col("freq").alias("support")), "url_sets")
+    counts = classes.where("token = lead").select("token", "count")
+    hits = matched(led.select("tokens", "bad"), with_rarest(sets, counts), "tokens")
     rules = hits.groupBy("rule", "support", "rare").agg(F.count("*").alias("total")).withColumn("confidence", F.col("support") / F.col("total"))
     rules = settle(rules.where(F.col("confidence") >= min_confidence).withColumnRenamed("rule", "tokens"), "url_rules")
     # a shorter rule whose tokens are all in this one, with as much confidence, makes it redundant
@@ -107,7 +122,19 @@ def mined_rules(labelled: DataFrame, min_support: int = 20, min_share: float = 0
         .select("tokens")
         .distinct()
     )
-    return rules.join(implied, "tokens", "left_anti").select("tokens", "support", "total", "confidence", "rare")
+    rules = rules.join(implied, "tokens", "left_anti").select("tokens", "support", "total", "confidence")
+    # each token may stand in for its class again
+    members = classes.groupBy("lead").agg(F.array_sort(F.collect_list("token")).alias("members"))
+    lists = rules.withColumn("lead", F.explode("tokens")).join(members, "lead").groupBy("tokens", "support", "total", "confidence").agg(F.collect_list("members").alias("lists"))
+    each = F.aggregate("lists", F.array(F.array().cast("array<string>")), lambda done, m: F.flatten(F.transform(done, lambda d: F.transform(m, lambda x: F.array_append(d, x)))))
+    rules = lists.select(F.explode(each).alias("tokens"), "support", "total", "confidence").withColumn("tokens", F.sort_array("tokens"))
+    return settle(with_rarest(rules, classes.select("token", "count")).select("tokens", "support", "total", "confidence", "rare"), "url_filter_rules")
+
+
+def with_rarest(sets: DataFrame, counts: DataFrame) -> DataFrame:
+    """``sets`` (with distinct ``tokens``) and the ``rare`` one of their tokens, under which they are filed."""
+    least = sets.select("tokens", F.explode("tokens").alias("token")).join(counts, "token").groupBy("tokens").agg(F.min(F.struct("count", "token")).alias("r"))
+    return sets.join(least, "tokens").withColumn("rare", F.col("r.token")).drop("r")
 
 
 def matched(urls: DataFrame, rules: DataFrame, tokens_col: str) -> DataFrame:

@@ -53,12 +53,66 @@ def test_views_teach_each_other():
     labels[:80, 0] = y[:80]
     right = []
     for rounds in (0, 3):
-        m = ct.co_train(words, meta, labels, rounds=rounds, least_z=-1)
-        z = np.array([m.text[[m.vocab[f] for f in w if f in m.vocab], 0].sum() + m.text_offset[0] for w in words[80:]])
+        state = ct.CoTraining(words, meta, labels, least_z=-1)
+        pool = np.arange(80, 1500)
+        for _ in range(rounds):
+            p = [ct.sigmoid(z[:, 0]) for z in state.model.views([state.all_ids[i] for i in pool], meta[pool])]
+            for view in (0, 1):
+                at = np.flatnonzero(np.abs(p[view] - 0.5) > 0.4)[:200]
+                state.teach(0, view, [state.all_ids[pool[i]] for i in at], meta[pool[at]], (p[view][at] > 0.5).astype(float))
+            state.fit()
+        z = state.model.views([state.all_ids[i] for i in pool], meta[pool])[0][:, 0]
         right.append(np.mean((z > 0) == y[80:]))
     assert right[1] >= right[0] and right[1] > 0.85
 
 
+def test_scores_and_exchange_match_brute_force(spark):
+    """A round passes on what a loop over all unlabelled documents would; scores are those of whole texts."""
+    rows, labels = corpus(500)
+    rows += [(7, rows[7][1] + " twice", "en", None, None), (900, None, None, None, None)]
+    docs, known = frames(spark, rows, labels)
+    state = ct.start(docs, known)
+    table = ct.numbered_texts(docs, state.model.vocab)
+    pool = table.join(known.select("doc_id"), "doc_id", "left_anti")
+    seen = ct._Seen()
+    vocab = state.model.vocab
+
+    def views(text, lang, source, n):
+        ids = np.array(sorted(vocab[f] for f in ct.text_features(text, seen) | set(ct.layout_of(text or "")) if f in vocab), np.int64)
+        return ids, np.array(ct.metadata(lang, source, n))
+
+    quotas, had = state.quotas(40), {i for i, *_ in labels}
+    want = {}
+    for t, view, label in quotas:
+        found = []
+        for i, *rest in rows:
+            ids, meta = views(*rest)
+            z = state.model.text[ids, t].sum() + state.model.text_offset[t] if view == 0 else meta @ state.model.meta[:, t] + state.model.meta_offset[t]
+            p = ct.sigmoid(z)
+            if i not in had and (p if label else 1 - p) > 0.9:
+                found.append((ct.draws_of([i])[0], i))
+        want[t, view, label] = {i for _, i in sorted(set(found))[: quotas[t, view, label]]}
+    taken = ct.defaultdict(set)
+    ct.exchange(state, pool, 40, taken)
+    assert {k: taken[k] for k in ((0, 0), (0, 1), (1, 0), (1, 1))} == {(t, v): want[t, v, 0] | want[t, v, 1] for t in (0, 1) for v in (0, 1)}
+    state.fit()
+    model = state.finish()
+    got = sorted((r.doc_id, round(r.quality, 9), round(r.toxic, 9)) for r in ct.quality_scores(docs, known, model).collect())
+    brute = []
+    for i, *rest in rows:
+        ids, meta = views(*rest)
+        z = (model.text[ids].sum(axis=0) + model.text_offset) * model.mix[:, 0] + (meta @ model.meta + model.meta_offset) * model.mix[:, 1] + model.mix[:, 2]
+        brute.append((i, *(round(float(x), 9) for x in ct.sigmoid(z))))
+    assert got == sorted(brute)
+
+
+def test_views_are_apart():
+    """The metadata view never sees the text, the text view nothing else."""
+    assert ct.metadata("en", "s", 10) == ct.metadata("en", "s", 10) and len(ct.metadata(None, None, None)) == ct.N_META
+    assert ct.metadata.__code__.co_varnames[:3] == ("lang", "source", "n_chars")
+    assert ct.layout_of("") == ct.layout_of("") and ct.text_features(None, ct._Seen()) == set()
+
+
 def test_edge_cases(spark):
     docs, known = frames(spark, [(1, None, None, None, None), (2, "", "", "", 0), (3, "x " * 50000, "en", "s", 5)], [(1, 1, 0)])
     for r in ct.quality_scores(docs, known).collect():

@@ -9,13 +9,17 @@ under its home anchor and once under every anchor within radius plus threshold;
 homes are compared with visitors of the same anchor only. No linked pair is missed.
 
 Copies of a fingerprint are folded first (smallest id stands for them). An anchor
-with very many records is split by the bytes of the other half, one of which two
-linked fingerprints must share, until each part is small or all bytes are used.
-Within an anchor only the edges of a spanning forest leave the task.
+with very many homes is split by four pieces of the other half, one of which two
+linked fingerprints must share; what is still hot is split again by four pieces of
+the bits left, four times at most, when 21 bits or more of the other half agree beside
+the anchor. Within a part only the edges of a spanning forest leave the task.
 
 Defined cases: null or empty text has no words and fingerprint zero, linked like
 any other; fewer words than a shingle: the whole sequence is the one shingle;
-repeated rows share a fingerprint; an empty table gives no rows.
+repeated rows share a fingerprint; null ids get a component but are no one's smallest
+id; a very long text is held by one task, its hashes 200,000 at a time with those of
+its neighbours; an empty table gives no rows; other columns play no part, whatever
+their names.
 """
 
 from __future__ import annotations
@@ -197,6 +201,23 @@ def linked(batches: Iterator[pd.DataFrame], radius: int) -> Iterator[pd.DataFram
         yield pd.DataFrame(run(rest), columns=["src", "dst"], dtype="int64")
 
 
+#: How the other half of a fingerprint is cut each time an anchor is still hot: into four pieces of what is left.
+PIECES = ((8, 8, 8, 8), (6, 6, 6, 6), (5, 5, 4, 4), (4, 4, 3, 3))
+
+
+def divided(records: DataFrame, hot: DataFrame, level: int, widths: tuple[int, ...]) -> DataFrame:
+    """Records of hot parts filed by each piece of what is left of the other half; two that differ in 3 bits share one piece."""
+    pieces, at = [], 0
+    for i, width in enumerate(widths):
+        value = F.shiftrightunsigned("rest", at).bitwiseAND(F.lit((1 << width) - 1))
+        left = F.col("rest").bitwiseAND(F.lit((1 << at) - 1)).bitwiseOR(F.shiftleft(F.shiftrightunsigned("rest", at + width), at))
+        pieces.append(F.struct(F.xxhash64("part", F.lit(4 * level + i), value).alias("part"), left.alias("rest")))
+        at += width
+    same = F.array(F.struct("part", "rest"))
+    out = records.join(hot, "part", "left").withColumn("piece", F.explode(F.when(F.col("hot"), F.array(*pieces)).otherwise(same)))
+    return out.select("piece.part", "piece.rest", "visitor", "fp", "id")
+
+
 def links(prints: DataFrame, radius: int = 3) -> DataFrame:
     """``(src, dst)`` edges that connect all of ``prints(id, fp)`` within ``radius`` (3 at most).
 
@@ -210,17 +231,15 @@ def links(prints: DataFrame, radius: int = 3) -> DataFrame:
         prints = prints.withColumn("space", F.lit(0).cast("long"))
     prints = prints.select("id", "fp", "space")
     record = "anchor long, visitor boolean, fp long, id long"
-    homes = prints.mapInPandas(lambda it: filed(it, False), record)
-    hot = homes.groupBy("anchor").count().where(F.col("count") > HOT_ANCHOR).select("anchor", F.lit(True).alias("hot"))
-    hot = settle(hot, "hot_anchors")  # of known size: Spark broadcasts it if it is small
-    records = prints.mapInPandas(filed, record)
-    other = F.when(F.shiftright("anchor", 3) % 2 == 0, F.shiftrightunsigned("fp", 32)).otherwise(F.col("fp"))
-    pieces = F.array(*(F.lit(i * 256) + F.shiftrightunsigned(other, 8 * i).bitwiseAND(F.lit(255)) for i in range(4)))
-    records = (
-        records.join(hot, "anchor", "left")
-        .withColumn("piece", F.explode(F.when(F.col("hot"), pieces).otherwise(F.array(F.lit(-1).cast("long")))))
-        .withColumn("part", F.xxhash64("anchor", "piece"))
-    )
+    other = F.when(F.shiftright("anchor", 3) % 2 == 0, F.shiftrightunsigned("fp", 32)).otherwise(F.col("fp")).bitwiseAND(F.lit(0xFFFFFFFF))
+    fields = [F.col("anchor").alias("part"), other.alias("rest"), "visitor", "fp", "id"]
+    homes = prints.mapInPandas(lambda it: filed(it, False), record).select(*fields)
+    records = prints.mapInPandas(filed, record).select(*fields)
+    for level, widths in enumerate(PIECES):
+        hot = settle(homes.groupBy("part").count().where(F.col("count") > HOT_ANCHOR).select("part", F.lit(True).alias("hot")), "hot_anchors")  # of known size
+        if hot.isEmpty():
+            break
+        homes, records = divided(homes, hot, level, widths), divided(records, hot, level, widths)
     return (
         records.select("part", "visitor", "fp", "id")
         .repartition(n, "part")

@@ -82,6 +82,17 @@ def test_chain_of_prints(spark):
     assert set(roots.values()) == {5} and len(roots) == 20
 
 
+def test_anchors_hot_at_every_level(spark, monkeypatch):
+    """Anchors split again and again still bring linked fingerprints together."""
+    from glyphfold.operators.components import connected_components
+
+    monkeypatch.setattr(sd, "HOT_ANCHOR", 0)
+    fps = [0, 0b111 << 40, (0b111 << 40) | (1 << 33 | 1 << 3 | 1 << 60), 0xF0F0F0F0]
+    df = spark.createDataFrame([(i, f) for i, f in enumerate(fps)], "id long, fp long")
+    roots = {r.id: r.root for r in connected_components(sd.links(df)).collect()}
+    assert roots == {0: 0, 1: 0, 2: 0}
+
+
 def brute_groups(docs, similarity=0.8):
     """Smallest id of each document's group: documents linked by similarity of their five-word shingles."""
     sets = {i: set(sd.shingle_hashes(t, 5)) for i, t in docs}

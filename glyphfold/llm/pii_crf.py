@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -398,9 +399,33 @@ def plausible(kind: str, text: str) -> bool:
     return kind != "phone" or 7 <= len(digits) <= 15
 
 
+class Taken:
+    """Stretches of a text that spans cover: kept apart and in order, so a look-up is a bisection."""
+
+    def __init__(self, spans: list[tuple[str, int, int]]):
+        self.starts: list[int] = []
+        self.ends: list[int] = []
+        for a, b in sorted((a, b) for _, a, b in spans):
+            if self.ends and a < self.ends[-1]:
+                self.ends[-1] = max(self.ends[-1], b)
+            else:
+                self.starts.append(a)
+                self.ends.append(b)
+
+    def add(self, a: int, b: int) -> bool:
+        """Takes a stretch that touches no other; says whether it could."""
+        at = bisect_left(self.starts, b)
+        if at and self.ends[at - 1] > a:
+            return False
+        self.starts.insert(at, a)
+        self.ends.insert(at, b)
+        return True
+
+
 def field_spans(texts: list[str], base: list[list[tuple[str, int, int]]], field: Field) -> list[list[tuple[str, int, int]]]:
     """Spans that the random field adds to those of the patterns."""
     out: list[list[tuple[str, int, int]]] = [[] for _ in texts]
+    taken = [Taken(own) for own in base]
     jobs = [(i, seg) for i, text in enumerate(texts) if text for seg in segments_of(text)]
     for lo in range(0, len(jobs), 256):
         part = jobs[lo : lo + 256]
@@ -422,7 +447,7 @@ def field_spans(texts: list[str], base: list[list[tuple[str, int, int]]], field:
                     a += 1
                 while b > a and texts[i][b - 1] in EDGE:
                     b -= 1
-                if a < b and (kind in (0, 4) or MARK.search(texts[i], a, b)) and plausible(KINDS[kind], texts[i][a:b]) and all(b <= x or a >= y for _, x, y in base[i] + out[i]):
+                if a < b and (kind in (0, 4) or MARK.search(texts[i], a, b)) and plausible(KINDS[kind], texts[i][a:b]) and taken[i].add(a, b):
                     out[i].append((KINDS[kind], a, b))
     return out
 

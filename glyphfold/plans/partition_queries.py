@@ -173,8 +173,9 @@ PAIR = """deg as (select id, count(*) as d from tok group by id),
 
 
 def sig_cte(rows: int, seed: int = 42) -> str:
-    cols = ", ".join(f"min((t % {P} * {a} + {c}) % {P})::bigint as h_{i}" for i in range(rows) for a, c in [candidates.affine(seed, i)])
-    return f"sig as (select id, count(*) as d, {cols} from tok group by id)"
+    mapped = ", ".join(f"(t % {P} * {a} + {c}) % {P} as y_{i}" for i in range(rows) for a, c in [candidates.affine(seed, i)])
+    cols = ", ".join(f"min((y_{i} * y_{i} % {P} * {candidates.SECOND} + {candidates.affine(seed, i)[1]}) % {P})::bigint as h_{i}" for i in range(rows))
+    return f"sig as (select id, count(*) as d, {cols} from (select id, {mapped} from tok) group by id)"
 
 
 def set_ctes(bands: int = 2) -> str:

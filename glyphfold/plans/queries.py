@@ -133,12 +133,7 @@ add(
 
 # minhash -----------------------------------------------------------------------------
 
-P = candidates.PRIME
-
-
-def sig_sql(rows: int, seed: int = 42) -> str:
-    cols = ", ".join(f"min((t % {P} * {a} + {c}) % {P})::bigint as h_{i}" for i in range(rows) for a, c in [candidates.affine(seed, i)])
-    return f"sig as (select id, count(*) as d, {cols} from tok group by id)"
+P, sig_sql = candidates.PRIME, partition_queries.sig_cte
 
 
 def bucket_sql(band: int) -> str:

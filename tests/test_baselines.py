@@ -89,6 +89,8 @@ def test_generators(spark):
         assert sum(met) / len(met) >= 1 - (1 - 0.75**2) ** b - 0.1
     s = merge.summarize(p, merge.SummaryConfig(b=10))
     assert s.supernodes.where("glyph = 'clique' and size = 5").count() == 6
+    before, after = ledger.identity_bits(p).first(), ledger.ledgers(summary.identity_summary(p))
+    assert (before.printed, before.sound) == (pytest.approx(after["printed"]), pytest.approx(after["sound"]))
 
 
 def test_files_and_sql(spark, tmp_path):

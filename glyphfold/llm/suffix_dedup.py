@@ -46,8 +46,6 @@ from pyspark.sql import functions as F
 from glyphfold.llm.lean import keep_small, trim
 from glyphfold.session import discard, release, settle
 
-keep_small()
-
 #: Bytes of an anchor, from 16 to 24: longer ones are shared by chance less often, shorter ones are fewer.
 GRAM = 20
 SLICE = 1 << 18
@@ -164,6 +162,7 @@ def unpacked(blob: bytes, *types) -> list[np.ndarray]:
 
 
 def chunk_batches(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[pa.RecordBatch]:
+    keep_small()
     part, seq = TaskContext.get().partitionId(), 0
     ids: list[int] = []
     texts: list[bytes] = []
@@ -292,6 +291,7 @@ def cuts_of(keys: list[np.ndarray], splitters: np.ndarray) -> np.ndarray:
 
 
 def suffix_batches(batches: Iterator[pa.RecordBatch], splitters: np.ndarray, window: int) -> Iterator[pa.RecordBatch]:
+    keep_small()
     for batch in batches:
         for chunk, body in zip(batch.column("chunk").to_pylist(), batch.column("body"), strict=True):
             keys, doc, _, _ = Chunk(body.as_py(), window).anchors()
@@ -308,6 +308,7 @@ def suffix_batches(batches: Iterator[pa.RecordBatch], splitters: np.ndarray, win
 
 def compare_suffixes(df: pd.DataFrame, splitters: np.ndarray, hot_gram: int) -> pd.DataFrame:
     """Per entry 0 (only here), 1 (context of a smaller document too), 2 (open) or 3 (open, of very many)."""
+    keep_small()
     bucket = int(df["bucket"].iloc[0])
     got = [unpacked(b, U, U, np.uint32, U, np.int64) for b in df["body"]]
     *keys, doc = (np.concatenate(c) for c in zip(*got, strict=True))
@@ -381,6 +382,7 @@ def resolve_chunk(df: pd.DataFrame, buckets: int, window: int) -> pd.DataFrame:
 
     Contexts go to buckets from 0, strings of very common anchors to those from ``buckets``.
     """
+    keep_small()
     chunk = Chunk(body_of(df, -1), window)
     state = gathered(df, np.uint8, 0, 2 * buckets)
     keys, doc, first, last = chunk.anchors()
@@ -424,6 +426,7 @@ def resolve_chunk(df: pd.DataFrame, buckets: int, window: int) -> pd.DataFrame:
 
 
 def compare_open(df: pd.DataFrame, buckets: int, window: int) -> pd.DataFrame:
+    keep_small()
     return compare_strings(df) if df["bucket"].iloc[0] >= buckets else compare_contexts(df, window)
 
 
@@ -482,6 +485,7 @@ def compare_strings(df: pd.DataFrame) -> pd.DataFrame:
 
 
 def finish_chunk(df: pd.DataFrame, buckets: int, window: int, with_text: bool) -> pd.DataFrame:
+    keep_small()
     chunk = Chunk(body_of(df, -1), window)
     first, last = unpacked(body_of(df, -2), np.int64, np.int64)
     (at,) = unpacked(body_of(df, -3), np.int64)

@@ -200,14 +200,28 @@ def pairmerge_rounds(g: PropertyGraph, max_rounds: int | None = None) -> Summary
     else:
         if max_rounds is None:
             raise RuntimeError("pairs did not settle")
-    p = Pairs(g)
-    home: dict[int, int] = {}
-    for r in mem.collect():
-        first = home.setdefault(r.sid, r.id)
-        if first != r.id:
-            _merge_pairs(p, first, r.id)
-    del spark
-    return pair_summary(g, p)
+    return pair_tables(g, mem)
+
+
+def pair_tables(g: PropertyGraph, mem: DataFrame) -> Summary:
+    """As ``pair_summary``, from a table of members (id, sid, label)."""
+    e = (g.edges if g.directed else g.mirrored()).select("src", "dst")
+    a, b = mem.select(F.col("id").alias("src"), F.col("sid").alias("a")), mem.select(F.col("id").alias("dst"), F.col("sid").alias("b"))
+    links = settle(e.join(a, "src").join(b, "dst").groupBy("a", "b").agg(F.count_if(F.col("src") != F.col("dst")).alias("c"), F.count_if(F.col("src") == F.col("dst")).alias("k")), "pm_links")
+    size = mem.groupBy("sid").agg(F.min("label").alias("label"), F.count("*").alias("size"))
+    inside = links.where("a = b").select(F.col("a").alias("sid"), "c", "k")
+    sn = size.join(inside, "sid", "left").na.fill(0, ["c", "k"])
+    n = F.col("size")
+    full = (F.col("c") > 0) & (n * (n - 1) - F.col("c") + 1 <= F.col("c"))
+    looped = F.when((F.col("k") > 0) & (n - F.col("k") + 1 <= F.col("k")), F.lit(1).cast("long"))
+    glyph = F.when(full, "clique").otherwise("disconnected")
+    sn = settle(sn.select("sid", "label", "size", glyph.alias("glyph"), F.lit(1).cast("long").alias("m"), F.lit(None).cast("long").alias("hub"), looped.alias("self_m")), "pm_sn")
+    of = lambda x: size.select(F.col("sid").alias(x), F.col("size").alias(f"n_{x}"))
+    outer = links.where("a <> b" if g.directed else "a < b").join(of("a"), "a").join(of("b"), "b")
+    kept = outer.where((F.col("c") > 0) & (F.col("n_a") * F.col("n_b") - F.col("c") + 1 <= F.col("c")))
+    se = kept.select(F.col("a").alias("ssid"), F.col("b").alias("dsid"), F.lit(1).cast("long").alias("m"))
+    se = se.unionByName(sn.where("self_m is not null").select(F.col("sid").alias("ssid"), F.col("sid").alias("dsid"), F.lit(1).cast("long").alias("m")))
+    return Summary(g, sn, mem.select("id", "sid"), settle(se, "pm_se"))
 
 
 def pair_summary(g: PropertyGraph, p: Pairs) -> Summary:
@@ -246,32 +260,64 @@ def _entropy(n: float, k: float) -> float:
     return sum(-x * math.log2(x / n) for x in (k, n - k) if 0 < x < n)
 
 
-def structure_bits(kind: str, a: list[int], b: list[int], v: int, adj: dict[int, set]) -> tuple[float, set]:
+def bits_of_nodes(nodes: list[int]) -> int:
+    """A set of node numbers as one integer of bits."""
+    out = bytearray(max(nodes, default=0) // 8 + 1)
+    for u in nodes:
+        out[u >> 3] |= 1 << (u & 7)
+    return int.from_bytes(out, "little")
+
+
+def above(mask: int, u: int) -> int:
+    """The bits of ``mask`` beyond node u: a pair belongs to its smaller node."""
+    return mask >> (u + 1) << (u + 1)
+
+
+def claimed_pairs(kind: str, a: list[int], b: list[int], adj: list[int]) -> dict[int, int]:
+    """The pairs that a structure claims, as bits of the larger node by the smaller one."""
+    cells: dict[int, int] = defaultdict(int)
+    if kind == "chain":
+        for x, y in zip(a, a[1:], strict=False):
+            cells[min(x, y)] |= 1 << max(x, y)
+    elif kind == "star":
+        hub = a[0]
+        cells[hub] = above(bits_of_nodes(b), hub)
+        for y in b:
+            if y < hub:
+                cells[y] |= 1 << hub
+    else:
+        left = bits_of_nodes(a)
+        right = left if kind.endswith("clique") else bits_of_nodes(b)
+        for x in a:
+            cells[x] |= above(right, x)
+        for y in b:
+            cells[y] |= above(left, y)
+    return {x: own for x, m in cells.items() if (own := m & adj[x] if kind.startswith("near_") else m)}
+
+
+def structure_bits(kind: str, a: list[int], b: list[int], v: int, adj: list[int]) -> tuple[float, dict[int, int]]:
     """Model bits of one structure over nodes a (and b), and the pairs it claims."""
-    cells: set = set()
+    cells = claimed_pairs(kind, a, b, adj)
     if kind in ("clique", "near_clique"):
-        bits = n_int_bits(len(a)) + n_log2_binomial(v, len(a))
-        cells = {(min(x, y), max(x, y)) for i, x in enumerate(a) for y in a[i + 1 :]}
+        bits, slots = n_int_bits(len(a)) + n_log2_binomial(v, len(a)), len(a) * (len(a) - 1) / 2
     elif kind == "chain":
-        bits = n_int_bits(max(len(a) - 1, 1)) + sum(math.log2(max(v - i, 1)) for i in range(len(a)))
-        cells = {(min(x, y), max(x, y)) for x, y in zip(a, a[1:], strict=False)}
+        bits, slots = n_int_bits(max(len(a) - 1, 1)) + sum(math.log2(max(v - i, 1)) for i in range(len(a))), 0
     elif kind == "star":
-        bits = n_int_bits(max(len(b), 1)) + math.log2(v) + n_log2_binomial(v - 1, len(b))
-        cells = {(min(a[0], y), max(a[0], y)) for y in b}
+        bits, slots = n_int_bits(max(len(b), 1)) + math.log2(v) + n_log2_binomial(v - 1, len(b)), len(b)
     else:
         bits = n_int_bits(len(a)) + n_int_bits(max(len(b), 1)) + n_log2_binomial(v, len(a)) + n_log2_binomial(v - len(a), len(b))
-        cells = {(min(x, y), max(x, y)) for x in a for y in b}
+        slots = len(a) * len(b)
     if kind.startswith("near_"):
-        k = sum(y in adj[x] for x, y in cells)
-        bits += math.log2(max(len(cells), 1)) + _entropy(len(cells), k)
-        cells = {c for c in cells if c[1] in adj[c[0]]}
+        bits += math.log2(max(slots, 1)) + _entropy(slots, sum(m.bit_count() for m in cells.values()))
     return bits, cells
 
 
-def label_structure(nodes: list[int], adj: dict[int, set], v: int) -> tuple[float, str, list, list, set]:
+def label_structure(nodes: list[int], near: list[list[int]], adj: list[int], v: int) -> tuple[float, str, list, list, dict[int, int]]:
     """The vocabulary word with the least bits for a node set, its own errors included."""
-    own = {u: adj[u] & set(nodes) for u in nodes}
-    real = {(min(u, w), max(u, w)) for u in nodes for w in own[u]}
+    inside = set(nodes)
+    own = {u: [w for w in near[u] if w in inside] for u in nodes}
+    mask = bits_of_nodes(nodes)
+    real = {u: above(adj[u] & mask, u) for u in nodes}
     hub = max(nodes, key=lambda u: (len(own[u]), -u))
     side, todo = {}, []
     for r in sorted(nodes, key=lambda u: (-len(own[u]), u)):
@@ -286,31 +332,35 @@ def label_structure(nodes: list[int], adj: dict[int, set], v: int) -> tuple[floa
                     side[w] = 1 - side[u]
                     todo.append(w)
     a, b = [u for u in nodes if side[u] == 0], [u for u in nodes if side[u]]
-    path, seen = [min(nodes, key=lambda u: (len(own[u]) or 99, u))], set()
+    path, seen = [min(nodes, key=lambda u: (len(own[u]) or len(nodes) + 1, u))], set()
     while path[-1] not in seen:
         seen.add(path[-1])
-        step = sorted(own[path[-1]] - seen, key=lambda w: (len(own[w]), w))
-        if step:
-            path.append(step[0])
+        step = min((w for w in own[path[-1]] if w not in seen), key=lambda w: (len(own[w]), w), default=None)
+        if step is not None:
+            path.append(step)
     words = [("clique", nodes, []), ("near_clique", nodes, []), ("star", [hub], [u for u in nodes if u != hub]), ("chain", path, [])]
     if a and b:
         words += [("bipartite", a, b), ("near_bipartite", a, b)]
     best = None
+    slots = max(len(nodes) * (len(nodes) - 1) / 2, 1)
     for kind, x, y in words:
         bits, cells = structure_bits(kind, x, y, v, adj)
-        wrong = len(cells ^ real)
-        slots = max(len(nodes) * (len(nodes) - 1) / 2, 1)
+        wrong = sum((cells.get(u, 0) ^ real[u]).bit_count() for u in nodes)
         total = bits + math.log2(slots + 1) + _entropy(slots, min(wrong, slots))
         if best is None or total < best[0]:
             best = (total, kind, x, y, cells)
     return best
 
 
-def vocab_candidates(g: PropertyGraph, hubs: int = 1, least: int = 3) -> tuple[list[list[int]], dict[int, set]]:
-    """Node sets from repeated removal of the largest hubs: each hub's star, and what falls off."""
+def vocab_candidates(g: PropertyGraph, hubs: int = 1, least: int = 3) -> tuple[list[list[int]], list[list[int]]]:
+    """Node sets from repeated removal of the largest hubs: each hub's star, and what falls off.
+
+    Nodes with edges are numbered in the order of their ids; also returns their neighbours.
+    """
     e = g.edges.where("src <> dst").toPandas()
-    adj: dict[int, set] = defaultdict(set)
-    for u, w in zip(e["src"].tolist(), e["dst"].tolist(), strict=True):
+    number = {u: i for i, u in enumerate(sorted({*e["src"].tolist(), *e["dst"].tolist()}))}
+    adj: dict[int, set] = {i: set() for i in range(len(number))}
+    for u, w in zip(e["src"].map(number).tolist(), e["dst"].map(number).tolist(), strict=True):
         adj[u].add(w)
         adj[w].add(u)
     live = {u: set(x) for u, x in adj.items()}
@@ -343,46 +393,44 @@ def vocab_candidates(g: PropertyGraph, hubs: int = 1, least: int = 3) -> tuple[l
         comps.sort(key=lambda c: (-len(c), min(c)))
         out += [sorted(c) for c in comps[1:] if len(c) >= least]
         piece = comps[0] if comps else set()
-    return [c for c in out if len(c) >= least], adj
+    return [c for c in out if len(c) >= least], [sorted(adj[i]) for i in range(len(adj))]
 
 
-def vocab_summary(g: PropertyGraph, select: str = "plain", max_size: int = 400) -> pd.DataFrame:
+def vocab_summary(g: PropertyGraph, select: str = "plain") -> pd.DataFrame:
     """Structures chosen for a simple undirected graph: (kind, size, gain); bits in ``attrs``.
 
     select: plain (all), top10, top100, or greedy_forget (keep one if the total falls).
+    Sets of any size are tried as every kind of structure; pairs are counted as bits.
     """
-    sets, adj = vocab_candidates(g)
+    sets, near = vocab_candidates(g)
+    adj = [bits_of_nodes(x) if x else 0 for x in near]
     v = g.nodes.count()
-    real = {(min(u, w), max(u, w)) for u in adj for w in adj[u]}
+    edges = sum(map(len, near)) // 2
     slots = max(v * (v - 1) / 2, 1)
+    hits = lambda cells: sum((m & adj[u]).bit_count() for u, m in cells.items())
+    size = lambda cells: sum(m.bit_count() for m in cells.values())
 
     def error(extra: int, covered: int) -> float:
-        return math.log2(slots + 1) * 2 + _entropy(slots, extra) + _entropy(slots, max(len(real) - covered, 0))
+        return math.log2(slots + 1) * 2 + _entropy(slots, extra) + _entropy(slots, max(edges - covered, 0))
 
-    words = []
-    for nodes in sets:
-        if len(nodes) > max_size:  # a hub's star needs no pair table
-            hub = max(nodes, key=lambda u: (len(adj[u] & set(nodes)), -u))
-            bits, cells = structure_bits("star", [hub], [u for u in nodes if u != hub], v, adj)
-            words.append((bits, "star", len(nodes), cells))
-        else:
-            bits, kind, *_, cells = label_structure(nodes, adj, v)
-            words.append((bits, kind, len(nodes), cells))
     scored = []
-    for bits, kind, n, cells in words:
-        hit = len(cells & real)
-        scored.append((error(0, 0) - (bits + math.log2(6) + error(len(cells) - hit, hit)), bits, kind, n, cells))
+    for nodes in sets:
+        bits, kind, *_, cells = label_structure(nodes, near, adj, v)
+        hit = hits(cells)
+        scored.append((error(0, 0) - (bits + math.log2(6) + error(size(cells) - hit, hit)), bits, kind, len(nodes), cells))
     scored.sort(key=lambda w: (-w[0], w[3]))
-    chosen, claimed, model = [], set(), 0.0
-    total = error(0, 0)
+    chosen, claimed, model = [], {}, 0.0
+    total, n_claimed, n_hit = error(0, 0), 0, 0
     limit = {"top10": 10, "top100": 100}.get(select, len(scored))
     for gain, bits, kind, n, cells in scored[:limit]:
-        now = claimed | cells
-        hit = len(now & real)
-        after = model + bits + math.log2(6) + error(len(now) - hit, hit) + n_int_bits(len(chosen) + 1)
+        fresh = {u: new for u, m in cells.items() if (new := m & ~claimed.get(u, 0))}
+        now, hit = n_claimed + size(fresh), n_hit + hits(fresh)
+        after = model + bits + math.log2(6) + error(now - hit, hit) + n_int_bits(len(chosen) + 1)
         if select == "greedy_forget" and after >= total:
             continue
-        claimed, model, total = now, model + bits + math.log2(6), after
+        for u, m in fresh.items():
+            claimed[u] = claimed.get(u, 0) | m
+        n_claimed, n_hit, model, total = now, hit, model + bits + math.log2(6), after
         chosen.append((kind, n, gain))
     out = pd.DataFrame(chosen, columns=["kind", "size", "gain"])
     out.attrs = {"bits": total, "before": error(0, 0), "model": model}

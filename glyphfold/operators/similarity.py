@@ -41,12 +41,28 @@ def _with_jaccard(shared: DataFrame, deg: DataFrame) -> DataFrame:
     return shared.join(da, "a").join(db, "b").select("a", "b", jd.alias("jd"))
 
 
-def jaccard_for(tokens: DataFrame, pairs: DataFrame) -> DataFrame:
-    """``(a, b, jd)`` of the given pairs. Lists are intersected as arrays; pairs of very long lists by a token join."""
-    lists = tokens.groupBy("id").agg(F.array_sort(F.collect_list("tok")).alias("t"), F.count("*").alias("d"))
-    a, b = lists.select(F.col("id").alias("a"), F.col("t").alias("ta"), F.col("d").alias("da")), lists.select(F.col("id").alias("b"), F.col("t").alias("tb"), F.col("d").alias("db"))
-    both = F.size(F.array_intersect("ta", "tb"))
-    return pairs.select("a", "b").join(a, "a").join(b, "b").select("a", "b", (both / (F.col("da") + F.col("db") - both)).alias("jd"))
+def jaccard_for(tokens: DataFrame, pairs: DataFrame, long_list: int = LONG_LIST) -> DataFrame:
+    """``(a, b, jd)`` of the given pairs.
+
+    Only the lists of nodes in pairs are built. Lists up to ``long_list`` tokens are
+    intersected as arrays; pairs with a longer one meet in a join over their tokens, so
+    no list of unbounded length is gathered.
+    """
+    pairs = pairs.select("a", "b")
+    used = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
+    own = tokens.join(used, "id", "left_semi")
+    deg = own.groupBy("id").agg(F.count("*").alias("d"))
+    of = lambda end, d: deg.select(F.col("id").alias(end), F.col("d").alias(d))
+    sized = pairs.join(of("a", "da"), "a").join(of("b", "db"), "b")
+    many = F.greatest("da", "db") > long_list
+    lists = own.join(deg.where(F.col("d") <= long_list), "id").groupBy("id").agg(F.collect_list("tok").alias("t"))
+    list_of = lambda end, t: lists.select(F.col("id").alias(end), F.col("t").alias(t))
+    short = sized.where(~many).join(list_of("a", "ta"), "a").join(list_of("b", "tb"), "b")
+    short = short.select("a", "b", "da", "db", F.size(F.array_intersect("ta", "tb")).cast("long").alias("both"))
+    long = sized.where(many).join(own.select(F.col("id").alias("a"), "tok"), "a").join(own.select(F.col("id").alias("b"), "tok"), ["b", "tok"])
+    met = long.groupBy("a", "b").agg(F.count("*").alias("both"))
+    long = sized.where(many).join(met, ["a", "b"], "left").select("a", "b", "da", "db", F.coalesce("both", F.lit(0)).alias("both"))
+    return short.unionByName(long).select("a", "b", (F.col("both") / (F.col("da") + F.col("db") - F.col("both"))).alias("jd"))
 
 
 def window_pairs(nodes: DataFrame, t_min: float) -> DataFrame:

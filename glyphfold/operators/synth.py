@@ -9,8 +9,6 @@ from glyphfold.sources.graphs import PropertyGraph, from_edges
 
 #: Constants of the integer hash chain (a 31-bit affine step, the same in SQL).
 STEP_A, STEP_C, STEP_P = 1_103_515_245, 12_345, (1 << 31) - 1
-#: Steps after which a chain of copied slots falls back to its last target.
-CHAIN = 24
 
 
 def kout_edges(spark: SparkSession, n: int, k: int = 10, seed: int = 42) -> DataFrame:
@@ -28,13 +26,15 @@ def kout_edges(spark: SparkSession, n: int, k: int = 10, seed: int = 42) -> Data
         for df in it:
             e = df["id"].to_numpy(np.int64)
             cur, target = e.copy(), np.full(len(e), -1)
-            for step in range(CHAIN):
+            step = 0
+            while (target < 0).any():  # every step goes to an earlier edge, so chains end
                 draw = ((cur + e * 31) % STEP_P * STEP_A + STEP_C + step * 7919 + seed * 104_729) % STEP_P
                 slot = np.where(cur > 0, draw % np.maximum(cur * 2, 1), 0)
-                edge, source = slot // 2, (slot % 2 == 0) | (step == CHAIN - 1)
+                edge, source = slot // 2, slot % 2 == 0
                 open_ = target < 0
                 target = np.where(open_ & (cur == 0), 0, np.where(open_ & source, edge // k, target))
                 cur = np.where(open_ & ~source, edge, cur)
+                step += 1
             src = e // k
             # a node may not meet itself: slots of its own block move to the node before
             dst = np.where(target >= src, np.maximum(src - 1, 0), target)

@@ -275,13 +275,15 @@ add(
 )
 for _g in ("trade_nation", "event_states", "acct_segment"):
     add(f"w7_labelling_{_g}", lambda s, d, g=_g: w.labelling_study(s, d, g))
-for _g in ("vote_sim", "doc_cites"):
+for _g in ("vote_sim", "doc_cites", "order_coitem"):
     add(f"w8_tradeoff_{_g}", lambda s, d, g=_g: w.tradeoff_of(s, d, g, ("pairmerge",), "D" if g == "doc_cites" else ""))
-for _g in ("trade_nation", "acct_segment"):
+for _g in ("trade_nation", "acct_segment", "event_states"):
     add(f"w9_tradeoff_{_g}", lambda s, d, g=_g: w.tradeoff_of(s, d, g, ("pairmerge",)))
 add("w10_tradeoff_host_links", lambda s, d: w.tradeoff_of(s, d, "host_links", ("pairmerge", "vocab_plain", "vocab_top10", "vocab_top100", "vocab_greedy_forget"), "LMDS"))
+for _g in ("part_copurchase", "cust_supp"):
+    add(f"w10_tradeoff_{_g}", lambda s, d, g=_g: w.tradeoff_of(s, d, g, ("pairmerge", "vocab_top10"), "LMDS", (1, 5)))
 add("w11_growth", lambda s, d: w.growth_scaling(s))
-add("w11_slope", lambda s, d: w.slope_of(w.growth_scaling(s, (500, 1500, 4500))))
+add("w11_slope", lambda s, d: w.growth_slopes(s))
 add("w12_sampling", lambda s, d: w.sampling_scaling(s, d))
 add("w13_planted", lambda s, d: w.planted_recall(s))
 add(
@@ -296,6 +298,17 @@ for _f in (10, 50):
 add("kout_edges", lambda s, d: synth.kout_edges(s, 2000, 10))
 add("kout_degrees", lambda s, d: synth.kout_edges(s, 2000, 10).groupBy("src").agg(F.count("*").alias("k"), (F.max("dst") < F.col("src")).alias("earlier")), "select unnest(range(1, 2000)) as src, 10::bigint as k, true as earlier")
 
+
+
+def vocab_bits(s: SparkSession, d: str, name: str) -> DataFrame:
+    """Bits of the structure vocabulary by way of selection: the structures, all with the errors, and the plain error matrix."""
+    g, rows = w.built(s, d, name).simplify({"L", "M", "D", "S"}), []
+    for select in ("plain", "top10", "top100", "greedy_forget"):
+        words = baselines.vocab_summary(g, select)
+        rows.append((select, len(words), words.attrs["model"], words.attrs["bits"], words.attrs["before"]))
+    return s.createDataFrame(rows, "selection string, structures int, model double, bits double, before double")
+
+
 # baselines and ablations ----------------------------------------------------------------
 
 add("pairmerge_randomized_host_links", lambda s, d: baselines.pairmerge_cost(baselines.pairmerge_randomized(w.built(s, d, "host_links"))))
@@ -307,7 +320,8 @@ for _sel in ("plain", "top10", "top100", "greedy_forget"):
 add("undirected_similarity_trade_nation", lambda s, d: measures.size_reduction(w.summary_of(s, d, "trade_nation", 5, similarity="undirected")))
 add("ablation_rep", lambda s, d: measures.ablation_rep(graphs.trade_nation(s, d).edges.select(F.col("src").cast("string").alias("key"), "m")))
 add("ablation_glyph", lambda s, d: s.createDataFrame(list(measures.ablation_glyph(w.built(s, d, "doc_cites")).items()), "rule string, ratio double"))
-for _t in ("L", "M", "S"):
+add("vocab_bits_host_links", lambda s, d: vocab_bits(s, d, "host_links"))
+for _t in ("L", "M", "D", "S"):
     add(f"without_{_t}_doc_cites", lambda s, d, t=_t: measures.size_reduction(merge.summarize(w.built(s, d, "doc_cites").simplify({t}))))
 
 # streams ----------------------------------------------------------------------------------

@@ -7,7 +7,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from glyphfold.operators import measures, merge, synth
+from glyphfold.operators import baselines, measures, merge, synth
 from glyphfold.operators.candidates import candidate_sets
 from glyphfold.operators.summary import Summary, drawing_nodes
 from glyphfold.session import settle, table
@@ -26,15 +26,6 @@ def summary_of(spark: SparkSession, d: str, name: str, b: int, **cfg) -> Summary
     return merge.summarize(built(spark, d, name), replace(CFG, b=b, **cfg))
 
 
-def dataset_profile(spark: SparkSession, d: str) -> DataFrame:
-    """Sizes and traits of all graphs."""
-    out = None
-    for name in graphs.BUILDERS:
-        row = graphs.profile(graphs.BUILDERS[name](spark, d))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
 def dominance_case(spark: SparkSession, d: str) -> DataFrame:
     """A small two-label multigraph: super-nodes, their shapes, and what flows in and out."""
     return measures.group_flow(summary_of(spark, d, "handover", 10))
@@ -98,18 +89,26 @@ def tradeoff_of(spark: SparkSession, d: str, name: str, methods: tuple[str, ...]
     return measures.tradeoff(spark, built(spark, d, name).simplify(set(drop)), bs, methods)
 
 
-def growth_scaling(spark: SparkSession, sizes: tuple[int, ...] = (500, 1000, 2000, 4000), k: int = 10, b: int = 3) -> DataFrame:
-    """Seconds against size on generated growth graphs."""
+def growth_scaling(spark: SparkSession, sizes: tuple[int, ...] = (500, 1000, 2000, 4000, 8000), k: int = 10, b: int = 3, methods: tuple[str, ...] = ("fold", "pairmerge")) -> DataFrame:
+    """Seconds against size on generated growth graphs, of the method and of the pairwise baseline."""
     rows = []
     for n in sizes:
         g = synth.synth_kout(spark, n, k)
         g = replace(g, nodes=settle(g.nodes, "kout_v"), edges=settle(g.edges, "kout_e"))
-        secs, s = measures.timed(lambda g=g: merge.summarize(g, replace(CFG, b=b)))
-        rows.append((n, g.edges.count(), secs, s.supernodes.count()))
-    return spark.createDataFrame(rows, "nodes long, edges long, seconds double, supernodes long")
+        for method in methods:
+            make = (lambda g=g: merge.summarize(g, replace(CFG, b=b))) if method == "fold" else (lambda g=g: baselines.pairmerge_randomized(g))
+            secs, s = measures.timed(make)
+            rows.append((method, n, g.edges.count(), secs, s.supernodes.count()))
+    return spark.createDataFrame(rows, "method string, nodes long, edges long, seconds double, supernodes long")
 
 
-def sampling_scaling(spark: SparkSession, d: str, fracs: tuple[float, ...] = (0.25, 0.5, 0.75, 1.0), b: int = 3, name: str = "order_coitem") -> DataFrame:
+def growth_slopes(spark: SparkSession, sizes: tuple[int, ...] = (1000, 4000, 16000)) -> DataFrame:
+    """Slope of log seconds over log edges; the largest sizes tell most, as small ones show a job's fixed cost."""
+    points = growth_scaling(spark, sizes, methods=("fold",))
+    return points.groupBy("method").agg(F.regr_slope(F.log("seconds"), F.log("edges")).alias("slope"), F.count("*").alias("points"))
+
+
+def sampling_scaling(spark: SparkSession, d: str, fracs: tuple[float, ...] = tuple(i / 10 for i in range(1, 11)), b: int = 3, name: str = "order_coitem") -> DataFrame:
     """Seconds against edges on growing samples with all nodes kept."""
     g = built(spark, d, name)
     rows = []
@@ -120,10 +119,6 @@ def sampling_scaling(spark: SparkSession, d: str, fracs: tuple[float, ...] = (0.
     return spark.createDataFrame(rows, "fraction double, edges long, seconds double, supernodes long")
 
 
-def slope_of(points: DataFrame) -> DataFrame:
-    return measures.scaling_slope(points)
-
-
 def ratios_by_resolution(spark: SparkSession, d: str, name: str, bs: tuple[int, ...] = (1, 2, 5, 10)) -> DataFrame:
     """Printed and sound ratio, super-nodes and super-edges for each number of bands."""
     from glyphfold.operators import ledger

@@ -1,4 +1,14 @@
-"""The training-data pipeline: five operators, each written out before the next reads it."""
+"""The training-data pipeline: five operators, each written out before the next reads it.
+
+Defined cases, for every stage: rows are judged one by one, whatever ids they share, so a
+row is never lost for another's fault; null and empty texts have too few words and go in
+the first stage (given alone to later ones they are one group, hold no item, have no spans
+and pack as the end token); rows repeated as a whole count each time in the rules, and one
+of them stays after the second stage; null ids come last among near copies and are kept
+otherwise; very long texts are held by one task at a time; an empty table stays empty;
+other columns pass through the first four stages, whatever their names. Filters keep whole
+rows; masking changes ``text`` and ``n_chars`` only.
+"""
 
 from __future__ import annotations
 

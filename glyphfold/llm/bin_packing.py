@@ -8,8 +8,10 @@ combination of the lengths that are left. A combination is used as often as the
 counts allow before the next is sought, so planning does not grow with the corpus.
 Pieces are then ranked within their length (a range sort) and look up their place.
 
-Defined cases: a null or empty text is the end token alone; repeated rows are
-packed each; an empty table gives no rows; other columns are not read.
+Defined cases: a null or empty text is the end token alone; a null id is packed like
+any other; repeated rows are packed each; pieces of equal length take places in the order
+of document ids and pieces; a very long text is encoded as a whole by one task; an empty
+table gives no rows; other columns are not read, whatever their names.
 """
 
 from __future__ import annotations

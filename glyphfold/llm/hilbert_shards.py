@@ -6,9 +6,11 @@ shard file covers a compact box of every dimension and readers can prune files
 on any of them. Copies of one text share the coordinates of the copy with the
 smallest id, so they stand next to each other and only a cut can part them.
 
-Defined cases: a null text counts no bytes; null metadata is a value of its own;
-an empty table gives no rows; repeated rows each get their own slot; columns of
-the input other than those named are neither read nor clashed with.
+Defined cases: a null or empty text counts no bytes; null metadata is a value of its own;
+an empty table gives no rows; repeated rows and null ids each get their own slot; places of
+equal rank keys are told apart in any order; a very long text counts by its bytes and is
+never gathered with others; columns of the input other than those named are neither read
+nor clashed with.
 """
 
 from __future__ import annotations

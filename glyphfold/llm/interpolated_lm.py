@@ -15,7 +15,9 @@ is bounded and which covers every event of the fold. Hashes have 64 bits.
 
 Defined cases: a null or empty text is the end token alone; a null id hashes as the
 empty string; with no training text all estimates fall to the uniform floor;
-repeated rows count each time; an empty table gives no rows.
+repeated rows count each time and score alike; a very long text makes a chunk of its
+own, held with its tokens by one task; an empty table gives no rows; other columns of
+the input play no part, whatever their names.
 """
 
 from __future__ import annotations

@@ -11,8 +11,10 @@ in numpy. Found spans stay when they don't overlap one of the patterns.
 Addresses, cards and phones in figures hold a digit or an at-sign; e-mail addresses
 and secrets may hold neither. Text without any of these signs needs no decoding. Positions are code points.
 
-Defined cases: null and empty texts have no spans; repeated rows are judged alike;
-very long texts only cost their own length; an empty table gives no rows.
+Defined cases: null and empty texts have no spans; a null id is carried; repeated rows are
+judged alike; of added spans that overlap the first one stays; very long texts cost their
+own length and are held by one task; an empty table gives no rows; other columns pass
+through or play no part, whatever their names.
 """
 
 from __future__ import annotations

@@ -34,13 +34,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from glyphfold.llm.simhash_dedup import LOWER
-from glyphfold.llm.suffix_dedup import NO_ID, answers, body_of, by_bucket, chunk_batches, gathered_blobs, mixed, packed, unpacked
+from glyphfold.llm.suffix_dedup import NO_ID, PART_BYTES, answers, body_of, by_bucket, chunk_batches, gathered_blobs, mixed, packed, unpacked
 from glyphfold.session import discard, release, settle
 
 U = np.uint64
 CHUNK_BYTES = 4 << 20
 BUCKET_BYTES = 8 << 20
-MAX_BUCKETS = 100_000
+MAX_BUCKETS = 400_000
 FOLDS, HELD_OUT, DELETED = 7, 2, 3
 #: Context buckets: unseen, then by powers of two; bins of estimates: half octaves.
 CONTEXTS, BINS = 24, 128
@@ -214,9 +214,10 @@ def lm_scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     total = chunks.agg(F.coalesce(F.sum("n_bytes"), F.lit(0))).first()[0]
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     buckets = min(MAX_BUCKETS, max(2 * parts, total // BUCKET_BYTES))
+    parts = max(parts, total // PART_BYTES)  # a task's share stays bounded as the input grows
     entry = "bucket long, chunk long, body binary"
     keys = chunks.select("chunk", "body").mapInArrow(lambda it: key_batches(it, buckets), entry)
-    own = keys.groupBy("bucket").applyInPandas(lambda df: add_up(df, buckets), "chunk long, bucket long, body binary")
+    own = keys.repartition(parts, "bucket").groupBy("bucket").applyInPandas(lambda df: add_up(df, buckets), "chunk long, bucket long, body binary")
     totals = settle(own, "lm_totals")
     del keys, own
     release(spark)
@@ -228,7 +229,7 @@ def lm_scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
 
     texts = chunks.select("chunk", F.lit(-1).cast("long").alias("bucket"), "body")
     both = texts.unionByName(totals.where("chunk >= 0"))
-    resolved = both.groupBy("chunk").applyInPandas(lambda df: resolve_chunk(df, buckets, known), "head binary, counts binary, cells array<long>, weights array<long>")
+    resolved = both.repartition(parts, "chunk").groupBy("chunk").applyInPandas(lambda df: resolve_chunk(df, buckets, known), "head binary, counts binary, cells array<long>, weights array<long>")
     resolved = settle(resolved, "lm_counts")
     discard(chunks)
     discard(totals)

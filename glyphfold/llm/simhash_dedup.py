@@ -37,7 +37,7 @@ from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
 from glyphfold.operators.components import connected_components
 from glyphfold.llm.suffix_dedup import mixed
-from glyphfold.session import settle, whole_row
+from glyphfold.session import discard, settle, whole_row
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 #: Homes of one anchor above which it is split.
@@ -401,6 +401,8 @@ def linked_texts(open_: DataFrame, sets: DataFrame, similarity: float, rounds: t
         parts = rows.join(mixed_keys, "key").withColumn("blocks", blocks).withColumn("mine", mine).select("id", "label", F.explode(meets).alias("part"))
         found = parts.join(sets, "id").select("part", "label", "s").repartition(n, "part").sortWithinPartitions("part")
         found = settle(found.mapInPandas(lambda it: linked_buckets(it, similarity), "src long, dst long"), "text_links")
+        discard(rows)
+        discard(mixed_keys)
         edges = found if edges is None else edges.unionByName(found)
         if not found.isEmpty():
             roots = connected_components(edges)

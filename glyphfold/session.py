@@ -28,6 +28,24 @@ def shared_dir(spark: SparkSession) -> str:
     return folder
 
 
+#: Tables of one process lie in one folder of their own.
+RUN = uuid.uuid4().hex
+
+
+def run_dir(spark: SparkSession) -> str:
+    return f"{shared_dir(spark)}/glyphfold/{RUN}"
+
+
+def clear(spark: SparkSession) -> None:
+    """Delete all tables that ``settle`` wrote in this process; no DataFrame made before can be read any more."""
+    remove(spark, run_dir(spark))
+
+
+def remove(spark: SparkSession, folder: str) -> None:
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def settle(df: DataFrame, name: str = "t") -> DataFrame:
     """Write ``df`` as Parquet in the shared folder and read it back.
 
@@ -35,7 +53,7 @@ def settle(df: DataFrame, name: str = "t") -> DataFrame:
     the work, and plans of loops stay short.
     """
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/glyphfold/{name}-{uuid.uuid4().hex}"
+    path = f"{run_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._settled_at = path
@@ -49,9 +67,7 @@ def whole_row(df: DataFrame):
 
 def discard(df: DataFrame) -> None:
     """Delete a table that ``settle`` wrote, once nothing reads it any more."""
-    sc = df.sparkSession.sparkContext
-    path = sc._jvm.org.apache.hadoop.fs.Path(df._settled_at)
-    path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
+    remove(df.sparkSession, df._settled_at)
 
 
 def release(spark: SparkSession) -> None:

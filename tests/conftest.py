@@ -20,4 +20,7 @@ def spark():
     )
     session.sparkContext.setLogLevel("ERROR")
     yield session
+    from glyphfold.session import clear
+
+    clear(session)
     session.stop()

@@ -281,7 +281,7 @@ for _g in ("trade_nation", "acct_segment", "event_states"):
     add(f"w9_tradeoff_{_g}", lambda s, d, g=_g: w.tradeoff_of(s, d, g, ("pairmerge",)))
 add("w10_tradeoff_host_links", lambda s, d: w.tradeoff_of(s, d, "host_links", ("pairmerge", "vocab_plain", "vocab_top10", "vocab_top100", "vocab_greedy_forget"), "LMDS"))
 for _g in ("part_copurchase", "cust_supp"):
-    add(f"w10_tradeoff_{_g}", lambda s, d, g=_g: w.tradeoff_of(s, d, g, ("pairmerge", "vocab_top10"), "LMDS", (1, 5)))
+    add(f"w10_tradeoff_{_g}", lambda s, d, g=_g: w.tradeoff_of(s, d, g, ("pairmerge", "vocab_top10"), "LMDS", (5,)))
 add("w11_growth", lambda s, d: w.growth_scaling(s))
 add("w11_slope", lambda s, d: w.growth_slopes(s))
 add("w12_sampling", lambda s, d: w.sampling_scaling(s, d))

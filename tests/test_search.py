@@ -228,3 +228,15 @@ def test_large_clusters_lose_no_pairs(spark, seed):
         nodes = tokens.select("id").distinct().selectExpr("0L as cluster", "id")
         got = {(r.a, r.b): round(r.jd, 9) for r in cd.large_pairs(nodes, tokens, t).collect()}
         assert got == {(r.a, r.b): round(r.jd, 9) for r in similarity.exact_simpairs(g, t - 1e-12).collect()}
+
+
+def test_long_lists_meet_by_token(spark):
+    """Pairs of long neighbour lists are joined by token, with the same similarities; pairs that share nothing have 0."""
+    g = planted(spark, seed=9, n=24)
+    tokens = similarity.neighbor_tokens(g)
+    ids = sorted(r.id for r in tokens.select("id").distinct().collect())
+    pairs = spark.createDataFrame([(a, b) for a in ids for b in ids if a < b], "a long, b long")
+    exact = {(r.a, r.b): round(r.jd, 9) for r in similarity.exact_simpairs(g).collect()}
+    for bound in (0, 6):
+        got = {(r.a, r.b): round(r.jd, 9) for r in similarity.jaccard_for(tokens, pairs, bound).collect()}
+        assert got == {(a, b): exact.get((a, b), 0.0) for a in ids for b in ids if a < b}

@@ -120,13 +120,15 @@ class Slice:
         highest = ~sliding_min(~padded, grams)[: len(h)]  # of the windows that hold a gram
         start = np.flatnonzero(highest == h)
         start = start[(start + lo >= at) & (start + lo < end)]
-        first, last, mine = np.full(len(start), -1), np.full(len(start), -1), h[start]
-        for back_by in range(grams):
-            j = start - back_by
-            hit = (j >= 0) & (j < len(low))
-            hit[hit] = low[j[hit]] == mine[hit]
-            first[hit] = j[hit]
-            last = np.where(hit & (last < 0), j, last)
+        # the windows that a gram is chosen by follow each other: they lie in one run of equal minima
+        turn = np.concatenate([[0], np.flatnonzero(low[1:] != low[:-1]) + 1, [len(low)]])
+        reach = np.maximum(start - grams + 1, 0)
+        run, mine = np.searchsorted(turn, reach, side="right") - 1, h[start]
+        todo = np.arange(len(start))
+        while len(todo):
+            todo = todo[low[turn[run[todo]]] != mine[todo]]
+            run[todo] += 1
+        first, last = np.maximum(turn[run], reach), np.minimum(turn[run + 1] - 1, start)
         self.start, self.first, self.last = start + lo, first + lo, last + lo
         self.lead = eight[start].byteswap()
         self.next = eight[start + 8].byteswap()
@@ -205,10 +207,10 @@ class Chunk:
         for at in range(0, len(self.data), SLICE):
             end = min(at + SLICE, len(self.data))
             lo, hi = max(0, at - 4 * self.window), min(len(self.data), end + 4 * self.window)
-            ends = np.zeros(0, np.int64)
-            docs = self.doc_of(np.arange(lo, hi))
-            ends = _Shifted(self.ends[np.minimum(docs, len(self.ends) - 1)], lo)
-            yield Slice(self.data, ends, at, end, self.window)
+            a, b = np.searchsorted(self.ends, (lo, hi - 1), side="right")
+            own = self.ends[a : b + 1]
+            ends = np.repeat(own, np.diff(np.minimum(own, hi), prepend=lo))
+            yield Slice(self.data, _Shifted(ends, lo), at, end, self.window)
 
     def anchors(self) -> tuple[list[np.ndarray], np.ndarray, np.ndarray, np.ndarray]:
         """Of all anchors: the sort keys (leading bytes in three words, context), document id, first and last window."""
@@ -231,15 +233,34 @@ class _Shifted:
         return self.values[at.start - self.lo : at.stop - self.lo]
 
 
-#: Rows below which a part of the order is sorted at once.
-SMALL_SORT = 2048
+#: Rows below which a part of the order is sorted word by word at once.
+SMALL_SORT = 1 << 16
+
+
+def word_order(keys: list[np.ndarray], order: np.ndarray) -> np.ndarray:
+    """Rows of ``order`` sorted by the first word; runs of equal words go on to the next one."""
+    order = order[np.argsort(keys[0][order], kind="stable")]
+    run = np.zeros(len(order), np.int64)
+    for depth in range(1, len(keys)):
+        word = keys[depth - 1][order]
+        new = np.ones(len(order), bool)
+        new[1:] = (word[1:] != word[:-1]) | (run[1:] != run[:-1])
+        run = np.cumsum(new)
+        alone = new.copy()
+        alone[:-1] &= new[1:]
+        at = np.flatnonzero(~alone)
+        if not len(at):
+            break
+        own = order[at]
+        order[at] = own[np.lexsort((keys[depth][own], run[at]))]
+    return order
 
 
 def multikey_order(keys: list[np.ndarray]) -> np.ndarray:
     """Order of rows by their words: multikey quicksort.
 
     A part is split by the current word into rows below, at and above a pivot; rows at it
-    go on to the next word, the others stay. Small parts are sorted by all words left.
+    go on to the next word, the others stay. Small parts are sorted word by word.
     """
     order = np.arange(len(keys[0]))
     todo = [(0, len(order), 0)]
@@ -249,7 +270,7 @@ def multikey_order(keys: list[np.ndarray]) -> np.ndarray:
             continue
         own = order[low:high]
         if high - low <= SMALL_SORT:
-            order[low:high] = own[np.lexsort(tuple(k[own] for k in keys[: depth - 1 if depth else None : -1]))]
+            order[low:high] = word_order(keys[depth:], own)
             continue
         word = keys[depth][own]
         some = np.sort(word[:: max(1, len(word) // 31)])

@@ -257,26 +257,35 @@ def fingerprints(docs: DataFrame, width: int = 3, seed: int = 42, id_col: str =
 def simhash_components(docs: DataFrame, width: int = 3, radius: int = 3, seed: int = 42, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, fp, component_id)``: smallest id reachable over links of fingerprints."""
     prints = settle(fingerprints(docs, width, seed, id_col, text_col), "prints")
-    distinct = settle(prints.groupBy("fp").agg(F.min("doc_id").alias("id")).where("id is not null"), "distinct_prints")
+    return prints.join(print_components(prints, radius, "doc_id"), "fp", "left").select("doc_id", "fp", "component_id")
+
+
+def print_components(prints: DataFrame, radius: int = 3, id_col: str = "id") -> DataFrame:
+    """``(fp, component_id)`` of all fingerprints ``fp`` with an id: smallest id reachable over links of fingerprints."""
+    distinct = settle(prints.groupBy("fp").agg(F.min(id_col).alias("id")).where("id is not null"), "distinct_prints")
     roots = connected_components(links(distinct, radius))
-    label = distinct.join(roots, "id", "left").select("fp", F.coalesce("root", "id").alias("component_id"))
-    return prints.join(label, "fp", "left").select("doc_id", "fp", "component_id")
+    return distinct.join(roots, "id", "left").select("fp", F.coalesce("root", "id").alias("component_id"))
 
 
 def band_batches(batches: Iterator[pa.RecordBatch], width: int, bands: int, per_band: int, text_col: str = "text") -> Iterator[pa.RecordBatch]:
-    """``row`` as it comes, with a number of its own, a hash of all its words, and one key per band.
+    """``row`` as it comes, with a number of its own, a hash of all its words, one key per band, and its fingerprint.
 
-    A key is made of minima of the shingles' hashes: two texts of similarity s agree in a
-    band with chance s ** per_band; a text without words has no keys.
+    The fingerprint is that of ``fingerprints``. A key is made of minima of the shingles'
+    hashes: two texts of similarity s agree in a band with chance s ** per_band; a text
+    without words has no keys.
     """
     draw = np.random.default_rng(42)
     factors = draw.integers(1 << 62, 1 << 63, (bands, per_band), np.uint64) | U1
     row = TaskContext.get().partitionId() << 33
     for batch in batches:
         whole, hashes, counts, out = [], [], [], []
+        print_hashes, print_counts, prints = [], [], []
 
         def flush():
             n = np.array(counts, np.int64)
+            prints.append(fold_bits(np.array(print_hashes, np.uint64), np.array(print_counts, np.int64)))
+            print_hashes.clear()
+            print_counts.clear()
             keys = np.zeros((len(n), bands), np.uint64)
             if hashes:
                 h, some = np.array(hashes, np.uint64), n > 0
@@ -299,12 +308,15 @@ def band_batches(batches: Iterator[pa.RecordBatch], width: int, bands: int, per_
             own = shingle_hashes(text, width)
             hashes.extend(own)
             counts.append(len(own))
+            own = shingle_hashes(text)
+            print_hashes.extend(own)
+            print_counts.append(len(own))
             if len(hashes) > 200_000:
                 flush()
         flush()
-        more = [pa.array(np.arange(row, row + len(batch))), pa.array(whole, pa.int64()), pa.array(out, pa.list_(pa.int64()))]
+        more = [pa.array(np.arange(row, row + len(batch))), pa.array(whole, pa.int64()), pa.array(out, pa.list_(pa.int64())), pa.array(np.concatenate(prints).view(np.int64))]
         row += len(batch)
-        yield pa.RecordBatch.from_arrays([batch.column("row"), *more], ["row", "id", "whole", "keys"])
+        yield pa.RecordBatch.from_arrays([batch.column("row"), *more], ["row", "id", "whole", "keys", "fp"])
 
 
 def shingle_set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
@@ -314,9 +326,9 @@ def shingle_set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterat
 
 
 def banded(docs: DataFrame, width: int = 5, bands: int = 24, per_band: int = 4, text_col: str = "text") -> DataFrame:
-    """``(row, id, whole, keys)`` of all rows, written once: numbers and keys stay as they are."""
+    """``(row, id, whole, keys, fp)`` of all rows, written once: numbers, keys and fingerprints stay as they are."""
     rows = docs.select(whole_row(docs))
-    schema = StructType([*rows.schema.fields, StructField("id", LongType()), StructField("whole", LongType()), StructField("keys", ArrayType(LongType()))])
+    schema = StructType([*rows.schema.fields, StructField("id", LongType()), StructField("whole", LongType()), StructField("keys", ArrayType(LongType())), StructField("fp", LongType())])
     return settle(rows.mapInArrow(lambda it: band_batches(it, width, bands, per_band, text_col), schema), "banded")
 
 
@@ -377,13 +389,14 @@ def linked_buckets(batches: Iterator[pd.DataFrame], similarity: float) -> Iterat
 BUCKET_TEXTS = 1000
 
 
-def linked_texts(open_: DataFrame, sets: DataFrame, similarity: float, rounds: tuple[int, ...] = (1, 3, 8)) -> DataFrame:
+def linked_texts(open_: DataFrame, sets: DataFrame, similarity: float, rounds: tuple[int, ...] = (1, 1, 3, 8)) -> DataFrame:
     """``(id, root)``: all texts that some chain of links of the given similarity joins, by texts that share a key.
 
-    open_ has (id, band, key), sets (id, s). Bands are taken in a few rounds, the first
-    ones alone: most copies meet there. Later rounds compare what is still apart only, and
-    a bucket's sets are shuffled only if it holds texts of two groups. No pairs leave a task,
-    just the links of a spanning forest.
+    open_ has (id, band, key), sets (id, s). Band 0 is the component of the fingerprint, the
+    others are minima. Bands are taken in a few rounds, the first ones alone: most copies
+    meet there. Later rounds compare what is still apart only, and a bucket's sets are
+    shuffled only if it holds texts of two groups. No pairs leave a task, just the links of
+    a spanning forest.
     """
     n = int(open_.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     edges, first = None, 0
@@ -416,13 +429,18 @@ def grouped_rows(band: DataFrame, similarity: float = 0.8, width: int = 5, id_co
     Texts are linked if their sets of ``width``-word shingles have the similarity; links
     make groups, as with fingerprints. The first row of a group stays, in the order of
     document ids (null last), then of row numbers. Equal texts (up to case and white
-    space) are folded before; others are compared if they share a key.
+    space) are folded before. Fingerprints are linked as in ``simhash_components``, and the
+    texts of a component are compared by their exact sets. What is still apart after that is
+    compared if it shares a key of minima: at ``similarity`` most fingerprints differ in more
+    than 3 bits, and their groups would be lost.
     """
     doc = F.coalesce(F.col("row")[id_col].cast("long"), F.lit((1 << 63) - 1))
-    prints = band.select("id", doc.alias("doc"), "whole", "keys")
+    prints = band.select("id", doc.alias("doc"), "whole", "keys", "fp")
     least = settle(prints.groupBy("whole").agg(F.min(F.struct("doc", "id")).alias("first")).select("whole", F.col("first.id").alias("text_id"), F.col("first.doc").alias("text_doc")), "texts")
     firsts = prints.join(least.select(F.col("text_id").alias("id")), "id", "left_semi")
-    long = firsts.select("id", F.posexplode("keys").alias("band", "key"))
+    worded = firsts.where(F.size("keys") > 0).select("id", "fp", "keys")
+    component = settle(worded.select("id", "fp").join(print_components(worded), "fp").select("id", F.lit(0).alias("band"), F.xxhash64("component_id", F.lit("print")).alias("key")), "print_components")
+    long = component.unionByName(worded.select("id", F.posexplode("keys").alias("band", "key")).withColumn("band", F.col("band") + 1))
     many = settle(long.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "shared_keys")  # of known size
     open_ = settle(long.join(many, "key").select("id", "band", "key"), "near_open")
     texts = band.select("id", F.col("row")[text_col].alias("text")).join(open_.select("id").distinct(), "id", "left_semi")

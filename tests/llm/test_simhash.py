@@ -189,3 +189,33 @@ def test_rows_are_judged_one_by_one(spark):
     assert sorted(map(str, map(tuple, out.collect()))) == sorted(map(str, want))
     assert sd.near_dedup(docs.limit(0)).count() == 0
     assert sorted((r.id, r.kept) for r in sd.near_duplicates(docs.where("doc_id > 1")).collect()) == [(3, 2), (4, 4), (6, 5)]
+
+
+def test_stage_groups_by_fingerprints(spark, monkeypatch):
+    """Groups come through linked fingerprints, also where no key of minima is shared; unlike texts of one component stay apart."""
+    random.seed(14)
+    docs = []
+    for base in range(10):
+        words = [f"w{base}x{i}" for i in range(2000)]
+        for copy in range(3):
+            docs.append((base + 10 * copy, " ".join(words + [f"tail{copy}"])))
+    fps = {i: sd.fold_bits(np.array(sd.shingle_hashes(t), np.uint64), np.array([len(sd.shingle_hashes(t))]))[0] for i, t in docs}
+    due = {i: i % 10 for i, _ in docs if i >= 10 and bin(int(fps[i] ^ fps[i % 10])).count("1") <= 3}
+    assert len(due) > 15
+    whole = sd.band_batches
+    arrow = sd.pa
+    df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+
+    def own_keys(*args):
+        for b in whole(*args):
+            yield b.set_column(3, "keys", arrow.array([[x] for x in b.column("id").to_pylist()], arrow.list_(arrow.int64())))
+
+    def one_print(*args):
+        for b in own_keys(*args):
+            yield b.set_column(4, "fp", arrow.array([5] * len(b), arrow.int64()))
+
+    monkeypatch.setattr(sd, "band_batches", own_keys)
+    gone = {r.id: r.kept for r in sd.near_duplicates(df).collect()}
+    assert gone.items() >= due.items() and all(i % 10 == kept % 10 for i, kept in gone.items())
+    monkeypatch.setattr(sd, "band_batches", one_print)
+    assert {r.id: r.kept for r in sd.near_duplicates(df).collect()} == {i: i % 10 for i, _ in docs if i >= 10}

@@ -16,3 +16,9 @@ def test_tables_of_many_rows_are_not_broadcast(spark, monkeypatch):
     assert "Broadcast" in plan(wide.join(few.select(F.col("id").alias("src")), "src"))
     assert many.join(few.select("id"), "id").count() == 100
     session.discard(many)
+
+
+def test_bound_of_broadcast_tables_fits_a_small_driver():
+    """Rows of a hash table take some 100 bytes, and a plan may broadcast several: all must fit a heap of 750 MB."""
+    assert session.BROADCAST_ROWS * 100 * 10 <= 750_000_000
+    assert session.COUNTED_BYTES <= session.BROADCAST_ROWS * 2

@@ -4,7 +4,7 @@ import pytest
 
 from glyphfold.operators import candidates as cd
 from glyphfold.operators import similarity
-from glyphfold.sources.graphs import from_edges
+from glyphfold.sources.graphs import cosine_pairs, from_edges
 
 
 def copied(spark, seed, directed=True, groups=12, copies=3):
@@ -57,3 +57,28 @@ def test_copies_are_not_paired(spark, monkeypatch):
     assert few.pairs == want.pairs > 170_000
     assert {b: sorted(s) for b, s in few.sets.items()} == {b: sorted(s) for b, s in want.sets.items()}
     assert max(len(ids) for ids, _ in want.upto(3)) >= 589
+
+
+def test_blocks_are_dealt_in_bounded_jobs(spark, monkeypatch):
+    """Pairs of blocks are counted by many jobs, none of which deals out more tokens than the bound: the pairs are the same."""
+    for name, value in (("SHORT_CLASS", 2), ("BLOCK_TOKENS", 20), ("DEALT_TOKENS", 120)):
+        monkeypatch.setattr(similarity, name, value)
+    names, own = [], similarity.settle
+    monkeypatch.setattr(similarity, "settle", lambda df, name="t": names.append(name) or own(df, name))
+    g = copied(spark, 13)
+    got = sorted((r.a, r.b, round(r.jd, 9)) for r in similarity.similar_pairs(g, 0.2).collect())
+    assert names.count("block_meetings") > 3
+    assert got == sorted((r.a, r.b, round(r.jd, 9)) for r in similarity.exact_simpairs(g, 0.2).collect())
+
+
+def test_blocks_of_vectors_grow_with_their_number(spark):
+    """A vector is sent to every block: their number is bounded by the largest block, and the pairs are the same for any size."""
+    random.seed(14)
+    rows = [(i, [random.gauss(0, 1) for _ in range(4)]) for i in range(150)]
+    v = spark.createDataFrame(rows, "id long, v array<double>")
+    unit = lambda x: [y / sum(z * z for z in x) ** 0.5 for y in x]
+    every = {i: unit(x) for i, x in rows}
+    want = {(a, b) for a in every for b in every if a < b and sum(x * y for x, y in zip(every[a], every[b], strict=True)) > 0.5}
+    for how in ({}, {"block": 10}, {"block": 10, "most": 11, "cells": 30}):
+        got = [tuple(r) for r in cosine_pairs(v, "id", "v", 0.5, **how).collect()]
+        assert len(got) == len(want) and set(got) == want
